@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import op1
+from . import op1, op7, op8
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_decontaminate": op1.op1_decontaminate,
+        "op7_histogram_shards": op7.op7_histogram_shards,
+        "op8_mix_sources": op8.op8_mix_sources,
     }
 
 
