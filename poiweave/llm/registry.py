@@ -6,18 +6,21 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import op1, op7, op8
+from . import op1, op3, op7, op8, op9
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_decontaminate": op1.op1_decontaminate,
+        "op3_find_pii": op3.op3_find_pii,
         "op7_histogram_shards": op7.op7_histogram_shards,
         "op8_mix_sources": op8.op8_mix_sources,
+        "op9_format_chat": op9.op9_format_chat,
     }
 
 
 def oracle_sql() -> dict[str, str]:
     return {
         "op1_decontaminate": op1.SQL,
+        "op9_format_chat": op9.SQL,
     }
