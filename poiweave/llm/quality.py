@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .session import held_out, labelled_sample
+from .session import held_out, label_share, labelled_sample
 from .textkit import as_bytes, byte_chunks, hash_words, split_words
 
 PASSAGE_BYTES = 384
@@ -136,7 +136,12 @@ def train(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = 6) -> M
 
 
 def fit_quality(documents: DataFrame, labels: DataFrame) -> Model:
-    return train(labelled_sample(documents, labels, "quality", SAMPLE_ROWS, SAMPLE_CHARS))
+    rows = labelled_sample(documents, labels, "quality", SAMPLE_ROWS, SAMPLE_CHARS)
+    model, share = train(rows), label_share(labels, "quality")
+    if model.p is not None and share and 0 < share < 1:  # the sample has both labels about equally often
+        drawn = sum(y for _, y in rows) / len(rows)
+        model.p["b"] = model.p["b"] + np.float32(np.log(share / (1 - share)) - np.log(drawn / (1 - drawn)))
+    return model
 
 
 def _scan(model, text: str):

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import op1, op3, op4, op6, op7, op8, op9
+from . import op1, op3, op4, op6, op7, op8, op9, op10
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -18,6 +18,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_histogram_shards": op7.op7_histogram_shards,
         "op8_mix_sources": op8.op8_mix_sources,
         "op9_format_chat": op9.op9_format_chat,
+        "op10_score_toxicity": op10.op10_score_toxicity,
     }
 
 

@@ -50,6 +50,11 @@ def bounded_sample(df: DataFrame, stratum: str, key: str, rows: int, max_strata:
     return df.filter(wanted)
 
 
+def label_share(labels: DataFrame, column: str) -> float | None:
+    """Share of label 1 among all training labels; None if there are none."""
+    return labels.filter(F.col(column).isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).agg(F.avg(F.col(column).cast("double"))).first()[0]
+
+
 def labelled_sample(documents: DataFrame, labels: DataFrame, column: str, per_label: int, chars: int) -> list[tuple[str, int]]:
     """(text, label) of a bounded sample of labelled training rows, the same in every run.
 
