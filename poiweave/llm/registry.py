@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import op1, op3, op4, op6, op7, op8, op9, op10
+from . import op1, op3, op4, op5, op6, op7, op8, op9, op10
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,6 +14,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_decontaminate": op1.op1_decontaminate,
         "op3_find_pii": op3.op3_find_pii,
         "op4_identify_language": op4.op4_identify_language,
+        "op5_nearest": op5.op5_nearest,
         "op6_score_quality": op6.op6_score_quality,
         "op7_histogram_shards": op7.op7_histogram_shards,
         "op8_mix_sources": op8.op8_mix_sources,
