@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import op1, op3, op4, op5, op6, op7, op8, op9, op10
+from . import op1, op2, op3, op4, op5, op6, op7, op8, op9, op10
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_decontaminate": op1.op1_decontaminate,
+        "op2_ngram_jaccard": op2.op2_ngram_jaccard,
         "op3_find_pii": op3.op3_find_pii,
         "op4_identify_language": op4.op4_identify_language,
         "op5_nearest": op5.op5_nearest,
@@ -26,5 +27,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op1_decontaminate": op1.SQL,
+        "op2_ngram_jaccard": op2.SQL,
         "op9_format_chat": op9.SQL,
     }
