@@ -108,7 +108,10 @@ def train(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = 6) -> M
     labels = np.array([y for _, y in rows], float)
     if len(set(labels.tolist())) < 2:
         return Model(constant=float(labels.mean()) if len(labels) else 0.5)
-    x, first = passages([t.encode() for t, _ in rows])
+    parts = [passages([t.encode() for t, _ in rows[k : k + 100]]) for k in range(0, len(rows), 100)]  # bounds the arrays of byte positions
+    x = np.concatenate([p[0] for p in parts])
+    first = np.concatenate(([0], np.cumsum(np.concatenate([np.diff(p[1]) for p in parts]))))
+    del parts
     mean, scale = x.mean(axis=0), x.std(axis=0) + 0.05
     x = ((x - mean) / scale).astype(np.float32)
     r = np.random.default_rng(seed)
