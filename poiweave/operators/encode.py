@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -24,13 +25,13 @@ def prefix_key(prefix):
 
 
 def hash_encoder(paths: DataFrame, d: int = 8, decay: float = 0.5) -> DataFrame:
-    """path_key, v: each prefix gives integers in [-64, 64] over 64 by modular arithmetic; level i weighs ``decay**(i - 1)``.
+    """path_key, v: each prefix gives integers in [-64, 64] over 64 by modular arithmetic (a multiplier for each dimension); level i weighs ``decay**(i - 1)``.
 
     All values are dyadic for decay 1/2, so sums are exact in any order.
     """
 
     def part(k: int):
-        term = lambda i: F.pow(F.lit(decay), i - 1) * (F.pmod(prefix_key(category.prefix(F.col("category_path"), i)) * (2 * k + 1) + 7919 * k, F.lit(129)) - 64) / 64
+        term = lambda i: F.pow(F.lit(decay), i - 1) * (F.pmod(F.pmod(prefix_key(category.prefix(F.col("category_path"), i)) * (2_654_435 + 40_503 * k) + 7_919 * k, F.lit(16_777_259)), F.lit(129)) - 64) / 64
         return F.aggregate(F.sequence(F.lit(1), F.size("category_path")), F.lit(0.0), lambda s, i: s + term(i))
 
     return paths.select("path_key", F.array(*(part(k) for k in range(d))).alias("v"))
@@ -132,13 +133,34 @@ def load_vectors(df: DataFrame, key: str, column: str) -> DataFrame:
 
 
 def moments(h: DataFrame, d: int) -> DataFrame:
-    """i, j, n, s, p: component sums and products for all i <= j, by one aggregation of scalar sums."""
+    """i, j, n, si, sj, p: component sums and products for all i <= j.
+
+    Scalar sums in generated code up to 16 dimensions; beyond that, where thousands of sums would not compile well, each partition
+    multiplies its rows as a matrix and only those small matrices are summed.
+    """
     pairs = [(i, j) for i in range(d) for j in range(i, d)]
+    if d > 16:
+        return _matrix_moments(h, d)
     row = h.agg(F.count(F.lit(1)).alias("n"), *(F.sum(F.col("h")[i]).alias(f"s{i}") for i in range(d)), *(F.sum(F.col("h")[i] * F.col("h")[j]).alias(f"p{i}_{j}") for i, j in pairs))
     cells = F.array(*(F.struct(F.lit(i).alias("i"), F.lit(j).alias("j"), F.col("n"), F.col(f"s{i}").alias("si"), F.col(f"s{j}").alias("sj"), F.col(f"p{i}_{j}").alias("p")) for i, j in pairs))
     return row.select(F.explode(cells).alias("x")).select("x.*")
 
 
+def _matrix_moments(h: DataFrame, d: int) -> DataFrame:
+    i, j = np.triu_indices(d)
+
+    def local(batches):
+        n, s, p = 0, np.zeros(d), np.zeros((d, d))
+        for pdf in batches:
+            if len(pdf):
+                x = np.stack(pdf["h"].to_list()).astype(float)
+                n, s, p = n + len(x), s + x.sum(axis=0), p + x.T @ x
+        yield pd.DataFrame({"i": i.astype(np.int32), "j": j.astype(np.int32), "n": n, "si": s[i], "sj": s[j], "p": p[i, j]})
+
+    rows = h.select("h").mapInPandas(local, "i int, j int, n long, si double, sj double, p double")
+    return rows.groupBy("i", "j").agg(*(F.sum(c).alias(c) for c in ("n", "si", "sj", "p")))
+
+
 def reduce_dim(h: DataFrame, d_in: int, d: int) -> DataFrame:
     """poi_id, h projected to the leading ``d`` principal axes; only the d_in x d_in moments reach the driver."""
     cov = np.zeros((d_in, d_in))
@@ -148,7 +170,8 @@ def reduce_dim(h: DataFrame, d_in: int, d: int) -> DataFrame:
         mean[i], mean[j] = si / n, sj / n
     values, vecs = np.linalg.eigh(cov)
     axes = [v * np.sign(v[np.argmax(np.abs(v))]) for v in vecs.T[np.argsort(-values, kind="stable")[:d]]]
-    return h.select("poi_id", F.array(*(vectors.dot(F.col("h"), F.array(*map(F.lit, map(float, a)))) - float(a @ mean) for a in axes)).alias("h"))
+    matrix = F.array(*(F.struct(F.lit(float(a @ mean)).alias("shift"), F.array(*map(F.lit, map(float, a))).alias("axis")) for a in axes))
+    return h.select("poi_id", F.transform(matrix, lambda a: vectors.dot(F.col("h"), a["axis"]) - a["shift"]).alias("h"))
 
 
 def fuse_features(a: DataFrame, b: DataFrame) -> DataFrame:

@@ -101,7 +101,7 @@ def error_breakdown(errors: DataFrame, poi: DataFrame, bins: int = 3) -> DataFra
 
 
 def rank_methods(scores: DataFrame, by: Sequence[str], measure: str = "rmse", higher_is_better: bool = False) -> DataFrame:
-    order = F.desc(measure) if higher_is_better else F.asc(measure)
+    order = F.desc_nulls_last(measure) if higher_is_better else F.asc_nulls_last(measure)
     return scores.withColumn("place", F.rank().over(Window.partitionBy(*by).orderBy(order)))
 
 

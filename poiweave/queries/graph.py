@@ -160,7 +160,7 @@ _M = 6371000.0
 
 #: Vector of each distinct path under the hashed encoder (d = 8), and of each point: CTEs path_v and poi_v.
 HASHED = """path_v AS (SELECT path_key, list(x ORDER BY k) AS v FROM (
-    SELECT path_key, k, sum(pow(0.5::DOUBLE, i - 1) * (((h * (2 * k + 1) + 7919 * k) % 129) - 64) / 64) AS x
+    SELECT path_key, k, sum(pow(0.5::DOUBLE, i - 1) * ((((h * (2654435 + 40503 * k) + 7919 * k) % 16777259) % 129) - 64) / 64) AS x
     FROM (SELECT path_key, i, CAST('0x' || substr(md5(array_to_string(list_slice(category_path, 1, i), '>')), 1, 6) AS BIGINT) AS h
       FROM (SELECT DISTINCT array_to_string(category_path, '>') AS path_key, category_path FROM poi), unnest(range(1, 7)) g(i) WHERE i <= len(category_path)),
       unnest(range(0, 8)) d(k) GROUP BY path_key, k) GROUP BY path_key),
