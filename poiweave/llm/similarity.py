@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .components import connected_components
+from ..operators.components import connected_components
 from .session import cut
 from .textkit import as_bytes, byte_chunks, hash_windows, hash_words, split_words
 
