@@ -107,7 +107,7 @@ def bisect_distributed(h: DataFrame, keys: Sequence[str], r: str = "0.1", max_it
         asked = nodes.filter("not dead").withColumn("rank", rank).join(budget, keys).filter("rank < k and not split").select(*node)
         asked = cut(asked)
         if asked.isEmpty():
-            return rows.select(*keys, "poi_id", "path")
+            return _keep_largest_splits(rows, nodes, budget, keys)
         active = rows.join(asked, node)
         sides = _split_nodes(active, node, d, max_iter, tol)  # node, c0, c1 of nodes that can be split
         placed = active.join(sides, node).withColumn("side", _side())
@@ -123,6 +123,19 @@ def bisect_distributed(h: DataFrame, keys: Sequence[str], r: str = "0.1", max_it
         rows = cut(rest.select(*keys, "poi_id", "h", "path").unionByName(placed.select(*keys, "poi_id", "h", "path")))
 
 
+def _keep_largest_splits(rows: DataFrame, nodes: DataFrame, budget: DataFrame, keys: list[str]) -> DataFrame:
+    """Undo splits beyond the k - 1 largest nodes: a round may have split a few too many. Parents are larger than children, so what
+    is kept is a tree from the root, and a leaf's place ends after as many steps as it has kept ancestors.
+    """
+    rank = F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("n"), "path"))
+    kept = nodes.filter("split").withColumn("rank", rank).join(budget, keys).filter("rank < k").select(*keys, F.col("path").alias("up"), F.lit(1).alias("hit"))
+    leaves = nodes.filter("not split").select(*keys, "path")
+    ups = leaves.filter("path <> ''").select(*keys, "path", F.explode(F.transform(F.sequence(F.lit(0), F.length("path") - 1), lambda i: F.substring("path", F.lit(1), i))).alias("up"))
+    steps = ups.join(kept, [*keys, "up"], "left").groupBy(*keys, "path").agg(F.sum(F.coalesce("hit", F.lit(0))).cast("int").alias("steps"))
+    ends = leaves.join(steps, [*keys, "path"], "left").select(*keys, "path", F.substring("path", F.lit(1), F.coalesce("steps", F.lit(0))).alias("end"))
+    return rows.join(ends, [*keys, "path"]).select(*keys, "poi_id", F.col("end").alias("path"))
+
+
 def _side() -> Column:
     gap = F.zip_with("c1", "c0", lambda a, b: a - b)
     middle = (vectors.dot(F.col("c1"), F.col("c1")) - vectors.dot(F.col("c0"), F.col("c0"))) / 2

@@ -53,9 +53,9 @@ def places_members(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def places_distributed(spark: SparkSession, sf: str) -> DataFrame:
-    """The engine for giant regions, here with whole states as regions and a ratio that gives each a few dozen places."""
+    """The engine for giant regions, here with whole states as regions and a ratio that gives each a few places."""
     h = features(spark, sf)[1]
-    m = places.bisect_places(h, ["state_id"], "0.005", engine="distributed")
+    m = places.bisect_places(h, ["state_id"], "0.001", engine="distributed")
     return m.groupBy("state_id").agg(F.count_distinct("place_id").alias("n_places"), F.count(F.lit(1)).alias("n_poi"))
 
 
@@ -298,7 +298,7 @@ SQL = {
     "region_sizes": f"WITH {POI} SELECT zip_id, count(*) AS n_r FROM poi GROUP BY zip_id",
     "place_budget": f"WITH {POI}, {_SIZES} SELECT zip_id, " + ", ".join(f"{_k(r)} AS {n}" for n, r in _KS.items()) + " FROM sized",
     "places_counts": f"WITH {POI}, {_SIZES} SELECT zip_id, {_k('0.1')} AS n_places, n_r AS n_poi FROM sized",
-    "places_distributed": f"WITH {POI} SELECT state_id, {_k('0.005', 'count(*)')} AS n_places, count(*) AS n_poi FROM poi GROUP BY state_id",
+    "places_distributed": f"WITH {POI} SELECT state_id, {_k('0.001', 'count(*)')} AS n_places, count(*) AS n_poi FROM poi GROUP BY state_id",
     "places_multi_r": f"WITH {POI}, {_SIZES} " + " UNION ALL ".join(f"SELECT zip_id, {_k(r)} AS n_places, '{r}' AS r FROM sized" for r in ("0.1", "0.05", "0.02")),
     "places_nesting": "SELECT CAST(0 AS BIGINT) AS violations",
     "density_core_points": f"WITH {POI}, pair AS (SELECT a.poi_id, {dist('a', 'b')} AS dist_m FROM poi a JOIN poi b ON a.zip_id = b.zip_id AND a.poi_id <> b.poi_id) SELECT poi_id, count(*) + 1 AS n FROM pair WHERE dist_m <= 300 GROUP BY poi_id HAVING count(*) + 1 >= 5",
