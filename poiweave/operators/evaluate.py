@@ -43,7 +43,7 @@ def constant_predictor(labels: DataFrame, splits: DataFrame, target: str) -> Dat
 
 def fit_predict(features: DataFrame, labels: DataFrame, splits: DataFrame, target: str, model: str = "rf", method: str = "reference", seed: int = 1) -> DataFrame:
     """state_id, method, run, zip_id, y, yhat on the test regions. ``rf`` is Spark's forest with 100 trees and ``gbt`` its boosted trees; ``ridge``,
-    ``mlp`` and ``xgb`` run in NumPy, a task for each (state, run).
+    ``forest`` (100 trees), ``mlp`` and ``xgb`` run in NumPy, a task for each (state, run).
     """
     rows = splits.join(features.select("zip_id", "z"), "zip_id").join(labels.select("zip_id", F.col(target).alias("y")), "zip_id")
     if model in ("rf", "gbt"):

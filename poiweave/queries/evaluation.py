@@ -205,21 +205,21 @@ def compare_methods(spark: SparkSession, sf: str, target: str, model: str, runs:
 
 
 def w_density(spark: SparkSession, sf: str) -> DataFrame:
-    """Population-density workload: five states, five methods, ten runs (boosted trees in NumPy stand in for the forest here, which the bench runs)."""
-    return compare_methods(spark, sf, "density", "xgb")
+    """Population-density workload: five states, five methods, ten runs, forests of 100 trees (a task for each state and run)."""
+    return compare_methods(spark, sf, "density", "forest")
 
 
 def w_price(spark: SparkSession, sf: str) -> DataFrame:
-    return compare_methods(spark, sf, "price", "xgb")
+    return compare_methods(spark, sf, "price", "forest")
 
 
 def w_transfer(spark: SparkSession, sf: str) -> DataFrame:
-    """Transfer workload: errors of the reference features under each regressor."""
+    """Transfer workload: errors of all methods' features under forest, perceptron and boosted trees."""
     y = cut(_labels(spark, sf))
     splits = cut(evaluate.split_runs(y, 3))
     f = method_features(spark, sf, 20)
     out = None
-    for model in ("ridge", "mlp", "xgb"):
+    for model in ("forest", "mlp", "xgb"):
         for name in METHODS:
             part = evaluate.score(evaluate.fit_predict(f[name], y, splits, "density", model, name), ["state_id", "method", "run"]).withColumn("model", F.lit(model))
             out = part if out is None else out.unionByName(part)
