@@ -22,17 +22,23 @@ def _nearest(pairs: DataFrame, k: int) -> DataFrame:
     return pairs.withColumn("rank", rank).filter(F.col("rank") <= k)
 
 
-def knn_tiled(poi: DataFrame, k: int = 5, metric: str = "haversine", degrees: float = 0.05, most_rounds: int = 24) -> DataFrame:
+def knn_tiled(poi: DataFrame, k: int = 5, metric: str = "haversine", degrees: float = 0.05, most_points: int = 256, most_rounds: int = 40) -> DataFrame:
     """The same edges by tiles. In round ``i`` an open point looks at its tile and ``2**i`` rings; it is final once its k-th
     distance is at most the distance to the searched area's border (taken at the area's highest latitude, where a
     degree of longitude is shortest). Only open points go to the next round, whose tiles are twice as
-    wide, so the number of tiles looked at stays nine; a point whose area holds its whole state is final.
+    wide, so the number of tiles looked at stays nine; a point whose area holds its whole state is final. The first tiles are
+    halved until none holds more than ``most_points`` (or is ten metres wide), so dense cities do not square their points.
     """
     base = cut(poi.select("state_id", "poi_id", "lat", "lon"))
     extent = base.groupBy("state_id").agg(F.min("lat").alias("b_lat"), F.max("lat").alias("t_lat"), F.min("lon").alias("l_lon"), F.max("lon").alias("r_lon"), F.count(F.lit(1)).alias("n_state"))
     n_states = extent.count()
     extent = F.broadcast(extent) if n_states <= 100_000 else extent
     open_, done, size = base, None, degrees
+    while size > 1e-4:
+        fullest = base.groupBy("state_id", geo.tile(F.col("lon"), size), geo.tile(F.col("lat"), size)).count().agg(F.max("count")).first()[0]
+        if (fullest or 0) <= most_points:
+            break
+        size /= 2
     for _ in range(most_rounds):
         there = base.select("state_id", F.col("poi_id").alias("dst"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"), geo.tile(F.col("lon"), size).alias("tx"), geo.tile(F.col("lat"), size).alias("ty"))
         here = open_.withColumns({"cx": geo.tile(F.col("lon"), size), "cy": geo.tile(F.col("lat"), size)})
@@ -103,7 +109,7 @@ def region_scale(poi: DataFrame, edges: DataFrame | None = None, how: str = "bbo
 
 
 def edge_weight(edges: DataFrame, scale: DataFrame, cross: float = 0.4, power: float = 1.5, cross_scale: str = "max", clip: bool = True, unit: float = 1.0) -> DataFrame:
-    """Regioned edges plus ``w_raw``: log of (1 + L^power) / (1 + d^power), at most lessened by ``cross`` between regions.
+    """Regioned edges plus ``w_raw``: log of (1 + L^power) / (1 + d^power), times ``cross`` for edges between regions.
 
     ``unit`` divides lengths (1: metres, 1000: kilometres). A cross edge is measured against the larger, mean or smaller scale of its regions.
     """

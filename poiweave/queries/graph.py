@@ -55,7 +55,7 @@ def weighted_edges(spark: SparkSession, sf: str, how: str = "minmax") -> tuple[D
 
 
 def dist_haversine(spark: SparkSession, sf: str) -> DataFrame:
-    p = points.points(spark, sf).join(F.broadcast(points.zip_cells(spark, sf).select("zip_id", "lat0", "lon0")), "zip_id")
+    p = points.points(spark, sf).join(points.zip_cells(spark, sf).select("zip_id", "lat0", "lon0"), "zip_id")
     return p.select("poi_id", F.round(geo.haversine_m(F.col("lat"), F.col("lon"), F.col("lat0"), F.col("lon0")), 4).alias("dist_m"))
 
 
@@ -96,7 +96,7 @@ def delaunay_state_edges(spark: SparkSession, sf: str) -> DataFrame:
 
 def coincident_points(spark: SparkSession, sf: str) -> DataFrame:
     snapped = (F.col("poi_id") * 47 + 9) % 400 == 0
-    cells = F.broadcast(points.zip_cells(spark, sf).select("zip_id", "lat0", "lon0"))
+    cells = points.zip_cells(spark, sf).select("zip_id", "lat0", "lon0")
     p = points.points(spark, sf).join(cells, "zip_id")
     p = p.withColumns({"lat": F.when(snapped, F.col("lat0") + 0.05).otherwise(F.col("lat")), "lon": F.when(snapped, F.col("lon0") + 0.05).otherwise(F.col("lon"))})
     return graph.coincident_points(p)

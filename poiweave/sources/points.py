@@ -24,8 +24,8 @@ def pick(values: tuple[int, ...], index: Column) -> Column:
 
 
 def zip_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One square cell for every supplier, laid out row by row inside its state. Size: a row for each region, far fewer than points."""
-    s = table(spark, sf_dir, "supplier").select("s_suppkey", "s_nationkey").join(F.broadcast(table(spark, sf_dir, "nation").select("n_nationkey", "n_regionkey")), F.col("s_nationkey") == F.col("n_nationkey"))
+    """One square cell for every supplier, laid out row by row inside its state. The optimiser broadcasts it where its estimated size allows."""
+    s = table(spark, sf_dir, "supplier").select("s_suppkey", "s_nationkey").join(table(spark, sf_dir, "nation").select("n_nationkey", "n_regionkey"), F.col("s_nationkey") == F.col("n_nationkey"))
     state = Window.partitionBy("n_regionkey")
     s = s.withColumn("idx", F.row_number().over(state.orderBy("s_nationkey", "s_suppkey")).cast("long") - 1).withColumn("w", F.ceil(F.sqrt(F.count(F.lit(1)).over(state))).cast("long"))
     lat0 = F.lit(LAT0) + F.lit(SIDE) * F.floor(F.col("idx") / F.col("w"))
@@ -49,7 +49,7 @@ def category_path() -> Column:
 
 def points(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The ``poi`` table: columns of :data:`poiweave.schema.POI` plus u and v free."""
-    cells = F.broadcast(zip_cells(spark, sf_dir))
+    cells = zip_cells(spark, sf_dir)
     part = table(spark, sf_dir, "part").select("p_partkey", "p_type", category_path().alias("category_path"))
     base = distinct_lines(spark, sf_dir).select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("poi_id"), "l_partkey", F.col("l_suppkey").alias("zip_id"), "l_shipdate", "l_linestatus")
     rows = base.join(part, F.col("l_partkey") == F.col("p_partkey")).join(cells, "zip_id")
@@ -107,7 +107,7 @@ def labels(poi: DataFrame, cells: DataFrame) -> DataFrame:
     """Planted labels of every region: ``density`` (partly explained by categories) and ``price`` (hardly)."""
     area = F.lit(11.132 * 11.132) * F.cos(F.radians(F.col("lat0") + SIDE / 2))
     sums = poi.groupBy("zip_id").agg(F.sum(pick(DENSITY, F.col("t"))).alias("people"), F.avg(F.when(F.col("t").isin(1, 3), 1.0).otherwise(0.0)).alias("share"))
-    rows = sums.join(F.broadcast(cells), "zip_id")
+    rows = sums.join(cells, "zip_id")
     price = F.lit(100.0) + 30 * (F.col("county_id") % 7) + 60 * F.col("share") + F.col("zip_id") * 37 % 41
     return rows.select("state_id", "county_id", "zip_id", (F.col("people") / area).alias("density"), price.alias("price"))
 

@@ -32,8 +32,8 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Process all that is there and stop; the sink is a Parquet table in the shared folder.
 
-    ``complete`` and ``update`` results are written by batches, the last state of a key (all columns but the measures is not known here, so
-    ``complete`` keeps the last batch only).
+    With ``complete`` only the last batch is kept, the state of all keys; with ``update`` all updates are kept, so a key has one
+    row for each batch that touched it.
     """
     spark = stream.sparkSession
     out = _place(spark, "sink")
