@@ -195,7 +195,7 @@ def link_documents(documents: DataFrame, recall: float = RECALL, block: int = BL
 
     ``class_id`` is the smallest id of the documents connected by verified links; ``n_links`` counts the other rows whose
     similarity reaches the threshold, equal ones included. A text without words (null, empty) has no links and is a class of its
-    own; rows without an id get class null and no links, and take no part. Repeated rows are copies of each other. Extra columns
+    own; rows without an id get class null and no links, and take no part. Ids are integers, each naming one text; repeated rows are copies of each other. Extra columns
     are ignored; an empty table gives an empty result.
     """
     prefix = prefix_length(recall=recall)
@@ -213,7 +213,8 @@ def link_documents(documents: DataFrame, recall: float = RECALL, block: int = BL
     chosen = cut(chosen)
     wanted = documents.select(F.col("doc_id"), "text").join(chosen.select(F.col("least_id").alias("doc_id")).distinct(), "doc_id", "left_semi")
     sets = wanted.select("text").mapInArrow(_shingles, "node bigint, shingles binary")
-    sets = chosen.join(sets, "node").select("node", "root", "docs", "shingles")
+    # from here a node goes by its smallest document id, so a class's least node names the class
+    sets = chosen.join(sets, "node").select("root", F.col("least_id").cast("long").alias("node"), "docs", "shingles")
     sizes = chosen.groupBy("root").agg(F.count(F.lit(1)).alias("size"))
     blocks = F.ceil(F.col("size") / block).cast("int")
     dealt = sets.join(sizes.select("root", blocks.alias("blocks")), "root").withColumn("block", F.pmod(F.xxhash64(F.lit(4), "node"), F.col("blocks")).cast("int"))
@@ -222,11 +223,10 @@ def link_documents(documents: DataFrame, recall: float = RECALL, block: int = BL
     tasks = dealt.repartition("root", "i", "j").sortWithinPartitions("root", "i", "j", "block", "node")
     verified = cut(tasks.mapInArrow(_verify_groups, "node bigint, linked bigint, root bigint"))
 
-    linked = verified.groupBy("node").agg(F.sum("linked").alias("linked"))
-    classes = connected_components(verified.select(F.col("node").alias("a"), F.col("root").alias("b")))
-    joined = nodes.select("node", "least_id", "docs").join(linked, "node", "left").join(classes, "node", "left").withColumn("top", F.coalesce("root", "node"))
-    least = joined.groupBy("top").agg(F.min("least_id").alias("class_id"))
-    joined = cut(joined.join(least, "top").select(F.col("node").alias("__node"), "class_id", (F.coalesce("linked", F.lit(0)) + F.col("docs") - 1).alias("n_links")))
+    linked = verified.groupBy(F.col("node").alias("least_id")).agg(F.sum("linked").alias("linked"))
+    classes = connected_components(verified.select(F.col("node").alias("a"), F.col("root").alias("b"))).withColumnRenamed("node", "least_id")
+    joined = nodes.select("node", F.col("least_id").cast("long").alias("least_id"), "docs").join(linked, "least_id", "left").join(classes, "least_id", "left")
+    joined = cut(joined.select(F.col("node").alias("__node"), F.coalesce("root", "least_id").cast(kind).alias("class_id"), (F.coalesce("linked", F.lit(0)) + F.col("docs") - 1).alias("n_links")))
     alone = F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id"))
     key = F.when(F.col("doc_id").isNotNull(), F.col("node"))
     return own.join(joined, key == F.col("__node"), "left").select("doc_id", alone.alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
