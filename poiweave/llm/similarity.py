@@ -25,7 +25,7 @@ from .textkit import as_bytes, byte_chunks, hash_windows, hash_words, split_word
 SHINGLE, THRESHOLD_PARTS = 5, (4, 5)
 TREES, DEPTH, RECALL = 24, 10, 0.9993
 #: Rows of one verified block: a task holds two blocks.
-BLOCK = 512
+BLOCK = 128
 _COLUMNS = 4096
 
 
