@@ -235,10 +235,13 @@ def mix_digest(documents: DataFrame, shards: int = 16, seed: int = 8) -> DataFra
 
 
 def mixed_texts(documents: DataFrame, shards: int = 16, seed: int = 8) -> DataFrame:
-    """The mix: the columns of ``documents``, a row for every copy, dealt to shards and shuffled inside them."""
+    """The mix: the columns of ``documents``, a row for every copy, dealt to shards and shuffled inside them.
+
+    Shards follow each other in the range-partitioned output; a shard may span as many partitions as its bytes need.
+    """
     names = documents.columns
     own = {c: f"__own_{c}" for c in names if c in ("source_size", "target", "placements")}  # columns that happen to have our names
     out = mix(documents.withColumnsRenamed(own), shards, seed).select(*(own.get(c, c) for c in names), F.explode("placements").alias("__to"))
-    dealt = out.repartitionByRange(shards, F.col("__to.shard"), F.xxhash64(F.lit(seed), "doc_id", F.col("__to.rep")))
+    dealt = out.repartitionByRange(F.col("__to.shard"), F.xxhash64(F.lit(seed), "doc_id", F.col("__to.rep")))
     dealt = dealt.sortWithinPartitions(F.col("__to.shard"), F.xxhash64(F.lit(seed), "doc_id", F.col("__to.rep")))
     return dealt.select(*(F.col(own.get(c, c)).alias(c) for c in names))
