@@ -8,23 +8,24 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .kmeans import bisect
 from .places import budget_of
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def vec_norm(v: pd.Series) -> pd.Series:
     return pd.Series([float(np.sqrt(np.square(np.asarray(x, float)).sum())) if x is not None else None for x in v])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def weighted_mean(x: pd.Series, w: pd.Series) -> float:
     total = w.sum()
     return float((x * w).sum() / total) if total else float("nan")
 
 
-@F.udtf(returnType="tx: long, ty: long")
+@F.udtf(returnType=T.StructType([T.StructField("tx", T.LongType()), T.StructField("ty", T.LongType())]))
 class TileRing:
     """The tiles within ``k`` steps of a tile."""
 
@@ -34,7 +35,7 @@ class TileRing:
                 yield x + i, y + j
 
 
-@F.udtf(returnType="region: long, n_places: long, n: long")
+@F.udtf(returnType=T.StructType([T.StructField(n, T.LongType()) for n in ("region", "n_places", "n")]))
 class PlaceSplit:
     """Places of each partition of a table argument (region, poi_id, h, r)."""
 
