@@ -2,7 +2,8 @@
 
 A document is a bag of passages. Each passage is encoded from its characters and words; gated attention, learned
 from document labels only, weighs the passages; the weighted representation is scored. The model is small and
-trained on the driver from a bounded labelled sample; scoring runs over whole texts in Arrow batches.
+trained on the driver from the passage features of a bounded labelled sample; features of whole texts, for training as
+for scoring, are made in Arrow batches.
 """
 
 from __future__ import annotations
@@ -19,8 +20,8 @@ from .session import held_out, label_share, labelled_sample
 from .textkit import as_bytes, byte_chunks, hash_words, split_words
 
 PASSAGE_BYTES = 384
-#: Bounds of the labelled sample: rows of each label, characters of a text.
-SAMPLE_ROWS, SAMPLE_CHARS = 2_000, 12_000
+#: Bound of the labelled sample: rows of each label.
+SAMPLE_ROWS = 2_000
 HIDDEN, GATE, EPOCHS = 24, 12, 80
 CUTOFF = 0.3
 _BINS = np.full(256, 97, np.int64)  # other control characters
@@ -103,15 +104,12 @@ class Model:
         return {"E": s["x"].T @ de, "e": de.sum(axis=0), "V": s["h"].T @ dt, "U": s["h"].T @ dg, "w": (s["t"] * s["g"]).T @ draw, "c": s["z"].T @ dy, "b": np.array(dy.sum())}
 
 
-def train(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = 6) -> Model:
+def train(bags: list[np.ndarray], labels: np.ndarray, epochs: int = EPOCHS, seed: int = 6) -> Model:
     """Adam on the logistic loss, a batch of documents at a time; both labels weigh as often as they come."""
-    labels = np.array([y for _, y in rows], float)
     if len(set(labels.tolist())) < 2:
         return Model(constant=float(labels.mean()) if len(labels) else 0.5)
-    parts = [passages([t.encode() for t, _ in rows[k : k + 100]]) for k in range(0, len(rows), 100)]  # bounds the arrays of byte positions
-    x = np.concatenate([p[0] for p in parts])
-    first = np.concatenate(([0], np.cumsum(np.concatenate([np.diff(p[1]) for p in parts]))))
-    del parts
+    x = np.concatenate(bags)
+    first = np.concatenate(([0], np.cumsum([len(b) for b in bags])))
     mean, scale = x.mean(axis=0), x.std(axis=0) + 0.05
     x = ((x - mean) / scale).astype(np.float32)
     r = np.random.default_rng(seed)
@@ -122,7 +120,7 @@ def train(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = 6) -> M
     step, batch = 0, 64
     for epoch in range(epochs):
         rate = 0.01 * 0.5 * (1 + np.cos(np.pi * epoch / epochs)) + 1e-4
-        order = r.permutation(len(rows))
+        order = r.permutation(len(bags))
         for k in range(0, len(order), batch):
             own = order[k : k + batch]
             at = np.concatenate([np.arange(first[i], first[i + 1]) for i in own])
@@ -138,11 +136,27 @@ def train(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = 6) -> M
     return model
 
 
+def _bags(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for whole in batches:
+        for b in byte_chunks(whole, "__text"):
+            x, first = passages(as_bytes(b.column(2)))
+            bags = [x[i:j].tobytes() for i, j in zip(first[:-1], first[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(bags, pa.binary())], names=["doc_id", "label", "bag"])
+
+
+def training_bags(documents: DataFrame, labels: DataFrame) -> tuple[list[np.ndarray], np.ndarray]:
+    """Features of all passages of every text of the labelled sample, made by the executors, and the labels; in the order of ids."""
+    kind = documents.schema["doc_id"].dataType.simpleString()
+    sample = labelled_sample(documents, labels, "quality", SAMPLE_ROWS).select("doc_id", "__label", "__text")
+    rows = sorted(sample.mapInArrow(_bags, f"doc_id {kind}, label int, bag binary").collect(), key=lambda r: r["doc_id"])
+    return [np.frombuffer(r["bag"], np.float32).reshape(-1, N_FEATURES) for r in rows], np.array([r["label"] for r in rows], float)
+
+
 def fit_quality(documents: DataFrame, labels: DataFrame) -> Model:
-    rows = labelled_sample(documents, labels, "quality", SAMPLE_ROWS, SAMPLE_CHARS)
-    model, share = train(rows), label_share(labels, "quality")
+    bags, own = training_bags(documents, labels)
+    model, share = train(bags, own), label_share(labels, "quality")
     if model.p is not None and share and 0 < share < 1:  # the sample has both labels about equally often
-        drawn = sum(y for _, y in rows) / len(rows)
+        drawn = own.mean()
         model.p["b"] = model.p["b"] + np.float32(np.log(share / (1 - share)) - np.log(drawn / (1 - drawn)))
     return model
 

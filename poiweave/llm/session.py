@@ -55,14 +55,12 @@ def label_share(labels: DataFrame, column: str) -> float | None:
     return labels.filter(F.col(column).isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).agg(F.avg(F.col(column).cast("double"))).first()[0]
 
 
-def labelled_sample(documents: DataFrame, labels: DataFrame, column: str, per_label: int, chars: int) -> list[tuple[str, int]]:
-    """(text, label) of a bounded sample of labelled training rows, the same in every run.
+def labelled_sample(documents: DataFrame, labels: DataFrame, column: str, per_label: int) -> DataFrame:
+    """doc_id, __label, __text of a bounded sample of labelled training rows, the same in every run; texts are whole.
 
-    Only rows that are not held out, with an id and a label of 0 or 1, count. At most about ``per_label`` rows of each label
-    reach the driver, each text cut to ``chars`` characters; a repeated id counts once.
+    Only rows that are not held out, with an id and a label of 0 or 1, count: at most about ``per_label`` of each label. A repeated id counts once.
     """
     known = labels.select("doc_id", F.col(column).cast("int").alias("__label")).filter(F.col("__label").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     chosen = bounded_sample(known, "__label", "doc_id", per_label).groupBy("doc_id").agg(F.max("__label").alias("__label"))
-    texts = documents.select("doc_id", F.substring(F.coalesce("text", F.lit("")), 1, chars).alias("__text"))
-    rows = texts.join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "__label").agg(F.min("__text").alias("__text")).collect()
-    return [(r["__text"], r["__label"]) for r in sorted(rows, key=lambda r: r["doc_id"])]
+    texts = documents.select("doc_id", F.coalesce("text", F.lit("")).alias("__text"))
+    return texts.join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "__label").agg(F.min("__text").alias("__text"))

@@ -3,24 +3,25 @@
 Lexicon and pattern voters look at a document's words. A generative label model estimates, without gold labels, how
 often each voter is right on either class (EM), measures which voters err together, and discounts
 those. Its posterior labels train a linear classifier on hashed words and word beginnings plus
-the votes. Learned lexicons come only from labelled training rows.
+the votes. Learned lexicons come only from labelled training rows, whose whole texts are counted on the executors.
 """
 
 from __future__ import annotations
 
-import hashlib
-from collections import Counter
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from .quality import score_digest
-from .session import label_share, labelled_sample
-from .textkit import Words, _mix, hash_words, split_words
+from .session import cut, label_share, labelled_sample
+from .textkit import Words, _mix, as_bytes, byte_chunks, hash_words, split_words
 
-#: Bounds of the labelled sample: rows of each label, characters of a text.
-SAMPLE_ROWS, SAMPLE_CHARS = 2_500, 12_000
+#: Bound of the labelled sample: rows of each label.
+SAMPLE_ROWS = 2_500
 CUTOFF = 0.5
 #: Insults in four languages, by theme; each line is one lexicon voter.
 LEXICONS = (
@@ -34,6 +35,7 @@ LEXICONS = (
 )
 PREFIXES = (5, 6, 7, 8)
 GROUPS = 6
+VOTES = len(LEXICONS) + GROUPS + 6  #: lexicon voters, then patterns
 _MASK = [np.uint64((1 << (8 * n)) - 1) for n in range(8)] + [np.uint64(0xFFFFFFFFFFFFFFFF)]
 
 
@@ -70,28 +72,52 @@ class Lexicon:
         return counts, np.bincount(doc, weights=best, minlength=n_docs)
 
 
-def learn_lexicon(rows: list[tuple[str, int]], support: float = 0.012, strength: float = 2.5, most: int = 4000) -> dict[int, float]:
-    """Words and word beginnings that toxic training rows hold far more often than others: key to log-odds."""
-    sides = [[t for t, y in rows if y == k] for k in (0, 1)]
-    counts: list[Counter[int]] = []
-    for side in sides:
-        own: Counter[int] = Counter()
-        for k in range(0, len(side), 200):
-            words = split_words([t.encode() for t in side[k : k + 200]])
-            doc = np.repeat(np.arange(len(words.counts)), words.counts).astype(np.uint64)
-            for keys in word_keys(words):
-                ok = keys != 0
-                pair = np.unique(np.stack([keys[ok], doc[ok]]), axis=1)
-                key, n = np.unique(pair[0], return_counts=True)
-                own.update(dict(zip(key.tolist(), n.tolist(), strict=True)))
-            if len(own) > 2_000_000:  # single finds cannot reach the least support soon
-                own = Counter({a: b for a, b in own.items() if b > 1})
-        counts.append(own)
-    n0, n1 = len(sides[0]), len(sides[1])
-    least = max(4, support * n1)
-    odds = {k: float(np.log((c + 0.5) / (n1 + 1)) - np.log((counts[0][k] + 0.5) / (n0 + 1))) for k, c in counts[1].items() if c >= least}
-    strong = sorted(((v, k) for k, v in odds.items() if v >= strength), reverse=True)[:most]
-    return {k: v for v, k in strong}
+def key_counts(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct keys of words and word beginnings, and how many of the texts hold each."""
+    words = split_words(texts)
+    doc = np.repeat(np.arange(len(texts)), words.counts)
+    found = []
+    for keys in word_keys(words):
+        own, at = keys[keys != 0], doc[keys != 0]
+        order = np.lexsort((at, own))
+        own, at = own[order], at[order]
+        fresh = np.append(True, (own[1:] != own[:-1]) | (at[1:] != at[:-1]))[: len(own)]
+        found.append(own[fresh])
+    return np.unique(np.concatenate(found), return_counts=True)
+
+
+def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for whole in batches:
+        for b in byte_chunks(whole, "__text"):
+            part, texts = b.column(1).to_numpy(), as_bytes(b.column(2))
+            for own in np.unique(part):
+                keys, n = key_counts([texts[i] for i in np.flatnonzero(part == own)])
+                yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(np.full(len(keys), own, np.int32)), pa.array(n.astype(np.int64))], names=["key", "part", "n"])
+
+
+def learn_lexicons(sample: DataFrame, sizes: list[int], support: float = 0.012, strength: float = 2.5, most: int = 4000) -> list[dict[int, float]]:
+    """Words and word beginnings that toxic training rows hold far more often than others, as key to log-odds: from fold 0, from fold 1, from both.
+
+    ``sizes`` are the rows of each ``__part`` (twice the fold plus the label). Texts stay on the executors; only keys that enter a lexicon are collected.
+    """
+    counts = sample.mapInArrow(_count, "key long, part int, n long").groupBy("key").agg(*(F.sum(F.when(F.col("part") == k, F.col("n")).otherwise(0)).alias(f"c{k}") for k in range(4)))
+    wanted, sides = F.lit(False), []
+    for folds in ((0,), (1,), (0, 1)):
+        n0, n1 = (sum(sizes[2 * f + y] for f in folds) for y in (0, 1))
+        c0, c1 = (sum((F.col(f"c{2 * f + y}") for f in folds), F.lit(0)) for y in (0, 1))
+        least = max(4, support * n1)
+        sides.append((folds, n0, n1, least))
+        wanted = wanted | ((c1 >= least) & (F.log((c1 + 0.5) / (n1 + 1)) - F.log((c0 + 0.5) / (n0 + 1)) >= strength - 1e-6))
+    rows = counts.filter(wanted).collect()
+    out = []
+    for folds, n0, n1, least in sides:
+        odds = []
+        for r in rows:
+            c0, c1 = (sum(r[1 + 2 * f + y] for f in folds) for y in (0, 1))
+            if c1 >= least:
+                odds.append((float(np.log((c1 + 0.5) / (n1 + 1)) - np.log((c0 + 0.5) / (n0 + 1))), r["key"] % (1 << 64)))
+        out.append({k: v for v, k in sorted((x for x in odds if x[0] >= strength), reverse=True)[:most]})
+    return out
 
 
 @dataclass
@@ -175,20 +201,40 @@ def logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, penalty: float, r
     return w
 
 
-def train(rows: list[tuple[str, int]], share: float | None = None) -> ToxicityModel:
-    """Model from labelled training rows; ``share`` is the share of toxic rows before sampling."""
-    labels = np.array([y for _, y in rows], float)
-    if len(set(labels.tolist())) < 2:
-        return ToxicityModel(constant=float(labels.mean()) if len(labels) else 0.5)
-    share = float(labels.mean()) if share is None else share
+def _features(models: list[ToxicityModel]):
+    """Features of each training row under the model whose lexicon comes from the other fold, so that its votes are honest."""
+
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in byte_chunks(whole, "__text"):
+                part, texts = b.column(1).to_numpy(), as_bytes(b.column(2))
+                for fold in (0, 1):
+                    at = np.flatnonzero(part // 2 == fold)
+                    if len(at):
+                        _, x = models[1 - fold].views([texts[i] for i in at])
+                        yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at)), pa.array(part[at], pa.int32()), pa.array([v.tobytes() for v in x], pa.binary())], names=["doc_id", "part", "x"])
+
+    return scan
+
+
+def train(sample: DataFrame, share: float | None = None) -> ToxicityModel:
+    """Model from labelled training rows (doc_id, __label, __text); ``share`` is the share of toxic rows before sampling."""
+    kind = sample.schema["doc_id"].dataType.simpleString()
+    fold = F.conv(F.substring(F.sha2(F.col("__text").cast("binary"), 256), 2, 1), 16, 10).cast("int") % 2
+    sample = cut(sample.select("doc_id", (fold * 2 + F.col("__label")).alias("__part"), "__text"))
+    met = dict(sample.groupBy("__part").count().collect())
+    sizes = [met.get(k, 0) for k in range(4)]
+    toxic, n = sizes[1] + sizes[3], sum(sizes)
+    if toxic in (0, n):
+        return ToxicityModel(constant=toxic / n if n else 0.5)
     # lexicons from one half, so that votes on the other half are honest; then lexicons from all for use
-    fold = np.array([hashlib.sha256(t.encode()).digest()[0] % 2 for t, _ in rows])
-    parts = []
-    for half in (0, 1):
-        model = ToxicityModel(lexicon=_lexicon(learn_lexicon([r for r, f in zip(rows, fold, strict=True) if f != half])))
-        parts.append((half, model.views([t.encode() for (t, _), f in zip(rows, fold, strict=True) if f == half])))
-    own = np.concatenate([labels[fold == half] for half, _ in parts])
-    votes, x = (np.concatenate([v[k] for _, v in parts]) for k in (0, 1))
+    *halves, whole = (_lexicon(x) for x in learn_lexicons(sample, sizes))
+    rows = sample.mapInArrow(_features([ToxicityModel(lexicon=x) for x in halves]), f"doc_id {kind}, part int, x binary").collect()
+    rows.sort(key=lambda r: (r["part"] // 2, r["doc_id"]))
+    own = np.array([r["part"] % 2 for r in rows], float)
+    x = np.stack([np.frombuffer(r["x"]) for r in rows])
+    votes = x[:, :VOTES]
+    share = float(own.mean()) if share is None else share
     labeller = fit_label_model(votes, float(own.mean()))
     posterior = labeller.posterior(votes)
     soft = 0.5 * posterior + 0.5 * own  # posterior labels, anchored by the training labels that are known
@@ -196,7 +242,7 @@ def train(rows: list[tuple[str, int]], share: float | None = None) -> ToxicityMo
     mean, scale = x.mean(axis=0), x.std(axis=0) + 0.05
     mean[-1], scale[-1] = 0.0, 1.0
     weights = logistic((x - mean) / scale, soft, balance, penalty=2.0)
-    return ToxicityModel(lexicon=_lexicon(learn_lexicon(rows)), labeller=labeller, weights=weights, mean=mean, scale=scale)
+    return ToxicityModel(lexicon=whole, labeller=labeller, weights=weights, mean=mean, scale=scale)
 
 
 def _lexicon(learned: dict[int, float]) -> Lexicon:
@@ -209,7 +255,7 @@ def _lexicon(learned: dict[int, float]) -> Lexicon:
 
 
 def fit_toxicity(documents: DataFrame, labels: DataFrame) -> ToxicityModel:
-    return train(labelled_sample(documents, labels, "toxic", SAMPLE_ROWS, SAMPLE_CHARS), label_share(labels, "toxic"))
+    return train(labelled_sample(documents, labels, "toxic", SAMPLE_ROWS), label_share(labels, "toxic"))
 
 
 def score_toxicity(documents: DataFrame, labels: DataFrame) -> DataFrame:

@@ -311,3 +311,17 @@ def test_chat_pieces_of_a_long_conversation(monkeypatch):
     out = [x for p in chat._digest(iter(pieces)) for x in p.to_pylist()]
     assert [(x["conv_id"], x["n_turns"]) for x in out] == [(7, 200), (8, 1)]
     assert out[0]["turns_sha256"] == hashlib.sha256("".join(f"{r}\n{t}\n" for c, r, t in rows if c == 7).encode()).hexdigest()
+
+
+def test_classifiers_learn_from_the_ends_of_long_texts(spark):
+    r = random.Random(3)
+    prose = lambda n: " ".join(r.choice(["river", "stone", "garden", "morning", "letter", "window"]) for _ in range(n))
+    rows = [(k, prose(2000) + " " + ("zorblax @@## {{}} " * 60 if k % 2 else prose(150))) for k in range(120)]
+    assert min(t.find("zorblax") for _, t in rows if "zorblax" in t) > 12_000
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    y = spark.createDataFrame([(k, 1 - k % 2, k % 2) for k, _ in rows], "doc_id long, quality int, toxic int")
+    assert toxicity.key_of("zorblax") in toxicity.fit_toxicity(d, y).lexicon.keys.tolist()
+    scores = quality.fit_quality(d, y).scores([rows[k][1].encode() for k in (0, 1, 2, 3)])
+    assert min(scores[0], scores[2]) > 0.7 and max(scores[1], scores[3]) < 0.3
+    kept = [t for k, t in rows if k in {x.doc_id for x in y.join(d, "doc_id").filter(~quality.held_out(F.col("doc_id"))).collect()}]
+    assert [len(b) for b in quality.training_bags(d, y)[0]] == [-(-len(t.encode()) // quality.PASSAGE_BYTES) for t in kept]
