@@ -101,21 +101,21 @@ def factorise(cells: DataFrame, d: int, most: int = MAX_CATEGORIES) -> tuple[lis
 def fit_sequence_encoder(visits: DataFrame, paths: DataFrame, levels: int = 6, d: int = 30, window: int = 2, method: str = "ppmi") -> DataFrame:
     """path_key, v: each level has its own block of d / levels dimensions; a path that ends earlier inherits its last block's zeros.
 
-    ``ppmi`` factorises co-visits of every level; ``w2v`` trains Word2Vec on the visit sequences of whole paths.
+    ``ppmi`` factorises co-visits of every level, and every path joins the tables of its prefixes; ``w2v`` trains Word2Vec on the visit sequences of whole paths.
     """
     spark = visits.sparkSession
     if method == "w2v":
         return _word2vec(visits.select("visitor", "pos", category.key(F.col("category_path")).alias("word")), d, window)
     block = d // levels
-    rows, held = [], {}
+    out, parts = paths.select("path_key", "category_path"), []
     for level in range(1, levels + 1):
         names, v = factorise(ppmi(covisit_counts(visits, level, window)), block)
-        held[level] = dict(zip(names, v, strict=True))
-    for r in paths.limit(MAX_CATEGORIES * levels + 1).collect():
-        p = r["category_path"]
-        parts = [held[k].get(">".join(p[:k]), np.zeros(block)) if k <= len(p) else np.zeros(block) for k in range(1, levels + 1)]
-        rows.append((r["path_key"], [float(x) for x in np.concatenate([*parts, np.zeros(d - block * levels)])]))
-    return spark.createDataFrame(rows, T.StructType([T.StructField("path_key", T.StringType()), T.StructField("v", T.ArrayType(T.DoubleType()))]))
+        known = spark.createDataFrame([(n, x.tolist()) for n, x in zip(names, v, strict=True)], f"p{level} string, v{level} array<double>")
+        own = F.when(F.size("category_path") >= level, category.prefix(F.col("category_path"), level))
+        out = out.withColumn(f"p{level}", own).join(known, f"p{level}", "left").drop(f"p{level}")
+        parts.append(F.coalesce(f"v{level}", F.array(*([F.lit(0.0)] * block))))
+    rest = [F.array(*([F.lit(0.0)] * (d - block * levels)))] if d > block * levels else []
+    return out.select("path_key", F.concat(*parts, *rest).alias("v"))
 
 
 def _word2vec(words: DataFrame, d: int, window: int) -> DataFrame:

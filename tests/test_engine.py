@@ -278,3 +278,12 @@ def test_stream_state_handles_closures(spark):
 def test_vector_expressions_guard_zero(spark):
     z = spark.range(1).select(F.array(F.lit(0.0), F.lit(0.0)).alias("a"), F.array(F.lit(1.0), F.lit(0.0)).alias("b"))
     assert z.select(vectors.cosine(F.col("a"), F.col("b"))).first()[0] is None
+
+
+def test_sequence_encoder_keeps_every_path(spark):
+    visits = spark.createDataFrame([("x", k, ["a" if k % 3 else "b"]) for k in range(12)], "visitor string, pos long, category_path array<string>")
+    paths = encode.distinct_paths(spark.range(5000).select(F.array(F.when(F.col("id") % 2 == 0, "a").otherwise("b"), F.col("id").cast("string")).alias("category_path")))
+    got = encode.fit_sequence_encoder(visits, paths, levels=1, d=3)
+    assert got.count() == got.select("path_key").distinct().count() == 5000
+    assert got.filter(F.size("v") == 3).groupBy(F.substring("path_key", 1, 1)).agg(F.count_distinct("v").alias("n")).filter("n = 1").count() == 2
+    assert got.filter(F.exists("v", lambda x: x != 0)).count() > 0
