@@ -8,13 +8,15 @@ from pyspark.sql import functions as F
 from ..functions import vectors
 from ..operators import baselines, encode, evaluate, graph, places, propagate, regions
 from ..operators.session import cut
-from ..plans.plan import Config, PlacePlan
+from ..plans.plan import Config, PlacePlan, adjacency
 from ..sources import points
 from .features import D, UNIT, _knn_graph, hashed, hops_sql, mix_sql
 from .graph import HASHED, KNN, knn_edges
 from .oracle import LABEL, POI
 from .places import ALPHA, ZIP, _z, features
 
+#: Fixed values of the protocol for the compared methods: dimension of all vectors, epochs of the trained baseline.
+WIDTH, EPOCHS = 30, 100
 METHODS = ("mean", "cooc", "infomax", "pretrained", "reference")
 
 
@@ -172,22 +174,23 @@ def align_dimension(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
-def method_features(spark: SparkSession, sf: str, epochs: int = 40) -> dict[str, DataFrame]:
-    """Region vectors (zip_id, z) of all methods at one dimension."""
+def method_features(spark: SparkSession, sf: str, epochs: int = EPOCHS, d: int = WIDTH) -> dict[str, DataFrame]:
+    """Region vectors (zip_id, z) of all methods at one dimension; the reference method spreads over the weighted triangulation."""
     p, e = knn_edges(spark, sf)
     p, e = cut(p), cut(e)
-    table = cut(encode.hash_encoder(encode.distinct_paths(p), D))
-    v = cut(encode.encode_poi(p, table, D))
+    table = cut(encode.hash_encoder(encode.distinct_paths(p), d))
+    v = cut(encode.encode_poi(p, table, d))
     a = cut(graph.normalise_adjacency(graph.unit_weights(e), p))
+    weighted = cut(adjacency(p, Config(graph="delaunay")))
     z = p.select("poi_id", "state_id", "zip_id")
     cells = points.zip_cells(spark, sf)
     touch = regions.region_adjacency(cells).join(cells.select(F.col("zip_id").alias("a"), "state_id"), "a")
     out = {
-        "mean": baselines.mean_baseline(p, table, ZIP, D),
-        "cooc": baselines.cooccurrence_baseline(p, e, ZIP, D),
-        "infomax": baselines.infomax_baseline(propagate.hop(v, a, D).join(z, "poi_id"), touch, D, epochs),
-        "pretrained": baselines.pretrained_baseline(cells, points.table(spark, sf, "embeddings"), D),
-        "reference": regions.region_mean(propagate.propagate(v, a, ALPHA, D).join(z, "poi_id"), ZIP, D),
+        "mean": baselines.mean_baseline(p, table, ZIP, d),
+        "cooc": baselines.cooccurrence_baseline(p, e, ZIP, d),
+        "infomax": baselines.infomax_baseline(propagate.hop(v, a, d).join(z, "poi_id"), touch, d, epochs),
+        "pretrained": baselines.pretrained_baseline(cells, points.table(spark, sf, "embeddings"), d),
+        "reference": regions.region_mean(propagate.propagate(v, weighted, ALPHA, d).join(z, "poi_id"), ZIP, d),
     }
     return {k: cut(f.select("zip_id", "z")) for k, f in out.items()}
 
@@ -216,8 +219,8 @@ def w_price(spark: SparkSession, sf: str) -> DataFrame:
 def w_transfer(spark: SparkSession, sf: str) -> DataFrame:
     """Transfer workload: errors of all methods' features under forest, perceptron and boosted trees."""
     y = cut(_labels(spark, sf))
-    splits = cut(evaluate.split_runs(y, 3))
-    f = method_features(spark, sf, 20)
+    splits = cut(evaluate.split_runs(y))
+    f = method_features(spark, sf)
     out = None
     for model in ("forest", "mlp", "xgb"):
         for name in METHODS:

@@ -9,6 +9,7 @@ from poiweave.operators import baselines, delaunay, encode, evaluate, graph, pla
 from poiweave.operators.components import connected_components
 from poiweave.operators.session import cut
 from poiweave.plans.plan import Config, PlaceEngine, PlacePlan
+from poiweave.queries import evaluation
 from poiweave.sources import points
 from poiweave.streaming import streams
 
@@ -287,3 +288,15 @@ def test_sequence_encoder_keeps_every_path(spark):
     assert got.count() == got.select("path_key").distinct().count() == 5000
     assert got.filter(F.size("v") == 3).groupBy(F.substring("path_key", 1, 1)).agg(F.count_distinct("v").alias("n")).filter("n = 1").count() == 2
     assert got.filter(F.exists("v", lambda x: x != 0)).count() > 0
+
+
+def test_compared_methods_have_the_protocol_dimension(spark, sf):
+    assert {(r.method, r.d) for r in evaluation.align_dimension(spark, sf).collect()} == {(m, 30) for m in evaluation.METHODS}
+
+
+def test_transfer_workload_runs_the_whole_protocol(spark, sf, monkeypatch):
+    asked = []
+    monkeypatch.setattr(evaluation, "method_features", lambda *a, epochs=evaluation.EPOCHS: asked.append((a[2:], epochs)) or {m: None for m in evaluation.METHODS})
+    monkeypatch.setattr(evaluate, "fit_predict", lambda f, y, splits, *a: splits.select("state_id", F.lit(a[2]).alias("method"), "run", F.lit(1.0).alias("y"), F.lit(1.0).alias("yhat")))
+    assert {r.runs for r in evaluation.w_transfer(spark, sf).collect()} == {evaluate.RUNS}
+    assert asked == [((), 100)]
