@@ -130,7 +130,7 @@ def region_grid(means: Sequence[DataFrame], grid: DataFrame, d: int) -> DataFram
     return rows.select("zip_id", *(f"a{k}" for k in range(len(means))), z.alias("z"))
 
 
-def tune(means: Sequence[DataFrame], labels: DataFrame, target: str, grid: DataFrame, d: int, runs: int = 3, model: str = "ridge") -> DataFrame:
+def tune(means: Sequence[DataFrame], labels: DataFrame, target: str, grid: DataFrame, d: int, runs: int = RUNS, model: str = "ridge") -> DataFrame:
     """state_id, a0, a1, a2, rmse of all settings, best first inside a state (place 1)."""
     rows = region_grid(means, grid, d).filter("a0 + a1 + a2 > 0")
     splits = split_runs(labels, runs)

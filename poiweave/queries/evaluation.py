@@ -148,7 +148,12 @@ def alpha_region_combo(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def tune_settings(spark: SparkSession, sf: str) -> DataFrame:
-    return evaluate.tune(_hop_means(spark, sf), cut(_labels(spark, sf)), "density", evaluate.alpha_grid(spark), D).filter("place <= 3")
+    """The three best settings of each state and target. Region vectors, and so the errors, are the same for every ratio r."""
+    means, y, out = _hop_means(spark, sf), cut(_labels(spark, sf)), None
+    for target in ("density", "price"):
+        part = evaluate.tune(means, y, target, evaluate.alpha_grid(spark), D).filter("place <= 3").withColumn("target", F.lit(target))
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 def speedup(spark: SparkSession, sf: str) -> DataFrame:
@@ -231,12 +236,12 @@ def w_transfer(spark: SparkSession, sf: str) -> DataFrame:
 
 def predict_rf(spark: SparkSession, sf: str) -> DataFrame:
     y = cut(_labels(spark, sf))
-    return evaluate.fit_predict(cut(regions.region_mean(features(spark, sf)[1], ZIP, D)), y, cut(evaluate.split_runs(y, 1)), "density", "rf")
+    return evaluate.fit_predict(cut(regions.region_mean(features(spark, sf)[1], ZIP, D)), y, cut(evaluate.split_runs(y)), "density", "rf")
 
 
 def predict_gbt(spark: SparkSession, sf: str) -> DataFrame:
     y = cut(_labels(spark, sf))
-    return evaluate.fit_predict(cut(regions.region_mean(features(spark, sf)[1], ZIP, D)), y, cut(evaluate.split_runs(y, 1)), "density", "gbt")
+    return evaluate.fit_predict(cut(regions.region_mean(features(spark, sf)[1], ZIP, D)), y, cut(evaluate.split_runs(y)), "density", "gbt")
 
 
 def _predict(spark: SparkSession, sf: str, model: str) -> DataFrame:

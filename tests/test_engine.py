@@ -300,3 +300,23 @@ def test_transfer_workload_runs_the_whole_protocol(spark, sf, monkeypatch):
     monkeypatch.setattr(evaluate, "fit_predict", lambda f, y, splits, *a: splits.select("state_id", F.lit(a[2]).alias("method"), "run", F.lit(1.0).alias("y"), F.lit(1.0).alias("yhat")))
     assert {r.runs for r in evaluation.w_transfer(spark, sf).collect()} == {evaluate.RUNS}
     assert asked == [((), 100)]
+
+
+@pytest.mark.parametrize("name", ["predict_rf", "predict_gbt"])
+def test_tree_predictions_cover_all_runs(spark, sf, monkeypatch, name):
+    monkeypatch.setattr(evaluation, "features", lambda *_: (None, None))
+    monkeypatch.setattr(regions, "region_mean", lambda *_: spark.range(1))
+    monkeypatch.setattr(evaluate, "fit_predict", lambda f, y, splits, *_: splits.filter("not is_train"))
+    assert {r.run for r in getattr(evaluation, name)(spark, sf).select("run").distinct().collect()} == set(range(evaluate.RUNS))
+
+
+def test_tuning_covers_both_targets_and_all_runs(spark, monkeypatch):
+    y = spark.createDataFrame([(0, k, float(k), float(-k * k)) for k in range(10)], "state_id int, zip_id long, density double, price double")
+    means = [y.select("zip_id", F.array(F.col("density") * m, F.sin("density")).alias("z")) for m in (1.0, 0.5, 0.2)]
+    grid = evaluate.alpha_grid(spark, step=1.0)
+    ten, default = (sorted((r.a0, r.a1, r.a2, round(r.rmse, 9)) for r in evaluate.tune(means, y, "price", grid, 2, *more).collect()) for more in ((evaluate.RUNS,), ()))
+    assert ten == default
+    monkeypatch.setattr(evaluation, "_hop_means", lambda *_: means)
+    monkeypatch.setattr(evaluation, "_labels", lambda *_: y)
+    monkeypatch.setattr(evaluate, "tune", lambda m, y, target, *_: spark.range(5).select((F.col("id") + 1).alias("place")))
+    assert sorted((r.target, r.place) for r in evaluation.tune_settings(spark, "").collect()) == [(t, k) for t in ("density", "price") for k in (1, 2, 3)]
