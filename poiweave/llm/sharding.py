@@ -1,10 +1,11 @@
 """Histogram sort: shards of near equal bytes by refined splitters and one exchange.
 
 Every row gets a 62-bit key: 32 bits of its text's hash, then 30 bits of its id's, so equal texts lie
-side by side, yet a group of copies of any size can be cut. Candidate boundaries (probes) are laid
+side by side. Candidate boundaries (probes) are laid
 between the known bounds of each splitter, the exact bytes and rows below each probe are
 counted across all partitions, and the bounds close in until a splitter meets the tolerance or no key
-is left between them. Then rows move once, to slices of the key range, and get slots there.
+is left between them. A key that is too heavy for that (repeated rows) is cut inside, after a counted number of its rows: these are numbered
+across partitions by their counts, so no key needs to fit a task. Then rows move once, to slices of the key range, and get slots there.
 """
 
 from __future__ import annotations
@@ -27,15 +28,30 @@ PROBE_BUDGET = 1 << 15
 
 @dataclass(frozen=True)
 class Splitters:
-    """Cuts of the key range into ``shards * per_shard`` slices; a key equal to a cut lies right of it."""
+    """Cuts of the key range into ``shards * per_shard`` slices. Left of a cut lie the rows with smaller keys, and the first ``within`` rows of its own key."""
 
     keys: np.ndarray
+    within: np.ndarray
     rows_below: np.ndarray
     bytes_below: np.ndarray
     shards: int
     per_shard: int
     rounds: int
 
+    def heavy(self) -> list[int]:
+        """Keys with a cut inside."""
+        return np.unique(self.keys[self.within > 0]).tolist()
+
+    def slices(self, key: np.ndarray, rank: np.ndarray | None = None) -> np.ndarray:
+        """The slice of every row by its key and, for heavy keys, its number among the rows of the key."""
+        if rank is None:
+            return np.searchsorted(self.keys, key, side="right").astype(np.int64)
+        out = np.searchsorted(self.keys, key, side="left").astype(np.int64)
+        for k in self.heavy():
+            own = key == k
+            out[own] += np.searchsorted(self.within[self.keys == k], rank[own], side="right")
+        return out
+
 
 def text_size(text: Column) -> Column:
     """UTF-8 bytes of a text (null: none) plus one."""
@@ -96,37 +112,62 @@ def find_splitters(keyed: DataFrame, shards: int, tolerance: float, slice_bytes:
         low, low_b, low_r = np.where(up, probes[left], low), np.where(up, below[left], low_b), np.where(up, count[left], low_r)
         down = (at < len(probes)) & (probes[right] < high)
         high, high_b, high_r = np.where(down, probes[right], high), np.where(down, below[right], high_b), np.where(down, count[right], high_r)
-    take_low = goal - low_b <= high_b - goal
+    # one key between the bounds, and neither side near enough: the cut goes inside the key (its rows are as long as each other)
+    inside = (near > allowed) & (high_r - low_r > 1)
+    each = (high_b - low_b) / np.maximum(1, high_r - low_r)
+    within = np.where(inside, np.rint((goal - low_b) / np.maximum(each, 1e-9)), 0).astype(np.int64)
+    within = np.clip(within, 0, high_r - low_r)
+    take_low = inside | (goal - low_b <= high_b - goal)
     keys, b, r = np.where(take_low, low, high), np.where(take_low, low_b, high_b), np.where(take_low, low_r, high_r)
-    return Splitters(keys, r, b, shards, per, rounds)
+    return Splitters(keys, within, r + within, b + (within * each).astype(np.int64), shards, per, rounds)
+
 
+def _numbered(rows: DataFrame, key: str, order: list[str]) -> DataFrame:
+    """``rows`` of heavy keys plus ``__nth``, their number among the rows of their key: counts by partition, then places inside the partition."""
+    held = cut(rows.withColumn("__part", F.spark_partition_id()))
+    counts = held.groupBy(key, "__part").agg(F.count(F.lit(1)).alias("__rows"))
+    earlier = F.sum("__rows").over(Window.partitionBy(key).orderBy("__part").rowsBetween(Window.unboundedPreceding, -1))
+    starts = counts.select(key, "__part", F.coalesce(earlier, F.lit(0)).alias("__start"))
+    place = F.row_number().over(Window.partitionBy(key, "__part").orderBy(*order))
+    return held.join(starts, [key, "__part"]).withColumn("__nth", F.col("__start") + place - 1).drop("__part", "__start")
 
-def shard_documents(documents: DataFrame, shards: int = 16, tolerance: float = 0.002, key: str = "__key", size: str = "__size", slice_bytes: int = SLICE_BYTES) -> DataFrame:
+
+def shard_documents(documents: DataFrame, shards: int = 16, tolerance: float = 0.002, key: str = "__key", size: str = "__size", slice_bytes: int = SLICE_BYTES, measured: DataFrame | None = None) -> DataFrame:
     """``documents`` (any columns, with long columns ``key`` and ``size``) plus ``shard`` and gapless ``slot``.
 
     Earlier columns shard and slot are replaced; ``key`` and ``size`` are dropped. A shard's bytes
-    differ from an equal share by at most ``tolerance`` of it or the rows of one key. Equal keys stay together,
-    ordered by all other sortable columns given; equal rows may swap slots, which cannot be told apart.
-    An empty table gives an empty result.
+    differ from an equal share by at most ``tolerance`` of it or one row. Equal keys lie together
+    and are cut only where they are heavier than that; equal rows may swap slots, which cannot be told apart.
+    An empty table gives an empty result. ``measured`` may hold key and size alone, so that counting need not read more.
     """
-    s = find_splitters(documents.select(F.col(key), F.col(size)), shards, tolerance, slice_bytes)
+    s = find_splitters((documents if measured is None else measured).select(F.col(key), F.col(size)), shards, tolerance, slice_bytes)
     first_of_shard = np.concatenate(([0], s.rows_below))[:: s.per_shard]
     offset = np.concatenate(([0], s.rows_below)) - np.repeat(first_of_shard, s.per_shard)
 
     @F.pandas_udf("long")
     def slice_of(k: pd.Series) -> pd.Series:
-        return pd.Series(np.searchsorted(s.keys, k.to_numpy(), side="right").astype(np.int64))
+        return pd.Series(s.slices(k.to_numpy()))
+
+    @F.pandas_udf("long")
+    def slice_of_heavy(k: pd.Series, nth: pd.Series) -> pd.Series:
+        return pd.Series(s.slices(k.to_numpy(), nth.to_numpy()))
 
     @F.pandas_udf("long")
     def offset_of(k: pd.Series) -> pd.Series:
         return pd.Series(offset[k.to_numpy()])
 
     plain = [c for c in documents.columns if c not in ("shard", "slot")]
-    place = Window.partitionBy("__slice").orderBy(key, *(c for c in ("doc_id",) if c in plain))
-    return (
-        documents.select(*plain, slice_of(F.col(key)).alias("__slice"))
-        .withColumn("__rank", F.row_number().over(place).cast("long") - 1)
-        .select(*(c for c in plain if c not in (key, size)), F.floor(F.col("__slice") / s.per_shard).cast("int").alias("shard"), (F.col("__rank") + offset_of(F.col("__slice"))).alias("slot"))
+    order = [c for c in ("doc_id",) if c in plain]
+    sliced = documents.select(*plain)
+    if s.heavy():
+        heavy = F.col(key).isin(s.heavy())
+        own = _numbered(sliced.filter(heavy), key, order or [key])
+        sliced = sliced.filter(~heavy).select(*plain, slice_of(F.col(key)).alias("__slice")).unionByName(own.select(*plain, slice_of_heavy(F.col(key), F.col("__nth")).alias("__slice")))
+    else:
+        sliced = sliced.select(*plain, slice_of(F.col(key)).alias("__slice"))
+    place = Window.partitionBy("__slice").orderBy(key, *order)
+    return sliced.withColumn("__rank", F.row_number().over(place).cast("long") - 1).select(
+        *(c for c in plain if c not in (key, size)), F.floor(F.col("__slice") / s.per_shard).cast("int").alias("shard"), (F.col("__rank") + offset_of(F.col("__slice"))).alias("slot")
     )
 
 
@@ -142,6 +183,6 @@ def shard_digest(documents: DataFrame, shards: int = 16) -> DataFrame:
 
 
 def shard_texts(documents: DataFrame, shards: int = 16) -> DataFrame:
-    """All columns of ``documents`` plus ``shard`` and ``slot``: whole texts move in the one exchange."""
+    """All columns of ``documents`` plus ``shard`` and ``slot``: texts are read once for their keys and move whole in the one exchange."""
     keyed = documents.withColumns({"__key": row_key(F.col("doc_id"), F.col("text")), "__size": text_size(F.col("text"))})
-    return shard_documents(keyed, shards)
+    return shard_documents(keyed, shards, measured=cut(keyed.select("__key", "__size")))
