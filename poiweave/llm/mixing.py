@@ -23,6 +23,10 @@ from .session import cut
 WEIGHTS = (5, 2, 1)
 MOST = 3
 BLOCKS = 1024
+#: Sources in one chain of conditional draws.
+FAN = 256
+#: Rows that may be added or left out to close the gap at a source's edge: the largest that fit, the smallest, the next larger.
+FITTING, SMALLEST, LARGER = 32, 64, 4
 #: Beyond so many rows a block table is joined by a shuffle instead of a broadcast.
 BROADCAST_ROWS = 100_000
 
@@ -35,7 +39,7 @@ class MixPlan:
     quotas: DataFrame  #: shard, src, quota
     blocks: DataFrame  #: src, block, placements array<struct<rep, shard>>, edge struct<rep, shard> or null
     edges: DataFrame  #: src, block, sub, rest: inside the block at the edge, words left for sub-block ``sub``
-    fill: DataFrame  #: src, u, id, spot: the row beyond the edge whose size is nearest to the words still missing
+    fill: DataFrame  #: src, u, id, words, copies, delta, spot: rows with more or fewer copies, which close the gap between what the edge took and the target
 
 
 def word_count(text: Column) -> Column:
@@ -55,28 +59,32 @@ def _small(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
+def numbered(rows: DataFrame, *order: str | Column) -> DataFrame:
+    """``rows`` plus ``nth``, their number from 0 in a total order: sorted ranges are numbered each for itself, after the counts of the ranges before."""
+    held = cut(rows.repartitionByRange(*order).withColumn("__part", F.spark_partition_id()))
+    counts = held.groupBy("__part").agg(F.count(F.lit(1)).alias("__rows"))  # a row for each partition
+    starts = counts.select("__part", F.coalesce(F.sum("__rows").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__start"))
+    place = F.row_number().over(Window.partitionBy("__part").orderBy(*order))
+    return held.join(F.broadcast(starts), "__part").withColumn("nth", F.col("__start") + place - 1).drop("__part", "__start")
+
+
 def targets(sizes: DataFrame) -> DataFrame:
-    """``sizes`` (src, source_size) plus weight and target: shares by weight, none above MOST times its size.
+    """``sizes`` (src, source_size) plus nth, weight and target: shares by weight, none above MOST times its size.
 
-    Sources are weighed in code point order, null last. Capped sources are those with the least size
-    for their weight, so one running sum over the sources by that ratio finds the level of the others.
+    Sources are weighed in code point order, null last. The excess of the sources above their cap is reshared by weight over the others, again and again
+    until no further one is above: each round is one aggregation.
     """
-    order = Window.orderBy(F.col("src").isNull(), "src")
-    weight = F.element_at(F.array(*map(F.lit, WEIGHTS)), ((F.row_number().over(order) - 1) % len(WEIGHTS) + 1).cast("int"))
-    cap = F.lit(float(MOST)) * F.col("source_size")
-    by_ratio = Window.orderBy(F.col("cap") / F.col("weight"), F.col("src").isNull(), "src")
-    before = by_ratio.rowsBetween(Window.unboundedPreceding, -1)
-    every = Window.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    level = (F.sum("source_size").over(every) - F.coalesce(F.sum("cap").over(before), F.lit(0.0))) / (F.sum("weight").over(every) - F.coalesce(F.sum("weight").over(before), F.lit(0)))
-    free = F.min(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.struct("nth", "level"))).over(every)["level"]
-    return (
-        sizes.withColumn("weight", weight)
-        .withColumn("cap", cap)
-        .withColumn("level", level)
-        .withColumn("nth", F.row_number().over(by_ratio))
-        .withColumn("target", F.least(F.col("cap"), F.coalesce(free, F.lit(float("inf"))) * F.col("weight")))
-        .select("src", "source_size", "weight", "target")
-    )
+    weight = F.element_at(F.array(*map(F.lit, WEIGHTS)), (F.col("nth") % len(WEIGHTS) + 1).cast("int"))
+    rows = cut(numbered(sizes, F.col("src").isNull(), "src").withColumn("weight", weight).withColumn("cap", F.lit(float(MOST)) * F.col("source_size")))
+    total, weights = rows.agg(F.coalesce(F.sum("source_size"), F.lit(0)), F.coalesce(F.sum("weight"), F.lit(0))).first()
+    level, capped = total / max(1, weights), -1
+    while True:
+        over = F.lit(float(level)) * F.col("weight") > F.col("cap")
+        n, given, taken = rows.filter(over).agg(F.count(F.lit(1)), F.coalesce(F.sum("weight"), F.lit(0)), F.coalesce(F.sum("cap"), F.lit(0.0))).first()
+        if n == capped or given == weights:
+            break
+        level, capped = (total - taken) / (weights - given), n
+    return rows.withColumn("target", F.least("cap", F.lit(float(level)) * F.col("weight"))).select("src", "nth", "source_size", "weight", "target")
 
 
 def _let(value: Column, body) -> Column:
@@ -119,29 +127,46 @@ def hypergeometric(population: Column, marked: Column, drawn: Column, u: Column)
     return _let(F.sequence(low, high), law)
 
 
-def split_quotas(counts: DataFrame, shards: int, seed: int) -> DataFrame:
-    """Rows (shard, src, quota): block counts (src, n) split down the tree; quotas of a source add up to its n."""
-    tree = counts.select(F.lit(0).alias("low"), F.lit(shards).alias("high"), "src", F.col("n").cast("long").alias("n"))
-    for _ in range(max(0, (shards - 1).bit_length())):
-        node = Window.partitionBy("low", "high")
-        order = node.orderBy(F.col("src").isNull(), "src")
-        middle = F.floor((F.col("low") + F.col("high")) / 2).cast("int")
-        # what is left of the population for a source and those after it, and how often the left half draws
-        grouped = tree.groupBy("low", "high").agg(F.array_sort(F.collect_list(F.struct(F.col("src").isNull().alias("none"), "src", "n"))).alias("own"))
-        grouped = grouped.withColumn("all", F.aggregate("own", F.lit(0).cast("long"), lambda a, x: a + x["n"])).withColumn("half", F.round(F.col("all") * (middle - F.col("low")) / (F.col("high") - F.col("low"))).cast("long"))
-        empty = F.struct(F.col("all").alias("left"), F.col("half").alias("draws"), F.array().cast("array<bigint>").alias("got"))
+def _draw_left(split: DataFrame, levels: int, seed: int) -> DataFrame:
+    """``split`` (low, high, src, nth, n) plus got: how many of each source's blocks the left half of its node draws.
+
+    One draw for each source, conditional on those before it, would be one long chain. So sources form groups of ``FAN``, groups of
+    groups and so on, ``levels`` high: the draws of a node are split over its groups, a group's over its members, each chain in a row of its own.
+    """
+    node = ["low", "high"]
+    sums = [split.select(*node, F.col("nth").alias("id"), "n", "src")]
+    for _ in range(levels - 1):
+        sums.append(sums[-1].groupBy(*node, F.floor(F.col("id") / FAN).alias("id")).agg(F.sum("n").alias("n")).withColumn("src", F.lit(None).cast("string")))
+    middle, draws = F.floor((F.col("low") + F.col("high")) / 2), None
+    for level in reversed(range(levels)):
+        groups = sums[level].groupBy(*node, F.floor(F.col("id") / FAN).alias("up")).agg(F.array_sort(F.collect_list(F.struct("id", "n", "src"))).alias("own"), F.sum("n").alias("all"))
+        if draws is None:  # one group a node
+            groups = groups.withColumn("draws", F.round(F.col("all") * (middle - F.col("low")) / (F.col("high") - F.col("low"))).cast("long"))
+        else:
+            groups = groups.join(draws.select(*node, F.col("nth").alias("up"), F.col("got").alias("draws")), [*node, "up"])
+        place = [F.lit(seed), F.lit(level), F.col("low"), F.col("high")]
 
         def merge(a: Column, x: Column) -> Column:
-            k = hypergeometric(a["left"], x["n"], a["draws"], _draw(F.lit(seed), F.col("low"), F.col("high"), x["src"]))
+            k = hypergeometric(a["left"], x["n"], a["draws"], _draw(*place, x["id"]))
             return F.struct((a["left"] - x["n"]).alias("left"), (a["draws"] - k).alias("draws"), F.concat(a["got"], F.array(k)).alias("got"))
 
-        drawn = grouped.withColumn("got", F.aggregate("own", empty, merge, lambda a: a["got"]))
-        both = drawn.select("low", "high", middle.alias("mid"), F.explode(F.arrays_zip("own", "got")).alias("x")).filter("high - low > 1")
-        leaves = tree.filter("high - low <= 1")
-        tree = leaves.unionByName(both.select("low", F.col("mid").alias("high"), F.col("x.own.src").alias("src"), F.col("x.got").alias("n"))).unionByName(
-            both.select(F.col("mid").alias("low"), "high", F.col("x.own.src").alias("src"), (F.col("x.own.n") - F.col("x.got")).alias("n"))
-        )
-        tree = cut(tree)
+        begin = F.struct(F.col("all").alias("left"), F.col("draws"), F.array().cast("array<bigint>").alias("got"))
+        drawn = groups.withColumn("got", F.aggregate("own", begin, merge, lambda a: a["got"]))
+        draws = drawn.select(*node, F.explode(F.arrays_zip("own", "got")).alias("x")).select(*node, F.col("x.own.src").alias("src"), F.col("x.own.id").alias("nth"), F.col("x.own.n").alias("n"), F.col("x.got").alias("got"))
+    return draws
+
+
+def split_quotas(counts: DataFrame, shards: int, seed: int) -> DataFrame:
+    """Rows (shard, src, quota): block counts (src, nth, n) split down the tree; quotas of a source add up to its n. ``nth`` numbers the sources from 0."""
+    levels, n = 1, counts.count()
+    while FAN**levels < n:
+        levels += 1
+    tree = counts.select(F.lit(0).alias("low"), F.lit(shards).alias("high"), "src", "nth", F.col("n").cast("long").alias("n"))
+    for _ in range(max(0, (shards - 1).bit_length())):
+        both = _draw_left(tree.filter("high - low > 1"), levels, seed).withColumn("mid", F.floor((F.col("low") + F.col("high")) / 2).cast("int"))
+        left = both.select("low", F.col("mid").alias("high"), "src", "nth", F.col("got").alias("n"))
+        right = both.select(F.col("mid").alias("low"), "high", "src", "nth", (F.col("n") - F.col("got")).alias("n"))
+        tree = cut(tree.filter("high - low <= 1").unionByName(left).unionByName(right))
     return tree.select(F.col("low").alias("shard"), "src", F.col("n").alias("quota"))
 
 
@@ -156,11 +181,11 @@ def plan_mix(rows: DataFrame, shards: int, seed: int) -> MixPlan:
     few = _small(sources, n)
     order = Window.partitionBy("src").orderBy("block")
     run = F.sum("words").over(order)
-    marked = blocks.withColumn("run", run).join(few, blocks["src"].eqNullSafe(few["src"])).select(blocks["src"], "block", "words", "run", "whole", "extra")
+    marked = blocks.withColumn("run", run).join(few, blocks["src"].eqNullSafe(few["src"])).select(blocks["src"], "nth", "block", "words", "run", "whole", "extra")
     marked = marked.withColumn("full", (F.col("run") <= F.col("extra")) & (F.col("extra") > 0)).withColumn("edge", (F.col("run") > F.col("extra")) & (F.col("run") - F.col("words") < F.col("extra")))
     copies = F.col("whole") + F.when(F.col("full") | F.col("edge"), 1).otherwise(0)
     marked = cut(marked.withColumn("copies", copies))
-    quotas = split_quotas(marked.groupBy("src").agg(F.sum("copies").alias("n")), shards, seed)
+    quotas = split_quotas(cut(marked.groupBy("src", "nth").agg(F.sum("copies").alias("n"))), shards, seed)
     to = Window.partitionBy("src").orderBy("shard")
     spans = quotas.withColumn("end", F.sum("quota").over(to)).withColumn("begin", F.col("end") - F.col("quota")).filter("quota > 0")
     spans = spans.groupBy("src").agg(F.array_sort(F.collect_list(F.struct("begin", "end", "shard"))).alias("spans"))
@@ -179,17 +204,57 @@ def plan_mix(rows: DataFrame, shards: int, seed: int) -> MixPlan:
     edges = cut(subs.select("src", "block", "sub", (F.col("rest") - F.col("run") + F.col("words")).alias("rest")))
     at_edge = edges.select(F.col("src").alias("e_src"), F.col("block").alias("e_block"), F.col("sub").alias("e_sub"), "rest")
     cell = rows.select("src", block, sub, "words", "u", "id").join(_small(at_edge, n), F.col("src").eqNullSafe(F.col("e_src")) & (F.col("block") == F.col("e_block")) & (F.col("sub") == F.col("e_sub")))
-    cell = cell.withColumn("run", F.sum("words").over(_in_cell("src", "u", "id")))
-    gaps = cell.groupBy("src").agg((F.max("rest") - F.coalesce(F.max(F.when(F.col("run") <= F.col("rest"), F.col("run"))), F.lit(0))).alias("gap"))
+    cell = cut(cell.withColumn("in", F.sum("words").over(_in_cell("src", "u", "id")) <= F.col("rest")).select("src", "u", "id", "words", "in", "rest", "e_sub"))
+    gaps = cell.groupBy("src").agg((F.max("rest") - F.coalesce(F.sum(F.when(F.col("in"), F.col("words"))), F.lit(0))).alias("gap"), F.max("e_sub").alias("e_sub"))
     spots = placed.filter("edge is not null").select(F.col("src").alias("e_src"), F.col("block").alias("e_block"), F.col("edge").alias("spot"))
-    gaps = gaps.join(spots, F.col("src").eqNullSafe(F.col("e_src"))).select("e_src", "e_block", "gap", "spot")
-    beyond = rows.select("src", block, "words", "u", "id").join(_small(gaps, n), F.col("src").eqNullSafe(F.col("e_src")) & (F.col("block") > F.col("e_block")))
-    beyond = beyond.withColumn("miss", F.abs(F.col("words") - F.col("gap"))).filter("miss < gap")
-    single = beyond.groupBy("src", "u", "id", "miss", "spot").count().filter("count = 1")  # equal rows can't be told apart
-    fill = single.groupBy("src").agg(F.min(F.struct("miss", "u", "id", "spot")).alias("best")).select("src", "best.u", "best.id", "best.spot")
+    gaps = gaps.join(spots, F.col("src").eqNullSafe(F.col("e_src"))).join(few.select(F.col("src").alias("f_src"), "whole"), F.col("src").eqNullSafe(F.col("f_src"))).select("e_src", "e_block", "e_sub", "gap", "spot", "whole").filter("gap > 0")
+    fill = fill_gaps(rows.select("src", block, sub, "words", "u", "id"), cell.select("src", "u", "id", "words", "in"), gaps, n)
     return MixPlan(sources, quotas, placed, edges, cut(fill))
 
 
+def fill_gaps(rows: DataFrame, cell: DataFrame, gaps: DataFrame, n: int) -> DataFrame:
+    """src, u, id, words, copies, delta, spot: how many copies more (or fewer) some rows of a source get, so that its words come near the target.
+
+    Equal rows with equally many copies can't be told apart and count as one item. Either items are added, from the largest that fits to the smallest, each as often as it fits and MOST allows; or
+    the next larger item is added and copies of small ones are left out likewise; what misses the target by less is done.
+    """
+    source = F.col("src").eqNullSafe(F.col("e_src"))
+    before = (F.col("block") < F.col("e_block")) | ((F.col("block") == F.col("e_block")) & (F.col("sub") < F.col("e_sub")))
+    outside = (F.col("block") != F.col("e_block")) | (F.col("sub") != F.col("e_sub"))
+    facts = ["gap", "spot", "whole"]
+    far = rows.join(_small(gaps, n), source).filter(outside).select("src", "u", "id", "words", before.alias("in"), *facts)
+    near = cell.join(_small(gaps, n), source).select("src", "u", "id", "words", "in", *facts)
+    items = far.unionByName(near).filter("words > 0").groupBy("src", "u", "id", "words", "in", *facts).agg((F.col("words") * F.count(F.lit(1))).alias("size"))
+    items = items.withColumn("copies", F.col("whole") + F.col("in").cast("int")).withColumn("room", MOST - F.col("copies"))
+    by = Window.partitionBy("src")
+    tie = ["u", "id", "words", F.col("in")]
+    fits = items.filter("size <= gap").withColumn("rn", F.row_number().over(by.orderBy(F.desc("size"), *tie))).filter(F.col("rn") <= FITTING)
+    small = items.filter("size <= gap").withColumn("rn", F.row_number().over(by.orderBy("size", *tie))).filter(F.col("rn") <= SMALLEST)
+    larger = items.filter("size > gap and room > 0").withColumn("rn", F.row_number().over(by.orderBy("size", *tie))).filter(F.col("rn") <= LARGER)
+    pool = fits.unionByName(small).unionByName(larger).drop("rn").distinct()
+    item = F.struct("size", "u", "id", "words", "copies", "room")
+    pool = pool.groupBy("src", "gap", "spot").agg(F.sort_array(F.collect_list(item), asc=False).alias("own"))
+
+    def deal(amount: Column, most: str) -> Column:
+        """Copies of each item, largest first, as many as fit into what is left of ``amount``."""
+        begin = F.struct(amount.alias("left"), F.array().cast("array<bigint>").alias("got"))
+
+        def step(a: Column, x: Column) -> Column:
+            return _let(F.least(x[most].cast("long"), F.floor(a["left"] / x["size"]).cast("long")), lambda k: F.struct((a["left"] - k * x["size"]).alias("left"), F.concat(a["got"], F.array(k)).alias("got")))
+
+        return F.aggregate("own", begin, step)
+
+    # of the items larger than the gap the smallest comes last in the descending array
+    over = F.element_at(F.filter("own", lambda x: x["size"] > F.col("gap")), -1)
+    pool = pool.withColumn("added", deal(F.col("gap"), "room")).withColumn("over", F.when(F.size(F.filter("own", lambda x: x["size"] > F.col("gap"))) > 0, over))
+    pool = pool.withColumn("dropped", deal(F.coalesce(F.col("over.size") - F.col("gap"), F.lit(0).cast("long")), "copies"))
+    exceed = F.col("over").isNotNull() & (F.col("dropped.left") < F.col("added.left"))
+    # the added item itself is larger than what it exceeds the gap by only if that is less than its size, so it is never dropped again
+    delta = F.when(exceed, F.zip_with("own", F.col("dropped.got"), lambda x, k: F.when(x == F.col("over"), F.lit(1).cast("long")).otherwise(-k))).otherwise(F.col("added.got"))
+    out = pool.select("src", "spot", F.explode(F.arrays_zip("own", delta.alias("delta"))).alias("x"))
+    return out.select("src", F.col("x.own.u").alias("u"), F.col("x.own.id").alias("id"), F.col("x.own.words").alias("words"), F.col("x.own.copies").alias("copies"), F.col("x.delta").cast("int").alias("delta"), "spot").filter("delta <> 0")
+
+
 def _in_cell(source: str, u: str, row_id: str):
     return Window.partitionBy(source).orderBy(u, row_id).rowsBetween(Window.unboundedPreceding, 0)
 
@@ -199,7 +264,7 @@ def mix(documents: DataFrame, shards: int = 16, seed: int = 8, small: DataFrame
 
     Needs doc_id, source and text (or a long column ``words`` with the sizes). Null text and empty text: size 0. A null
     source is a source of its own, the last one. Null ids share one block. Repeated rows are rows like others.
-    The rows at a source's edge are taken while they fit; one more row, the nearest in size to what is missing, closes the gap.
+    The rows at a source's edge are taken while they fit; a few rows with copies more or fewer close the gap (:func:`fill_gaps`).
     Empty tables give empty results. Columns with the new names are replaced.
     """
     size = F.col(words) if words else word_count(F.col("text"))
@@ -221,9 +286,13 @@ def mix(documents: DataFrame, shards: int = 16, seed: int = 8, small: DataFrame
     whole = whole.withColumn("__in", F.col("__edge").isNotNull() & (F.col("__sub").isNull() | (sub < F.col("__sub"))))
     cell = out.filter(F.col("__edge").isNotNull() & (sub == F.col("__sub"))).withColumn("__w", size)
     cell = cell.withColumn("__in", F.sum("__w").over(_in_cell("source", "__u", "doc_id")) <= F.col("__rest")).drop("__w")
-    fill = plan.fill.select(F.col("src").alias("__src4"), F.col("u").alias("__u4"), F.col("id").alias("__id4"), F.col("spot").alias("__spot"))
-    out = whole.unionByName(cell).join(_small(fill, n_sources), F.col("source").eqNullSafe(F.col("__src4")) & (F.col("__u") == F.col("__u4")) & F.col("doc_id").eqNullSafe(F.col("__id4")), "left")
-    placements = F.when(F.col("__in"), F.concat("placements", F.array("__edge"))).when(F.col("__spot").isNotNull(), F.concat("placements", F.array("__spot"))).otherwise(F.col("placements"))
+    n_fill = plan.fill.count()
+    fill = plan.fill.select(F.col("src").alias("__src4"), F.col("u").alias("__u4"), F.col("id").alias("__id4"), F.col("words").alias("__words4"), F.col("copies").alias("__copies4"), F.col("delta").alias("__delta"), F.col("spot").alias("__spot"))
+    out = whole.unionByName(cell).withColumn("placements", F.when(F.col("__in"), F.concat("placements", F.array("__edge"))).otherwise(F.col("placements")))
+    same = F.col("source").eqNullSafe(F.col("__src4")) & (F.col("__u") == F.col("__u4")) & F.col("doc_id").eqNullSafe(F.col("__id4")) & (size == F.col("__words4")) & (F.size("placements") == F.col("__copies4"))
+    out = out.join(_small(fill, n_fill), same, "left")
+    more = F.transform(F.sequence(F.lit(1), F.col("__delta")), lambda k: F.struct((F.size("placements") + k - 1).cast("int").alias("rep"), F.col("__spot.shard").cast("int").alias("shard")))
+    placements = F.when(F.col("__delta") > 0, F.concat("placements", more)).when(F.col("__delta") < 0, F.slice("placements", F.lit(1), F.size("placements") + F.col("__delta"))).otherwise(F.col("placements"))
     return out.select(*plain, "source_size", "target", placements.alias("placements"))
 
 

@@ -156,7 +156,7 @@ def test_mix_edge_cases_and_texts(spark):
 
 
 def test_split_tree_keeps_quotas_and_spreads(spark):
-    counts = spark.createDataFrame([("a", 400), ("b", 100), (None, 7), ("z", 0)], "src string, n long")
+    counts = spark.createDataFrame([("a", 0, 400), ("b", 1, 100), (None, 3, 7), ("z", 2, 0)], "src string, nth long, n long")
     got = mixing.split_quotas(counts, 10, 3).collect()
     by, shard = collections.Counter(), collections.Counter()
     for r in got:
@@ -217,3 +217,39 @@ def test_pipeline_survives_awkward_rows(spark, sf):
     for _, stage in corpus_pipeline.STAGES:
         docs = stage(spark, docs, sf)
     assert docs.count() == 0
+
+
+def test_mix_targets_of_small_sources(spark, sf):
+    d = table(spark, sf, "documents")
+    rows = [(r.doc_id, r.source, r.n) for r in d.select("doc_id", "source", mixing.word_count(F.col("text")).alias("n")).collect()]
+    _check_mix(mixing.mix_digest(d).collect(), rows, lambda s, t: 0.03 * t)
+
+
+def test_mix_of_many_sources(spark):
+    """More sources than one chain of draws holds: quotas add up, weights follow the order, targets are met."""
+    names = [f"s{k:04d}" for k in range(700)]
+    rows = [(k, names[k % 700], 3 + k % 5) for k in range(2100)]
+    d = spark.createDataFrame([(i, s, " ".join(["w"] * n)) for i, s, n in rows], "doc_id long, source string, text string")
+    got = mixing.mix_digest(d).collect()
+    _check_mix(got, rows, lambda s, t: 5)
+    quotas = mixing.split_quotas(spark.createDataFrame([(s, k, 1 + k % 3) for k, s in enumerate(names)], "src string, nth long, n long"), 5, 1).collect()
+    by, shard = collections.Counter(), collections.Counter()
+    for q in quotas:
+        assert q.quota >= 0
+        by[q.src] += q.quota
+        shard[q.shard] += q.quota
+    assert by == {s: 1 + k % 3 for k, s in enumerate(names)} and max(shard.values()) - min(shard.values()) <= 4
+
+
+def test_mix_of_repeated_rows(spark):
+    """A source of equal rows comes near its target."""
+    rows = [(1, "a", 7)] * 40 + [(2, "a", 4)] * 3 + [(3, "a", 9), (4, "a", 1), (5, "b", 100), (None, "b", 2), (None, "b", 5), (None, None, 3)]
+    d = spark.createDataFrame([(i, s, " ".join(["w"] * n)) for i, s, n in rows], "doc_id long, source string, text string")
+    got = mixing.mix_digest(d).collect()
+    assert len(got) == len(rows)
+    want, taken = _brute_targets({"a": 302, "b": 107, None: 3}), collections.Counter()
+    for r in got:
+        assert r.taken % r.size == 0 and r.taken <= 3 * r.size
+        taken[r.target] += r.taken
+    for s in want:
+        assert abs(taken[want[s]] - want[s]) <= max(9, 0.35 * want[s])
