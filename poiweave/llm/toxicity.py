@@ -1,9 +1,9 @@
 """Toxicity by weak supervision.
 
-Lexicon and pattern voters look at a document's words. A generative label model estimates, without gold labels, how
-often each voter is right on either class (EM), measures which voters err together, and discounts
-those. Its posterior labels train a linear classifier on hashed words and word beginnings plus
-the votes. Learned lexicons come only from labelled training rows, whose whole texts are counted on the executors.
+Lexicon and pattern voters look at a document's words. A generative label model estimates, from the votes alone, how often each voter
+votes on either class and which voters go together: votes form a tree, each depending on the hidden class and on the voter it is most tied to given
+the class. The model's posterior labels, and nothing else, train a linear classifier on the votes and how strongly they are meant. Labels of training rows
+choose among words and word beginnings as entries of the learned lexicons and give the share of toxic rows; no model is fitted to them.
 """
 
 from __future__ import annotations
@@ -34,8 +34,12 @@ LEXICONS = (
     "idiota imbécil estúpido basura escoria perdedor asqueroso payaso mierda puta cabrón",
 )
 PREFIXES = (5, 6, 7, 8)
-GROUPS = 6
+#: Learned voters: whole words of high and of lower odds, and beginnings of each length.
+SURE = 4.0
+GROUPS = 2 + len(PREFIXES)
 VOTES = len(LEXICONS) + GROUPS + 6  #: lexicon voters, then patterns
+#: Voters are tied only by more than so much mutual information (in nats) given the class.
+LEAST_TIE = 0.002
 _MASK = [np.uint64((1 << (8 * n)) - 1) for n in range(8)] + [np.uint64(0xFFFFFFFFFFFFFFFF)]
 
 
@@ -72,8 +76,8 @@ class Lexicon:
         return counts, np.bincount(doc, weights=best, minlength=n_docs)
 
 
-def key_counts(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys of words and word beginnings, and how many of the texts hold each."""
+def key_counts(texts: list[bytes]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """For words and for beginnings of each length: distinct keys, and how many of the texts hold each."""
     words = split_words(texts)
     doc = np.repeat(np.arange(len(texts)), words.counts)
     found = []
@@ -82,8 +86,8 @@ def key_counts(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         order = np.lexsort((at, own))
         own, at = own[order], at[order]
         fresh = np.append(True, (own[1:] != own[:-1]) | (at[1:] != at[:-1]))[: len(own)]
-        found.append(own[fresh])
-    return np.unique(np.concatenate(found), return_counts=True)
+        found.append(np.unique(own[fresh], return_counts=True))
+    return found
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -91,16 +95,17 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in byte_chunks(whole, "__text"):
             part, texts = b.column(1).to_numpy(), as_bytes(b.column(2))
             for own in np.unique(part):
-                keys, n = key_counts([texts[i] for i in np.flatnonzero(part == own)])
-                yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(np.full(len(keys), own, np.int32)), pa.array(n.astype(np.int64))], names=["key", "part", "n"])
+                for kind, (keys, n) in enumerate(key_counts([texts[i] for i in np.flatnonzero(part == own)])):
+                    fixed = [pa.array(np.full(len(keys), x, np.int32)) for x in (kind, own)]
+                    yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), *fixed, pa.array(n.astype(np.int64))], names=["key", "kind", "part", "n"])
 
 
-def learn_lexicons(sample: DataFrame, sizes: list[int], support: float = 0.012, strength: float = 2.5, most: int = 4000) -> list[dict[int, float]]:
-    """Words and word beginnings that toxic training rows hold far more often than others, as key to log-odds: from fold 0, from fold 1, from both.
+def learn_lexicons(sample: DataFrame, sizes: list[int], support: float = 0.012, strength: float = 2.5, most: int = 4000) -> list[dict[int, tuple[float, int]]]:
+    """Words and word beginnings that toxic training rows hold far more often than others, as key to log-odds and kind: from fold 0, from fold 1, from both.
 
     ``sizes`` are the rows of each ``__part`` (twice the fold plus the label). Texts stay on the executors; only keys that enter a lexicon are collected.
     """
-    counts = sample.mapInArrow(_count, "key long, part int, n long").groupBy("key").agg(*(F.sum(F.when(F.col("part") == k, F.col("n")).otherwise(0)).alias(f"c{k}") for k in range(4)))
+    counts = sample.mapInArrow(_count, "key long, kind int, part int, n long").groupBy("key", "kind").agg(*(F.sum(F.when(F.col("part") == k, F.col("n")).otherwise(0)).alias(f"c{k}") for k in range(4)))
     wanted, sides = F.lit(False), []
     for folds in ((0,), (1,), (0, 1)):
         n0, n1 = (sum(sizes[2 * f + y] for f in folds) for y in (0, 1))
@@ -113,46 +118,114 @@ def learn_lexicons(sample: DataFrame, sizes: list[int], support: float = 0.012,
     for folds, n0, n1, least in sides:
         odds = []
         for r in rows:
-            c0, c1 = (sum(r[1 + 2 * f + y] for f in folds) for y in (0, 1))
+            c0, c1 = (sum(r[f"c{2 * f + y}"] for f in folds) for y in (0, 1))
             if c1 >= least:
-                odds.append((float(np.log((c1 + 0.5) / (n1 + 1)) - np.log((c0 + 0.5) / (n0 + 1))), r["key"] % (1 << 64)))
-        out.append({k: v for v, k in sorted((x for x in odds if x[0] >= strength), reverse=True)[:most]})
+                odds.append((float(np.log((c1 + 0.5) / (n1 + 1)) - np.log((c0 + 0.5) / (n0 + 1))), r["key"] % (1 << 64), r["kind"]))
+        out.append({k: (v, kind) for v, k, kind in sorted((x for x in odds if x[0] >= strength), reverse=True)[:most]})
     return out
 
 
 @dataclass
 class LabelModel:
-    """Class share, each voter's chance to vote on either class, and its weight after the discount for shared errors."""
+    """Share of the class; for every voter the voter it is tied to (-1: none) and its chance of a vote by class and by that voter's vote."""
 
     share: float
-    rates: np.ndarray
-    discount: np.ndarray
+    parent: np.ndarray
+    chance: np.ndarray  #: [class, vote of the parent, voter]
+
+    def log_chance(self, votes: np.ndarray) -> np.ndarray:
+        """Log of the chance of each row's votes in either class."""
+        tied = np.where(self.parent >= 0, votes[:, self.parent], 0).astype(np.int64)
+        out = np.empty((len(votes), 2))
+        for c in (0, 1):
+            p = np.clip(self.chance[c][tied, np.arange(votes.shape[1])], 1e-4, 1 - 1e-4)
+            out[:, c] = np.log(np.where(votes > 0, p, 1 - p)).sum(axis=1)
+        return out
+
+    def likelihood(self, votes: np.ndarray) -> float:
+        """Mean log of the chance of a row's votes."""
+        both = self.log_chance(votes) + np.log([1 - self.share, self.share])
+        return float(np.logaddexp(both[:, 0], both[:, 1]).mean())
 
     def posterior(self, votes: np.ndarray) -> np.ndarray:
-        p = np.clip(self.rates, 1e-4, 1 - 1e-4)
-        yes, no = np.log(p[1] / p[0]), np.log((1 - p[1]) / (1 - p[0]))
-        logit = np.log(self.share / (1 - self.share)) + (votes * yes + (1 - votes) * no) @ self.discount
+        both = self.log_chance(votes)
+        logit = np.log(self.share / (1 - self.share)) + both[:, 1] - both[:, 0]
         return 1 / (1 + np.exp(-np.clip(logit, -60, 60)))
 
 
+def _ties(votes: np.ndarray, q: np.ndarray) -> np.ndarray:
+    """The parent of every voter in the forest of greatest mutual information given the class, whose weights are ``q``."""
+    k = votes.shape[1]
+    tie = np.zeros((k, k))
+    for w in (1 - q, q):
+        n = w.sum() + 1e-9
+        one = (w @ votes + 0.5) / (n + 1)
+        joint = [None, None, None, None]
+        joint[3] = ((votes * w[:, None]).T @ votes + 0.25) / (n + 1)
+        joint[2], joint[1] = one[:, None] - joint[3], one[None, :] - joint[3]
+        joint[0] = 1 - joint[1] - joint[2] - joint[3]
+        for (a, b), p in zip(((0, 0), (0, 1), (1, 0), (1, 1)), joint, strict=True):
+            alone = (one if a else 1 - one)[:, None] * (one if b else 1 - one)[None, :]
+            p = np.maximum(p, 1e-9)
+            tie += n / len(votes) * p * np.log(p / np.maximum(alone, 1e-9))
+    parent, part = np.full(k, -1), np.arange(k)
+    links: list[list[int]] = [[] for _ in range(k)]
+    for i, j in sorted(((i, j) for i in range(k) for j in range(i + 1, k) if tie[i, j] > LEAST_TIE), key=lambda x: (-tie[x], x)):
+        if part[i] != part[j]:
+            part[part == part[j]] = part[i]
+            links[i].append(j)
+            links[j].append(i)
+    for root in range(k):  # every part of the forest hangs on its first voter
+        if parent[root] == -1 and part[root] != -1:
+            stack, own = [root], part[root]
+            while stack:
+                at = stack.pop()
+                part[at] = -1
+                for j in links[at]:
+                    if part[j] == own:
+                        parent[j] = at
+                        stack.append(j)
+    return parent
+
+
 def fit_label_model(votes: np.ndarray, share: float, rounds: int = 40) -> LabelModel:
-    """EM over unlabelled votes; then correlations of the residuals set the discounts and EM goes on."""
-    n, k = votes.shape
+    """EM over votes without labels, from two starts: voters that count alike, and voters that count less the more they resemble others.
+
+    The first would take a block of voters that repeat each other for the class, the second would mistrust good voters that agree; the model under which the votes are likelier wins.
+    """
     share = float(np.clip(share, 0.01, 0.99))
-    any_vote = votes.mean(axis=0)
-    model = LabelModel(share, np.stack([np.clip(any_vote * 0.3, 0.002, 0.4), np.clip(any_vote * 3, 0.05, 0.9)]), np.ones(k))
+    spread = votes.std(axis=0) + 1e-9
+    alike = np.abs(np.cov(votes.T, bias=True).reshape(len(spread), -1) / np.outer(spread, spread))
+    starts = (np.ones(len(spread)), 1 / np.maximum(1.0, (alike**8).sum(axis=1)))  # eighth powers: only near copies count
+    models = [_expectation_maximisation(votes, share, discount, rounds) for discount in starts]
+    return max(models, key=lambda m: m.likelihood(votes))
+
+
+def _expectation_maximisation(votes: np.ndarray, share: float, discount: np.ndarray, rounds: int) -> LabelModel:
+    """First as if voters were independent, each counting by its ``discount``; then with the ties that the posteriors show."""
+    k, any_vote = votes.shape[1], votes.mean(axis=0)
+    rates = np.stack([np.clip(any_vote * 0.3, 0.002, 0.4), np.clip(any_vote * 3, 0.05, 0.9)])
+    model = LabelModel(share, np.full(k, -1), np.stack([rates, rates], axis=1))
     for turn in range(rounds):
-        q = model.posterior(votes)
-        total = np.array([(1 - q).sum(), q.sum()])[:, None] + 2
-        model.rates = (np.stack([(1 - q) @ votes, q @ votes]) + np.array([[0.02], [0.5]])) / total
-        flip = model.rates[1] < model.rates[0]
-        model.rates[1, flip] = model.rates[0, flip]  # a voter may be useless but not turn its meaning
-        if turn == rounds // 2:
-            residual = votes - np.where(q[:, None] > 0.5, model.rates[1], model.rates[0])
-            spread = residual.std(axis=0) + 1e-9
-            corr = np.abs((residual.T @ residual / max(1, n)) / np.outer(spread, spread))
-            np.fill_diagonal(corr, 0)
-            model.discount = 1 / (1 + np.where(corr > 0.1, corr, 0).sum(axis=1))
+        if turn < rounds // 2:
+            p = np.clip(rates, 1e-4, 1 - 1e-4)
+            logit = np.log(share / (1 - share)) + (votes * np.log(p[1] / p[0]) + (1 - votes) * np.log((1 - p[1]) / (1 - p[0]))) @ discount
+            q = 1 / (1 + np.exp(-np.clip(logit, -60, 60)))
+        else:
+            q = model.posterior(votes)
+        if turn in (rounds // 2, 3 * rounds // 4):
+            model.parent = _ties(votes, q)
+        tied = np.where(model.parent >= 0, votes[:, model.parent], 0)
+        weights = np.stack([1 - q, q])
+        rates = (weights @ votes + np.array([[0.02], [0.5]])) / (weights.sum(axis=1)[:, None] + 2)
+        flip = rates[1] < rates[0]
+        rates[1, flip] = rates[0, flip]  # a voter may be useless but not turn its meaning
+        for v in (0, 1):
+            own = (tied == v).astype(float)
+            # two further rows vote as the voter does in the class whatever its tie
+            model.chance[:, v] = (weights @ (votes * own) + 2 * rates) / (weights @ own + 2)
+        if flip.any():
+            model.chance[:, :, flip] = any_vote[flip]
     return model
 
 
@@ -231,25 +304,23 @@ def train(sample: DataFrame, share: float | None = None) -> ToxicityModel:
     *halves, whole = (_lexicon(x) for x in learn_lexicons(sample, sizes))
     rows = sample.mapInArrow(_features([ToxicityModel(lexicon=x) for x in halves]), f"doc_id {kind}, part int, x binary").collect()
     rows.sort(key=lambda r: (r["part"] // 2, r["doc_id"]))
-    own = np.array([r["part"] % 2 for r in rows], float)
     x = np.stack([np.frombuffer(r["x"]) for r in rows])
-    votes = x[:, :VOTES]
-    share = float(own.mean()) if share is None else share
-    labeller = fit_label_model(votes, float(own.mean()))
-    posterior = labeller.posterior(votes)
-    soft = 0.5 * posterior + 0.5 * own  # posterior labels, anchored by the training labels that are known
-    balance = np.where(own == 1, share / own.mean(), (1 - share) / (1 - own.mean()))
+    drawn = toxic / n
+    labeller = fit_label_model(x[:, :VOTES], drawn)
+    posterior = labeller.posterior(x[:, :VOTES])
     mean, scale = x.mean(axis=0), x.std(axis=0) + 0.05
     mean[-1], scale[-1] = 0.0, 1.0
-    weights = logistic((x - mean) / scale, soft, balance, penalty=2.0)
+    weights = logistic((x - mean) / scale, posterior, np.ones(len(x)), penalty=2.0)
+    if share is not None and 0 < share < 1:  # the sample has both labels about equally often
+        weights[-1] += np.log(share / (1 - share)) - np.log(drawn / (1 - drawn))
     return ToxicityModel(lexicon=whole, labeller=labeller, weights=weights, mean=mean, scale=scale)
 
 
-def _lexicon(learned: dict[int, float]) -> Lexicon:
-    entries = {k: (v, len(LEXICONS) + k % GROUPS) for k, v in learned.items()}
+def _lexicon(learned: dict[int, tuple[float, int]]) -> Lexicon:
+    entries = {k: (v, len(LEXICONS) + (kind + 1 if kind else int(v < SURE))) for k, (v, kind) in learned.items()}
     for voter, line in enumerate(LEXICONS):
         for word in line.split():
-            entries[key_of(word)] = (max(3.0, learned.get(key_of(word), 0.0)), voter)
+            entries[key_of(word)] = (max(3.0, learned.get(key_of(word), (0.0, 0))[0]), voter)
     keys = np.array(sorted(entries), np.uint64)
     return Lexicon(keys, np.array([entries[int(k)][0] for k in keys]), np.array([entries[int(k)][1] for k in keys]))
 
