@@ -2,15 +2,15 @@
 
 A suffix automaton over a language's sample text accepts exactly its substrings. A text is parsed greedily into
 longest phrases found in the sample; the language that needs the fewest phrases, each priced at the logarithm
-of the sample's length, wins. The automaton and the restart after a phrase become one table: from state and character to next state and
-whether a phrase ended. Many stretches of text walk through all tables in lockstep, one table
-look-up per character and language. The parse restarts every ``STRETCH`` characters.
+of the sample's length, wins. The automaton and the restart after a phrase become one table: from state and symbol to next state and
+whether a phrase ended. Many stretches of text walk through a language's table in lockstep. As a phrase's end depends only on where it began,
+the parse that comes over from the stretch before soon shares a phrase's end with the one that began at the stretch's start; up to there it is
+walked again, and where the two never meet, the text is parsed in one go. So the count is that of one parse of the whole text.
 """
 
 from __future__ import annotations
 
 import math
-import re
 from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
@@ -23,12 +23,12 @@ from pyspark.sql import functions as F
 from .session import bounded_sample, held_out
 from .textkit import byte_chunks
 
-#: Bounds of the training sample of a language: rows, characters of a row, characters in all.
-SAMPLE_ROWS, ROW_CHARS, SAMPLE_CHARS = 400, 2_000, 40_000
-ALPHABET = 64
+#: Bounds of the training sample of a language: rows drawn, characters of a row that can be drawn, characters kept (whole texts, as many as fit); and bytes of all
+#: tables, which the languages share.
+SAMPLE_ROWS, ROW_CHARS, SAMPLE_CHARS, TABLE_BYTES = 200, 200_000, 40_000, 256 << 20
+#: Symbols: 0 a run of what is no letter, then the commonest letters, then pieces of two that spell other letters, last one that is never met.
+ALPHABET, PIECES = 96, 32
 STRETCH = 256
-_LETTER = re.compile(r"[^\W\d_]")
-_OTHERS = re.compile(r"[\W\d_]+")
 
 
 def suffix_automaton(symbols: list[int]) -> list[dict[int, int]]:
@@ -62,74 +62,124 @@ def suffix_automaton(symbols: list[int]) -> list[dict[int, int]]:
 
 
 class Parser:
-    """Tables of all languages. Symbol 0 is an unknown letter, 1 a run of other characters; the last one is never met."""
+    """Tables of all languages, each with states of its own."""
 
     def __init__(self, samples: tuple[tuple[str, str], ...]):
         self.languages = [name for name, _ in samples]
         seen = Counter(c for _, text in samples for c in text if c.isalpha())
-        known = [c for c, _ in sorted(seen.items(), key=lambda x: (-x[1], x[0]))[: ALPHABET - 3] if ord(c) < 65536]
-        self.symbol = np.array([0 if chr(c).isalpha() else 1 for c in range(65536)], np.int32)
+        own = ALPHABET - PIECES - 2
+        known = [c for c, _ in sorted(seen.items(), key=lambda x: (-x[1], x[0]))[:own] if ord(c) < 65536]
+        self.symbol = np.array([-1 if chr(c).isalpha() else 0 for c in range(65536)], np.int32)
         for k, c in enumerate(known):
-            self.symbol[ord(c)] = k + 2
-        tables, self.start, size = [], [], 0
+            self.symbol[ord(c)] = k + 1
+        self.tables = []
         for _, text in samples:
-            moves = suffix_automaton(self.symbols(text).tolist())
-            table = np.empty((len(moves), ALPHABET), np.int64)
-            first = np.zeros(ALPHABET, np.int64)
+            moves = suffix_automaton(self.symbols(text)[0].tolist())
+            table = np.empty((len(moves) + 1, ALPHABET), np.int64)
+            # a phrase ends and the next one starts with this symbol; one that the sample lacks is a phrase by itself, which the last state stands for
+            first = np.full(ALPHABET, len(moves), np.int64)
             for c, to in moves[0].items():
                 first[c] = to
-            table[:] = (first * ALPHABET + size) * 2 + 1  # a phrase ends and the next one starts with this character
-            for s, own in enumerate(moves):
-                for c, to in own.items():
-                    table[s, c] = (to * ALPHABET + size) * 2
-            table[:, 0] = size * 2 + 1
-            table[:, ALPHABET - 1] = size * 2
-            self.start.append(size)
-            tables.append(table.ravel().astype(np.int32))
-            size += len(tables[-1])
-        self.table = np.concatenate(tables) if tables else np.empty(0, np.int32)
+            table[:] = first * ALPHABET * 2 + 1
+            for s, out in enumerate(moves):
+                for c, to in out.items():
+                    table[s, c] = to * ALPHABET * 2
+            self.tables.append(table.ravel().astype(np.int32))
         self.price = np.array([math.log2(max(2, len(text))) for _, text in samples])
 
-    def symbols(self, text: str) -> np.ndarray:
-        points = np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32)
-        return np.where(points < 65536, self.symbol[np.minimum(points, 65535)], 0)
-
-    def costs(self, texts: list[str]) -> np.ndarray:
-        """Bits of every text (rows) in every language (columns)."""
-        symbols = self.symbols("".join(texts))
-        first = np.cumsum([0, *map(len, texts)])[:-1]
-        fresh = (symbols != 1) | np.append(True, symbols[1:] != symbols[:-1])[: len(symbols)]
-        fresh[first[first < len(fresh)]] = True
-        ends = np.append(0, np.cumsum(fresh))
-        symbols, sizes = symbols[fresh], np.diff(ends[np.append(first, len(fresh))])
+    def symbols(self, text: str) -> tuple[np.ndarray, np.ndarray]:
+        """Symbols of a text, and for each the position of its character; a rare letter is spelled by two pieces."""
+        points = np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32).astype(np.int64)
+        out = np.where(points < 65536, self.symbol[np.minimum(points, 65535)], -1)
+        for k in np.flatnonzero(points >= 65536).tolist():
+            out[k] = -1 if text[k].isalpha() else 0
+        rare = np.flatnonzero(out < 0)
+        if not len(rare):
+            return out, np.arange(len(out))
+        mixed = points[rare] * 0x9E3779B1 >> 11
+        base = ALPHABET - PIECES - 1
+        out[rare] = base + mixed % PIECES
+        at = np.repeat(np.arange(len(out)), 1 + np.isin(np.arange(len(out)), rare, assume_unique=True))
+        spelled = out[at]
+        spelled[np.flatnonzero(at[1:] == at[:-1]) + 1] = base + mixed // PIECES % PIECES
+        return spelled, at
+
+    def phrases(self, symbols: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        """Phrases of every text (rows) in every language (columns); ``symbols`` of all texts lie behind each other."""
         cuts = -(-sizes // STRETCH)
-        text = np.repeat(np.arange(len(texts)), cuts)
+        text = np.repeat(np.arange(len(sizes)), cuts)
+        out = np.zeros((len(sizes), len(self.tables)))
         if not len(text):
-            return np.zeros((len(texts), len(self.languages)))
+            return out
         offset = (np.arange(len(text)) - np.repeat(np.cumsum(cuts) - cuts, cuts)) * STRETCH
         begin = (np.cumsum(sizes) - sizes)[text] + offset
         long = np.minimum(sizes[text] - offset, STRETCH)
         order = np.argsort(-long, kind="stable")
-        begin, long, text = begin[order], long[order], text[order]
-        state = np.repeat(np.array(self.start, np.int32)[:, None], len(text), axis=1)
-        ended = np.zeros(state.shape, np.int32)
-        live = np.searchsorted(-long, -np.arange(STRETCH), side="left")  # stretches longer than each step
-        for t in range(int(long[0])):
-            n = live[t]
-            to = self.table[state[:, :n] + symbols[begin[:n] + t]]
-            ended[:, :n] += to & 1
-            state[:, :n] = to >> 1
-        out = np.zeros((len(texts), len(self.languages)))
-        for k in range(len(self.languages)):
-            out[:, k] = np.bincount(text, weights=ended[k] + 1.0, minlength=len(texts)) * self.price[k]
+        live = np.searchsorted(-long[order], -np.arange(STRETCH), side="left")  # stretches longer than each step
+        padded = np.zeros((int(long.max()), len(text)), np.int32)
+        for t in range(len(padded)):
+            padded[t, : live[t]] = symbols[begin[order[: live[t]]] + t]
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        later = np.flatnonzero(offset > 0)
+        for k, table in enumerate(self.tables):
+            state = np.zeros(len(text), np.int32)
+            ended = np.zeros(padded.shape, np.int8)
+            for t, n in enumerate(live[: len(padded)].tolist()):
+                to = table[state[:n] + padded[t, :n]]
+                ended[t, :n] = to & 1
+                state[:n] = to >> 1
+            # a stretch begins with a phrase, so its first symbol counts as an end before it
+            ended[0] = 1
+            after = ended[::-1].cumsum(axis=0, dtype=np.int32)[::-1]  # ends from each step on
+            count = after[0].astype(np.int64)
+            lane, own = place[later], state[place[later - 1]]
+            found, apart = np.zeros(len(later), np.int64), np.ones(len(later), bool)
+            at = np.arange(len(later))
+            for t in range(len(padded)):
+                inside = long[later[at]] > t
+                at = at[inside]
+                if not len(at):
+                    break
+                to = table[own[at] + padded[t, lane[at]]]
+                own[at] = to >> 1
+                end = (to & 1).astype(bool)
+                met = end & (ended[t, lane[at]] > 0)
+                found[at[met]] += after[t, lane[at[met]]]
+                apart[at[met]] = False
+                found[at[end & ~met]] += 1
+                at = at[~met]
+            count[lane] = found
+            apart &= offset[later] + long[later] < sizes[text[later]]  # a text's last stretch is walked to its end
+            np.add.at(out[:, k], text, count[place])
+            for i in np.unique(text[later[apart]]).tolist():
+                first = int(sizes[:i].sum())
+                out[i, k] = self._in_one_go(table, symbols[first : first + int(sizes[i])])
         return out
 
+    @staticmethod
+    def _in_one_go(table: np.ndarray, symbols: np.ndarray) -> int:
+        state, n = 0, 1
+        for c in symbols.tolist():
+            to = int(table[state + c])
+            n += to & 1
+            state = to >> 1
+        return n - int(len(symbols) > 0 and (int(table[symbols[0]]) & 1))
+
+    def costs(self, texts: list[str]) -> np.ndarray:
+        """Bits of every text (rows) in every language (columns)."""
+        symbols, at = self.symbols("".join(texts))
+        ends = np.cumsum([0, *map(len, texts)])
+        owner = np.searchsorted(ends, at, side="right") - 1
+        fresh = (symbols != 0) | np.append(True, (symbols[1:] != symbols[:-1]) | (owner[1:] != owner[:-1]))[: len(symbols)]
+        sizes = np.bincount(owner[fresh], minlength=len(texts))[: len(texts)]
+        return self.phrases(symbols[fresh].astype(np.int32), sizes) * self.price
+
     def predict(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
-        low = [(t or "").lower() for t in texts]
-        costs = self.costs(low)
+        costs = self.costs([(t or "").lower() for t in texts])
         names, scores = [], []
         for t, row in zip(texts, costs, strict=True):
-            if not t or not self.languages or not _LETTER.search(t):
+            if not t or not self.languages or not has_letter(t):
                 names.append("und")
                 scores.append(0.0)
                 continue
@@ -139,9 +189,14 @@ class Parser:
         return names, scores
 
 
+def has_letter(text: str) -> bool:
+    """Is any character a letter? Digits, fractions and numerals in other forms are none."""
+    return any(map(str.isalpha, text))
+
+
 def squeeze(text: str) -> str:
     """Lower case, and one space for each run of what is no letter."""
-    return _OTHERS.sub(" ", text.lower())
+    return " ".join("".join(c if c.isalpha() else " " for c in text.lower()).split())
 
 
 @lru_cache(maxsize=2)
@@ -150,17 +205,28 @@ def _parser(samples: tuple[tuple[str, str], ...]) -> Parser:
 
 
 def language_samples(documents: DataFrame, rows: int = SAMPLE_ROWS, chars: int = SAMPLE_CHARS) -> tuple[tuple[str, str], ...]:
-    """Sample text of every language, from rows with a language that are not held out; sorted by language."""
-    known = documents.select("doc_id", "lang", F.substring("text", 1, ROW_CHARS).alias("__text")).filter(F.col("lang").isNotNull() & (F.length("text") > 0) & ~held_out(F.col("doc_id")))
+    """Sample text of every language, from rows with a language that are not held out; sorted by language.
+
+    Of the rows drawn, whole texts are kept in the order of a hash while they fit into ``chars`` characters, less if many languages
+    share ``TABLE_BYTES``; if none fits, the shortest. Texts longer than ``ROW_CHARS`` are not drawn.
+    """
+    known = documents.select("doc_id", "lang", F.col("text").alias("__text")).filter(F.col("lang").isNotNull() & (F.length("text") > 0) & (F.length("text") <= ROW_CHARS) & ~held_out(F.col("doc_id")))
     chosen = bounded_sample(known, "lang", "doc_id", rows)
     place = F.pmod(F.xxhash64(F.lit(3), "doc_id"), F.lit(1 << 30))
-    texts: dict[str, list[str]] = {}
-    size: Counter[str] = Counter()
+    drawn: dict[str, list[str]] = {}
     for lang, _, text in chosen.select("lang", place.alias("__p"), "__text").dropDuplicates().orderBy("__p", "lang", "__text").toLocalIterator():
-        if size[lang] < chars and _LETTER.search(text):
-            texts.setdefault(lang, []).append(squeeze(text)[: chars - size[lang]])
-            size[lang] += len(texts[lang][-1])
-    return tuple((lang, " ".join(texts[lang])) for lang in sorted(texts))
+        if has_letter(text):
+            drawn.setdefault(lang, []).append(squeeze(text))
+    share = min(chars, TABLE_BYTES // (max(1, len(drawn)) * ALPHABET * 6))  # three states for two characters, four bytes a cell
+    out = []
+    for lang in sorted(drawn):
+        kept, size = [], 0
+        for text in drawn[lang]:
+            if size + len(text) <= share:
+                kept.append(text)
+                size += len(text)
+        out.append((lang, " ".join(kept or [min(drawn[lang], key=lambda t: (len(t), t))])))
+    return tuple(out)
 
 
 def identify_language(documents: DataFrame, samples: tuple[tuple[str, str], ...] | None = None) -> DataFrame:
