@@ -57,14 +57,25 @@ _AT = r"(?:at|@|ät|arroba|arobase|klammeraffe)"
 _DOT = r"(?:dot|punkt|point|punto|\.)"
 _OPEN, _SHUT = r"\s{0,3}[\[({<]\s{0,3}", r"\s{0,3}[\])}>]\s{0,3}"
 _NUMBER = "(?:" + "|".join(sorted(SPELLED, key=len, reverse=True)) + ")"
-_TLD = r"(?:com|org|net|edu|gov|info|io|de|fr|es|uk|eu)\b"
+#: Top-level domains that a disguise without brackets must end with.
+_TLD = r"(?:com|org|net|edu|gov|info|io|ai|app|dev|biz|me|tv|eu|at|au|be|br|ca|ch|cn|cz|de|dk|es|fi|fr|gr|hu|ie|in|it|jp|kr|mx|nl|no|nz|pl|pt|ru|se|tr|uk|us|za)\b"
+#: Words before a bare "at" that make it a preposition, and words that announce an address.
+_PROSE = frozenset("i you he she it we they am is are was were be been being met meet meets look looks looked looking arrive arrives arrived stay stays stayed live lives lived work works worked sit sits sat stand stands stood laugh laughed aim aimed stare stared point pointed good bad here there home open opens opened closed start starts started end ends ended not and or only even just while that this".split())
+_SUBJECT = frozenset("i you he she it we they who".split())
+_CUE = frozenset("mail email e-mail mailto contact write reach address to kontakt schreib an adresse courriel contacter ecrire escribe correo contacto".split())
 _WORD = re.compile(r"\w+|\+|\.")
 _RUN = re.compile(rf"(?<!\w)(?:(?:plus\s{{1,3}}|\+\s{{0,3}})?(?:{_NUMBER}|[0-9]+)(?!\w))(?:[\s,.()-]{{1,3}}(?:(?:dot|punkt|point|punto)\s{{1,3}})?(?:{_NUMBER}|[0-9]+)(?!\w))+")
-_PAIR = re.compile(rf"(?<!\w){_NUMBER}[\s,.()-]{{1,3}}(?:(?:dot|punkt|point|punto)\s{{1,3}})?(?:{_NUMBER}|[0-9]+)(?!\w)")
+_BETWEEN = r"[\s,.()-]{1,3}(?:(?:dot|punkt|point|punto)\s{1,3})?"
+_PAIR = re.compile(rf"(?<!\w)(?:{_NUMBER}{_BETWEEN}(?:{_NUMBER}|[0-9]+)|[0-9]+{_BETWEEN}{_NUMBER})(?!\w)")
 _BRACKETED_AT = re.compile(rf"{_OPEN}{_AT}{_SHUT}", re.IGNORECASE)
 _BRACKETED_DOT = re.compile(rf"{_OPEN}{_DOT}{_SHUT}", re.IGNORECASE)
 _BARE_DOT = re.compile(r"(?<=\w)\s{1,3}(?:dot|punkt|punto)\s{1,3}(?=\w)", re.IGNORECASE)
-_BARE_AT = re.compile(rf"(?<=\w)\s{{1,3}}(?:at|arroba|arobase)\s{{1,3}}(?=[\w-]{{1,63}}(?:\s{{1,3}}(?:dot|punkt|punto)\s|{_OPEN}{_DOT}{_SHUT}|\.{_TLD}))", re.IGNORECASE)
+#: A bare "at": what stands before it, and a domain whose dots are disguised (all of them doubled disguises) or plain; it ends with a known top-level domain.
+_BARE_AT = re.compile(
+    rf"(?P<local>[\w.+%-]{{1,64}})(?P<at>\s{{1,3}}(?P<word>at|arroba|arobase)\s{{1,3}})(?=[\w-]{{1,63}}(?:(?P<dot>\s{{1,3}}(?:dot|punkt|punto)\s{{1,3}}|{_OPEN}{_DOT}{_SHUT})|\.)(?:[\w-]{{1,63}}(?:\s{{1,3}}(?:dot|punkt|punto)\s{{1,3}}|{_OPEN}{_DOT}{_SHUT}|\.)){{0,4}}{_TLD})",
+    re.IGNORECASE,
+)
+_BEFORE = re.compile(r"([\w-]+)\W{1,3}\Z")
 
 
 def _folded(ch: str) -> str | None:
@@ -164,8 +175,6 @@ class Normalised:
                 exact.append(False)
                 parts.append(new)
                 size += len(new)
-            else:
-                self.dropped = True
             at = b
         keep(at, len(self.text))
         self.text, self.begin, self.source, self.exact = "".join(parts), begin or [0], source or [(0, 0)], exact or [True]
@@ -189,7 +198,7 @@ def _digit_edits(text: str, low: str) -> list[tuple[int, int, str]]:
     edits: list[tuple[int, int, str]] = []
     for run in _RUN.finditer(low):
         words = [m for m in _WORD.finditer(low, run.start(), run.end()) if m[0] != "."]
-        if sum(m[0] in SPELLED for m in words) < 2:
+        if not any(m[0] in SPELLED for m in words):
             continue
         before = None
         for m in words:
@@ -203,6 +212,21 @@ def _digit_edits(text: str, low: str) -> list[tuple[int, int, str]]:
     return edits
 
 
+def _bare_ats(text: str) -> list[tuple[int, int, str]]:
+    """Bare "at"s that stand for the sign: the dot is disguised as well, or the local part looks like one, or an address is announced; never a preposition's place."""
+    edits = []
+    for m in _BARE_AT.finditer(text):
+        local = m["local"]
+        ahead = _BEFORE.search(text, max(0, m.start("local") - 40), m.start("local"))
+        word = ahead[1].lower() if ahead else ""
+        shaped = any(c in "._+%" or c.isdigit() for c in local.strip("."))
+        if m["word"].lower() == "at" and not shaped and (local.lower() in _PROSE or word in _SUBJECT):
+            continue
+        if m["dot"] or shaped or word in _CUE:
+            edits.append((*m.span("at"), "@"))
+    return edits
+
+
 def disguised_spans(text: str, plain: list[Span]) -> list[Span]:
     """Spans that only normalisation shows, mapped to the source; none inside a plain span of its kind."""
     n = Normalised(text)
@@ -215,7 +239,7 @@ def disguised_spans(text: str, plain: list[Span]) -> list[Span]:
         n.apply(_digit_edits(n.text, low))
         low = n.text.lower()
     if any(x in low for x in ("dot", "punkt", "point", "punto", ".]", ".)", ". )", ". ]", ".}")) or any(x in low for x in ("at]", "at)", "at }", "at}", "at >", "at>", "at ]", "at )", "@]", "@)", "@ ]", "@ )", "arroba", "arobase", "affe", " at ")):
-        n.apply([(m.start(), m.end(), "@") for m in _BARE_AT.finditer(n.text)])
+        n.apply(_bare_ats(n.text))
         n.apply([(m.start(), m.end(), "@") for m in _BRACKETED_AT.finditer(n.text)])
         n.apply([(m.start(), m.end(), ".") for m in _BRACKETED_DOT.finditer(n.text)])
         n.apply([(m.start(), m.end(), ".") for m in _BARE_DOT.finditer(n.text)])
