@@ -3,8 +3,8 @@
 The trees are fitted on the driver to a bounded sample: a node splits its rows by the plane halfway between two random rows. Every
 distinct vector is then indexed: it goes to one leaf of each tree. A query searches all trees through one priority
 queue ordered by the squared distance to a node's cell (the sum of the squared margins on the wrong side), and takes leaves until they
-hold a share of the rows. Queries meet the rows of their leaves in blocks, a block for each leaf; each
-leaf gives a query its nearest rows by the exact cosine, and the best of all leaves win.
+hold a share of the rows. Queries meet the rows of their leaves in blocks: a leaf's queries are dealt to as many blocks as they need, and its rows go to
+each; a block gives a query its nearest rows by the exact cosine, and the best of all leaves win.
 Equal vectors are indexed once with their smallest ids, all that any query can need.
 """
 
@@ -28,6 +28,8 @@ TREES = 16
 SHARE, LEAST = 0.65, 4_000
 #: A leaf holds about 1 / LEAVES of the rows within these bounds, so a query visits about as many leaves at any size.
 LEAVES, LEAF_BOUNDS = 256, (32, 32_768)
+#: Queries that meet a leaf in one block, about.
+BLOCK_QUERIES = 8_192
 #: Bound of the sample that the trees are fitted to.
 SAMPLE_ROWS = 32_768
 
@@ -135,7 +137,7 @@ def _unit(raw: list[bytes], kind: str) -> np.ndarray:
     return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
-def nearest(vectors: DataFrame, k: int = 5, every: int = 50, trees: int = TREES, share: float = SHARE, least: int = LEAST) -> DataFrame:
+def nearest(vectors: DataFrame, k: int = 5, every: int = 50, trees: int = TREES, share: float = SHARE, least: int = LEAST, block: int = BLOCK_QUERIES) -> DataFrame:
     """query_id, rank, vec_id, score: the ``k`` nearest other rows found for each row whose id is divisible by ``every``.
 
     Rows without an id, and null, empty, zero, non-finite or odd-length vectors take no part. A repeated id counts once (the
@@ -199,8 +201,12 @@ def nearest(vectors: DataFrame, k: int = 5, every: int = 50, trees: int = TREES,
 
     queries = rows.filter(F.pmod("vec_id", F.lit(every)) == 0).select("v", F.array("vec_id").alias("ids")).mapInArrow(pack, "raw binary, ids array<bigint>").select("raw", F.col("ids")[0].alias("query_id"))
     probes = queries.mapInArrow(to_probes, "leaf long, raw binary, query_id long")
+    # at most 2 * LEAVES leaves for each tree or so, whatever the size: a table that may be broadcast
+    parts = cut(probes.groupBy("leaf").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("parts")))
+    probes = probes.join(F.broadcast(parts), "leaf").withColumn("part", F.pmod(F.xxhash64(F.lit(13), "query_id"), F.col("parts")).cast("int")).drop("parts")
     leaves = indexed.mapInArrow(to_leaves, "leaf long, raw binary, ids array<bigint>")
-    found = leaves.groupBy("leaf").cogroup(probes.groupBy("leaf")).applyInPandas(in_leaf, "query_id long, vec_id long, score double")
+    leaves = leaves.join(F.broadcast(parts), "leaf").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+    found = leaves.groupBy("leaf", "part").cogroup(probes.groupBy("leaf", "part")).applyInPandas(in_leaf, "query_id long, vec_id long, score double")
     best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return best.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
