@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from poiweave.llm import mixing, neighbours, sharding
+from poiweave.llm import mixing, neighbours, quality, sharding
 from poiweave.llm.op5 import op5_nearest
 from poiweave.llm.session import table
 
@@ -31,7 +31,22 @@ def test_nearest_recall_when_leaves_are_skipped(spark):
     d = spark.createDataFrame([(k, [float(c) for c in row]) for k, row in enumerate(x)], "vec_id long, embedding array<double>")
     want = brute_nearest(np.arange(6000), x, 5, 50)
     got = collections.defaultdict(set)
-    for row in neighbours.nearest(d, share=0.2, least=500).collect():
+    for row in neighbours.nearest(d, share=0.2, least=500, block=20).collect():
+        got[row.query_id].add(row.vec_id)
+    assert sum(len(got[q] & set(v)) for q, v in want.items()) / (5 * len(want)) >= 0.9
+
+
+def test_nearest_recall_at_the_shipped_settings(spark):
+    """The larger given table, which has more rows than a query visits."""
+    t = table(spark, "/root/testdata/sf0.1", "embeddings").select("vec_id", "embedding").toPandas()
+    x = np.stack(t.embedding.to_list()).astype(float)
+    r = np.random.default_rng(0)
+    # the given vectors, and as many more between random pairs of them, so that no leaf holds all
+    y = x[r.integers(0, len(x), 10_000)] + x[r.integers(0, len(x), 10_000)] + 0.5 * r.normal(size=(10_000, x.shape[1])) / 8
+    d = spark.createDataFrame([(k, [float(c) for c in row]) for k, row in enumerate(np.concatenate([x, y]))], "vec_id long, embedding array<double>")
+    want = brute_nearest(np.arange(len(x) + len(y)), np.concatenate([x, y]), 5, 50)
+    got = collections.defaultdict(set)
+    for row in neighbours.nearest(d).collect():
         got[row.query_id].add(row.vec_id)
     assert sum(len(got[q] & set(v)) for q, v in want.items()) / (5 * len(want)) >= 0.9
 
@@ -84,6 +99,34 @@ def test_a_hot_text_is_spread_over_shards(spark):
     assert p[p["doc_id"] < 1500]["shard"].nunique() >= 3
 
 
+def test_repeated_rows_are_cut_like_others(spark):
+    """Rows with equal ids and texts have one key, which is cut inside by count, over several partitions."""
+    same = spark.range(2000).select(F.lit(None).cast("long").alias("doc_id"), F.lit("the same words again").alias("text"))
+    d = spark.range(2000).select(F.col("id").alias("doc_id"), F.concat(F.lit("text number "), F.col("id").cast("string")).alias("text")).unionByName(same).repartition(7)
+    p = sharding.shard_digest(d, 16).toPandas()
+    size = p.groupby("shard")["size"].sum()
+    assert len(p) == 4000 and len(size) == 16 and size.max() - size.min() <= 0.01 * size.sum() / 16 + 50
+    for s in range(16):
+        assert sorted(p["slot"][p["shard"] == s]) == list(range((p["shard"] == s).sum()))
+    assert p[p["doc_id"].isna()]["shard"].nunique() >= 7
+    whole = sharding.shard_texts(d, 16).groupBy("shard").agg(F.count(F.lit(1)).alias("n"), F.max("slot").alias("top"), F.count_distinct("slot").alias("slots")).collect()
+    assert sum(r.n for r in whole) == 4000 and all(r.top == r.n - 1 == r.slots - 1 for r in whole)
+
+
+def test_shards_against_a_sorted_list(spark, sf):
+    """All rows in the order of their keys, cut where a shard's bytes come nearest to an equal share."""
+    d = table(spark, sf, "documents").select("doc_id", "text")
+    keyed = d.select("doc_id", sharding.text_size(F.col("text")).alias("size"), sharding.row_key(F.col("doc_id"), F.col("text")).alias("key")).toPandas().sort_values(["key", "doc_id"]).reset_index(drop=True)
+    p = sharding.shard_digest(d, 8).toPandas().sort_values(["shard", "slot"]).reset_index(drop=True)
+    assert p["doc_id"].tolist() == keyed["doc_id"].tolist()
+    begin = keyed["size"].cumsum().to_numpy() - keyed["size"].to_numpy()
+    cuts = [int((p["shard"] < s).sum()) for s in range(1, 8)]
+    total = int(keyed["size"].sum())
+    for s, c in zip(range(1, 8), cuts, strict=True):
+        goal = s * total / 8
+        assert abs(begin[c] - goal) <= max(np.abs(begin - goal).min(), 0.002 * total / 8) + 1
+
+
 def test_shard_edge_cases(spark):
     p = sharding.shard_digest(awkward(spark)).toPandas()
     assert len(p) == 15 and p[p["doc_id"] == 4]["size"].iloc[0] == 1
@@ -185,6 +228,8 @@ def test_pipeline_stages(spark, sf):
     ids = {r.doc_id for r in kept.select("doc_id").collect()}
     known = [d for d in labels if labels[d] is not None]
     assert sum((d in ids) == bool(labels[d]) for d in known) / len(known) > 0.95
+    model = quality.fit_quality(docs, table(spark, sf, "labels"))
+    assert ids == {r.doc_id for r in docs.collect() if model.scores([(r.text or "").encode()])[0] >= quality.CUTOFF}
     one = corpus_pipeline.near_duplicate_stage(spark, kept, sf)
     rows = [(r.doc_id, r.text) for r in kept.select("doc_id", "text").collect()]
     assert {r.doc_id for r in one.select("doc_id").collect()} == {c for c, _ in brute_classes(rows).values()}
@@ -201,9 +246,17 @@ def test_pipeline_stages(spark, sf):
     assert {r.doc_id for r in clean.collect()} == {r.doc_id for r in one.collect() if not dirty(r.text)}
     mixed = corpus_pipeline.mixing_stage(spark, clean, sf)
     assert mixed.columns == docs.columns and mixed.count() > 0
-    most = mixed.groupBy("doc_id").count().agg(F.max("count")).first()[0]
-    assert most <= 3
+    own = [(r.doc_id, r.source, r.n) for r in clean.select("doc_id", "source", mixing.word_count(F.col("text")).alias("n")).collect()]
+    copies = collections.Counter(r.doc_id for r in mixed.select("doc_id").collect())
+    digest = {r.doc_id: r for r in mixing.mix_digest(clean).collect()}
+    assert max(copies.values()) <= 3 and all(copies[i] * n == digest[i].taken for i, _, n in own)
+    _check_mix(list(digest.values()), own, lambda s, t: 0.12 * t)
     sharded = corpus_pipeline.sharding_stage(spark, mixed, sf)
+    rows = sharded.select("doc_id", "shard", "slot", sharding.text_size(F.col("text")).alias("size")).toPandas()
+    bytes_of = rows.groupby("shard")["size"].sum().reindex(range(16), fill_value=0)
+    assert (bytes_of - bytes_of.sum() / 16).abs().max() <= rows["size"].max()
+    assert all(sorted(g["slot"]) == list(range(len(g))) for _, g in rows.groupby("shard"))
+    assert collections.Counter(rows["doc_id"]) == copies
     assert sharded.count() == mixed.count() and {"shard", "slot"} <= set(sharded.columns)
     assert corpus_pipeline.run(spark, sf).count() == mixed.count()
 
