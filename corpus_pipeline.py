@@ -6,8 +6,6 @@ folder and reads again for the next stage. All stages but the last return the co
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from poiweave.llm.decontaminate import decontaminate
 from poiweave.llm.mixing import mixed_texts
 from poiweave.llm.quality import accepted
-from poiweave.llm.session import table
+from poiweave.llm.session import remove, shared_folder, table
 from poiweave.llm.sharding import shard_texts
 from poiweave.llm.similarity import keep_first
 
@@ -53,16 +51,17 @@ STAGES = [
     ("sharding", sharding_stage),
 ]
 
-#: No SQL: a trained classifier and hashed draws are among the stages; tests hold it against brute force.
+#: No SQL: a trained classifier and hashed draws are among the stages; tests compare each stage with a brute-force version on its own input.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``; what lies between two of them is a table in the shared folder."""
-    shared = spark.sparkContext.getConf().get("spark.checkpoint.dir") or os.path.join(tempfile.gettempdir(), "poiweave-checkpoints")
-    place = f"{shared}/pipeline-{uuid.uuid4().hex}"
+    """All stages over ``documents``; what lies between two of them is a table in the shared folder, removed once the next one is written."""
+    place = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     docs = table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{place}/{k}")
         docs = spark.read.parquet(f"{place}/{k}")
+        if k:
+            remove(spark, f"{place}/{k - 1}")
     return docs
