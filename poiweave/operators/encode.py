@@ -98,14 +98,15 @@ def factorise(cells: DataFrame, d: int, most: int = MAX_CATEGORIES) -> tuple[lis
     return names, out
 
 
-def fit_sequence_encoder(visits: DataFrame, paths: DataFrame, levels: int = 6, d: int = 30, window: int = 2, method: str = "ppmi") -> DataFrame:
+def fit_sequence_encoder(visits: DataFrame, paths: DataFrame, levels: int = 6, d: int = 30, window: int = 2, method: str = "ppmi", partitions: int = 1) -> DataFrame:
     """path_key, v: each level has its own block of d / levels dimensions; a path that ends earlier inherits its last block's zeros.
 
-    ``ppmi`` factorises co-visits of every level, and every path joins the tables of its prefixes; ``w2v`` trains Word2Vec on the visit sequences of whole paths.
+    ``ppmi`` factorises co-visits of every level, and every path joins the tables of its prefixes; ``w2v`` trains Word2Vec on the visit sequences of whole paths,
+    in ``partitions`` parts whose vectors are averaged after each pass (one part gives the same vectors in every run).
     """
     spark = visits.sparkSession
     if method == "w2v":
-        return _word2vec(visits.select("visitor", "pos", category.key(F.col("category_path")).alias("word")), d, window)
+        return _word2vec(visits.select("visitor", "pos", category.key(F.col("category_path")).alias("word")), d, window, partitions)
     block = d // levels
     out, parts = paths.select("path_key", "category_path"), []
     for level in range(1, levels + 1):
@@ -118,12 +119,12 @@ def fit_sequence_encoder(visits: DataFrame, paths: DataFrame, levels: int = 6, d
     return out.select("path_key", F.concat(*parts, *rest).alias("v"))
 
 
-def _word2vec(words: DataFrame, d: int, window: int) -> DataFrame:
+def _word2vec(words: DataFrame, d: int, window: int, partitions: int) -> DataFrame:
     from pyspark.ml.feature import Word2Vec
     from pyspark.ml.functions import vector_to_array
 
     sentences = words.groupBy("visitor").agg(F.sort_array(F.collect_list(F.struct("pos", "word"))).alias("s")).select(F.col("s.word").alias("words"))
-    model = Word2Vec(vectorSize=d, minCount=1, seed=1, windowSize=window, inputCol="words", outputCol="v", numPartitions=1, maxIter=2).fit(sentences)
+    model = Word2Vec(vectorSize=d, minCount=1, seed=1, windowSize=window, inputCol="words", outputCol="v", numPartitions=partitions, maxIter=max(2, partitions)).fit(sentences)
     return model.getVectors().select(F.col("word").alias("path_key"), vector_to_array("vector").alias("v"))
 
 

@@ -7,11 +7,12 @@ from collections.abc import Callable, Sequence
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Observation, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import vectors
 from .learners import FITTERS
+from .session import cut, spread
 
 #: Fixed values of the protocol: repeats, training share; tuned settings by state (ratio, three coefficients for density, three for price).
 RUNS, TRAIN = 10, 0.8
@@ -57,14 +58,15 @@ def fit_predict(features: DataFrame, labels: DataFrame, splits: DataFrame, targe
         yhat = fit(x[train], y[train])(x[~train]) if train.sum() > 1 and len(test) else np.full(len(test), y[train].mean() if train.any() else 0.0)
         return pd.DataFrame({"state_id": test["state_id"], "method": method, "run": test["run"], "zip_id": test["zip_id"], "y": test["y"], "yhat": yhat})
 
-    return rows.groupBy("state_id", "run").applyInPandas(run, "state_id int, method string, run int, zip_id long, y double, yhat double")
+    return spread(rows, "state_id", "run").groupBy("state_id", "run").applyInPandas(run, "state_id int, method string, run int, zip_id long, y double, yhat double")
 
 
 def _spark_trees(rows: DataFrame, model: str, method: str, seed: int) -> DataFrame:
+    """One model for each state and run, fitted one after another from a table that is written once: a state and run is a bounded piece of work, and Spark trains it on all executors."""
     from pyspark.ml.functions import array_to_vector
     from pyspark.ml.regression import GBTRegressor, RandomForestRegressor
 
-    rows = rows.withColumn("features", array_to_vector("z")).cache()
+    rows = cut(rows).withColumn("features", array_to_vector("z"))
     out = None
     for state, run in sorted((r[0], r[1]) for r in rows.select("state_id", "run").distinct().collect()):
         own = rows.filter((F.col("state_id") == state) & (F.col("run") == run))
@@ -93,11 +95,14 @@ def error_by_region(predictions: DataFrame, bins: int = 4) -> DataFrame:
     return e.withColumn("class", F.ntile(bins).over(Window.partitionBy("state_id").orderBy("error", "zip_id")))
 
 
-def error_breakdown(errors: DataFrame, poi: DataFrame, bins: int = 3) -> DataFrame:
-    """Mean error by classes of point density: the printed explanation of where errors lie."""
+def error_breakdown(errors: DataFrame, poi: DataFrame, regions: DataFrame, bins: int = 3) -> DataFrame:
+    """Mean error by classes of point density (points by area) and of area: the printed explanations of where errors lie. ``regions`` has zip_id, area_km2."""
     n = poi.groupBy("zip_id").agg(F.count(F.lit(1)).alias("n_poi"))
-    rows = errors.join(n, "zip_id").withColumn("density_class", F.ntile(bins).over(Window.partitionBy("state_id").orderBy("n_poi", "zip_id")))
-    return rows.groupBy("state_id", "density_class").agg(F.avg("error").alias("error"), F.avg("n_poi").alias("n_poi"), F.count(F.lit(1)).alias("regions"))
+    rows = errors.join(n, "zip_id").join(regions.select("zip_id", "area_km2"), "zip_id").withColumn("density", F.col("n_poi") / F.col("area_km2"))
+    classes = lambda c: F.ntile(bins).over(Window.partitionBy("state_id").orderBy(F.round(c, 9), "zip_id"))
+    rows = rows.withColumns({"density": classes("density"), "area": classes("area_km2")})
+    long = rows.select("state_id", "error", "n_poi", "area_km2", F.explode(F.array(*(F.struct(F.lit(c).alias("factor"), F.col(c).alias("class")) for c in ("density", "area")))).alias("c"))
+    return long.groupBy("state_id", F.col("c.factor").alias("factor"), F.col("c.class").alias("class")).agg(F.avg("error").alias("error"), F.avg("n_poi").alias("n_poi"), F.avg("area_km2").alias("area_km2"), F.count(F.lit(1)).alias("regions"))
 
 
 def rank_methods(scores: DataFrame, by: Sequence[str], measure: str = "rmse", higher_is_better: bool = False) -> DataFrame:
@@ -130,25 +135,49 @@ def region_grid(means: Sequence[DataFrame], grid: DataFrame, d: int) -> DataFram
     return rows.select("zip_id", *(f"a{k}" for k in range(len(means))), z.alias("z"))
 
 
-def tune(means: Sequence[DataFrame], labels: DataFrame, target: str, grid: DataFrame, d: int, runs: int = RUNS, model: str = "ridge") -> DataFrame:
-    """state_id, a0, a1, a2, rmse of all settings, best first inside a state (place 1)."""
-    rows = region_grid(means, grid, d).filter("a0 + a1 + a2 > 0")
-    splits = split_runs(labels, runs)
-    joined = rows.join(splits, "zip_id").join(labels.select("zip_id", F.col(target).alias("y")), "zip_id")
-    fit = FITTERS[model]
+def tune(means: Sequence[DataFrame], labels: DataFrame, target: str, grid: DataFrame, d: int, runs: int = RUNS) -> DataFrame:
+    """state_id, a0, a1, a2, rmse of all settings but the zero vector, best first inside a state (place 1).
+
+    A setting is judged on the training regions of every run alone, by leaving each of them out of a ridge regression in turn (in closed form), so the test regions have no say. The
+    grid is walked inside a task, which holds the region means of one state and run: the 125 settings are never written out.
+    """
+    settings = sorted((r["a0"], r["a1"], r["a2"]) for r in grid.collect() if r["a0"] or r["a1"] or r["a2"])
+    n_hops, rows = len(means), means[0].select("zip_id", F.col("z").alias("z0"))
+    for k, m in enumerate(means[1:], 1):
+        rows = rows.join(m.select("zip_id", F.col("z").alias(f"z{k}")), "zip_id")
+    joined = split_runs(labels, runs).filter("is_train").join(labels.select("zip_id", F.col(target).alias("y")), "zip_id").join(rows, "zip_id")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("zip_id")
-        x, y, train = np.stack(pdf["z"].to_list()), pdf["y"].to_numpy(), pdf["is_train"].to_numpy()
-        gap = fit(x[train], y[train])(x[~train]) - y[~train] if train.sum() > 1 and (~train).any() else np.zeros(1)
-        first = pdf.iloc[0]
-        return pd.DataFrame({c: [first[c]] for c in ("state_id", "run", "a0", "a1", "a2")} | {"rmse": [float(np.sqrt((gap**2).mean()))]})
+        y = pdf["y"].to_numpy()
+        hops = [np.stack(pdf[f"z{k}"].to_list()) for k in range(n_hops)]
+        out = [(int(pdf["state_id"].iloc[0]), int(pdf["run"].iloc[0]), *a, _left_out_error(sum(w * z for w, z in zip(a, hops, strict=True)), y)) for a in settings]
+        return pd.DataFrame(out, columns=["state_id", "run", "a0", "a1", "a2", "rmse"])
 
-    out = joined.groupBy("state_id", "run", "a0", "a1", "a2").applyInPandas(run, "state_id int, run int, a0 double, a1 double, a2 double, rmse double")
+    out = spread(joined, "state_id", "run").groupBy("state_id", "run").applyInPandas(run, "state_id int, run int, a0 double, a1 double, a2 double, rmse double")
     out = out.groupBy("state_id", "a0", "a1", "a2").agg(F.avg("rmse").alias("rmse"))
     return out.withColumn("place", F.row_number().over(Window.partitionBy("state_id").orderBy(F.round("rmse", 9), "a0", "a1", "a2")))
 
 
+def _left_out_error(x: np.ndarray, y: np.ndarray, penalty: float = 1.0) -> float:
+    """Root mean square of the errors of ridge predictions for rows left out one at a time."""
+    if len(y) < 3:
+        return 0.0
+    z = np.column_stack([(x - x.mean(axis=0)) / (x.std(axis=0) + 1e-9), np.ones(len(y))])
+    ridge = penalty * np.eye(z.shape[1])
+    ridge[-1, -1] = 0.0
+    hat = z @ np.linalg.solve(z.T @ z + ridge, z.T)
+    return float(np.sqrt((((y - hat @ y) / np.maximum(1 - np.diag(hat), 1e-6)) ** 2).mean()))
+
+
+def tuned_features(means: Sequence[DataFrame], best: DataFrame, labels: DataFrame, d: int) -> DataFrame:
+    """zip_id, z: each region's vector under the best coefficients of its state (``best``: state_id, a0, a1, a2)."""
+    rows = labels.select("zip_id", "state_id").join(best, "state_id")
+    for k, m in enumerate(means):
+        rows = rows.join(m.select("zip_id", F.col("z").alias(f"z{k}")), "zip_id")
+    return rows.select("zip_id", F.array(*(sum((F.col(f"a{k}") * F.col(f"z{k}")[i] for k in range(len(means))), F.lit(0.0)) for i in range(d))).alias("z"))
+
+
 def expressiveness_gap(h: DataFrame, places: DataFrame, labels: DataFrame, target: str) -> DataFrame:
     """Error of one ridge model fitted on all point vectors and of one on weighted place vectors, both scored on the regions' means."""
     y = labels.select("state_id", "zip_id", F.col(target).alias("y"))
@@ -175,6 +204,12 @@ def timed(name: str, build: Callable[[], DataFrame]) -> tuple[DataFrame, float]:
     return df, time.perf_counter() - began
 
 
+def observed(df: DataFrame, name: str) -> tuple[DataFrame, Observation]:
+    """``df`` with a counter of its rows, read from the second result once an action has run: rows are counted as they pass, without a pass of their own."""
+    seen = Observation(name)
+    return df.observe(seen, F.count(F.lit(1)).alias("rows")), seen
+
+
 def speedup_table(log: DataFrame) -> DataFrame:
     """method, r, slope of log seconds over log points, and speed-up of the reference over the method by state. Needs state, points, method, r, seconds."""
     ref = log.filter("method = 'reference'").select("state", F.col("r").alias("ref_r"), F.col("seconds").alias("ref_seconds"))

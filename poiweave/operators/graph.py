@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import geo, vectors
-from .session import cut
+from .session import cut, small
 
 
 def knn_brute(poi: DataFrame, k: int = 5, metric: str = "haversine") -> DataFrame:
@@ -22,49 +22,74 @@ def _nearest(pairs: DataFrame, k: int) -> DataFrame:
     return pairs.withColumn("rank", rank).filter(F.col("rank") <= k)
 
 
-def knn_tiled(poi: DataFrame, k: int = 5, metric: str = "haversine", degrees: float = 0.05, most_points: int = 256, most_rounds: int = 40) -> DataFrame:
-    """The same edges by tiles. In round ``i`` an open point looks at its tile and ``2**i`` rings; it is final once its k-th
-    distance is at most the distance to the searched area's border (taken at the area's highest latitude, where a
-    degree of longitude is shortest). Only open points go to the next round, whose tiles are twice as
-    wide, so the number of tiles looked at stays nine; a point whose area holds its whole state is final. The first tiles are
-    halved until none holds more than ``most_points`` (or is ten metres wide), so dense cities do not square their points.
+#: Halvings of the first tile width in dense parts: 0.05 degrees become about ten metres.
+FINEST = 9
+
+
+def tile_levels(base: DataFrame, degrees: float, most_points: int) -> DataFrame:
+    """``base`` (state_id, poi_id, lat, lon) plus ``level``: how often a point's tile is halved until it holds at most ``most_points``.
+
+    Counts of all levels come from one aggregation; only crowded tiles are joined back, so a city gets small tiles and the country around keeps large ones.
+    """
+    tile = lambda c: F.floor(F.col(c) * F.pow(F.lit(2.0), F.col("at")) / degrees).cast("long")
+    every = base.withColumn("at", F.explode(F.sequence(F.lit(0), F.lit(FINEST - 1)))).withColumns({"tx": tile("lon"), "ty": tile("lat")})
+    full = cut(every.groupBy("state_id", "at", "tx", "ty").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > most_points).drop("n"))
+    crowded = every.join(small(full, full.count()), ["state_id", "at", "tx", "ty"], "left_semi").groupBy("poi_id").agg(F.count(F.lit(1)).cast("int").alias("level"))
+    return base.join(crowded, "poi_id", "left").withColumn("level", F.coalesce("level", F.lit(0)))
+
+
+def knn_tiled(poi: DataFrame, k: int = 5, metric: str = "haversine", degrees: float = 0.05, most_points: int = 16, most_rounds: int = 40) -> DataFrame:
+    """The same edges by tiles. Each open point looks at its tile and the eight around it, of a width that suits its surroundings (:func:`tile_levels`); it is final
+    once ``k`` points are no farther than the border of that area (taken at the area's highest latitude, where a
+    degree of longitude is shortest). Only open points go to the next round, with tiles twice as
+    wide; a point whose area holds its whole state is final. Of points at one place only the ``k + 1`` smallest ids can be anybody's neighbours, so others
+    are not looked at: a mall of coincident points costs no more than its size.
     """
     base = cut(poi.select("state_id", "poi_id", "lat", "lon"))
-    extent = base.groupBy("state_id").agg(F.min("lat").alias("b_lat"), F.max("lat").alias("t_lat"), F.min("lon").alias("l_lon"), F.max("lon").alias("r_lon"), F.count(F.lit(1)).alias("n_state"))
-    n_states = extent.count()
-    extent = F.broadcast(extent) if n_states <= 100_000 else extent
-    open_, done, size = base, None, degrees
-    while size > 1e-4:
-        fullest = base.groupBy("state_id", geo.tile(F.col("lon"), size), geo.tile(F.col("lat"), size)).count().agg(F.max("count")).first()[0]
-        if (fullest or 0) <= most_points:
-            break
-        size /= 2
+    extent = base.groupBy("state_id").agg(F.min("lat").alias("b_lat"), F.max("lat").alias("t_lat"), F.min("lon").alias("l_lon"), F.max("lon").alias("r_lon"))
+    extent = small(extent, extent.count(), 100_000)
+    at_place = F.row_number().over(Window.partitionBy("state_id", "lat", "lon").orderBy("poi_id"))
+    shown = cut(base.withColumn("__n", at_place).filter(F.col("__n") <= k + 1).drop("__n"))
+    # hidden points take the level of those shown at their place
+    level = tile_levels(shown, degrees, most_points).groupBy("state_id", "lat", "lon").agg(F.max("level").alias("level"))
+    open_, done = cut(base.join(level, ["state_id", "lat", "lon"])), None
     for _ in range(most_rounds):
-        there = base.select("state_id", F.col("poi_id").alias("dst"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"), geo.tile(F.col("lon"), size).alias("tx"), geo.tile(F.col("lat"), size).alias("ty"))
-        here = open_.withColumns({"cx": geo.tile(F.col("lon"), size), "cy": geo.tile(F.col("lat"), size)})
+        levels = [r[0] for r in open_.select("level").distinct().collect()]  # at most FINEST and one more each round
+        if not levels:
+            return done if done is not None else _no_edges(base)
+        size = F.lit(float(degrees)) / F.pow(F.lit(2.0), F.col("level"))
+        tile = lambda c: F.floor(F.col(c) / size).cast("long")  # noqa: E731, B023
+        here = open_.withColumns({"cx": tile("lon"), "cy": tile("lat")})
         here = here.withColumn("near", F.explode(geo.ring(F.col("cx"), F.col("cy"), 1))).select("*", F.col("near.x").alias("tx"), F.col("near.y").alias("ty")).drop("near")
-        pairs = here.join(there, ["state_id", "tx", "ty"], "left").withColumn("dist_m", F.when(F.col("poi_id") != F.col("dst"), geo.distance(metric, F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2"))))
-        south, north = F.col("lat") - F.col("cy") * size + size, (F.col("cy") + 2) * size - F.col("lat")
-        west, east = F.col("lon") - F.col("cx") * size + size, (F.col("cx") + 2) * size - F.col("lon")
+        there = shown.withColumn("level", F.explode(F.array(*map(F.lit, levels)))).withColumns({"tx": tile("lon"), "ty": tile("lat")})
+        there = there.select("state_id", "level", "tx", "ty", F.col("poi_id").alias("dst"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"))
+        if done is not None:  # few points are left: only their tiles matter
+            asked = cut(here.select("state_id", "level", "tx", "ty").distinct())
+            there = there.join(small(asked, asked.count()), ["state_id", "level", "tx", "ty"], "left_semi")
+        south, north = F.col("lat") - (F.col("cy") - 1) * size, (F.col("cy") + 2) * size - F.col("lat")
+        west, east = F.col("lon") - (F.col("cx") - 1) * size, (F.col("cx") + 2) * size - F.col("lon")
         top = F.least(F.lit(89.0), F.greatest(F.abs((F.col("cy") - 1) * size), F.abs((F.col("cy") + 2) * size)))
         # the nearest point of a meridian at angle a is asin(sin(a) cos(lat)) away, of a parallel its latitude difference
         side = F.asin(F.sin(F.radians(F.least(west, east, F.lit(90.0)))) * F.cos(F.radians(top))) * geo.EARTH_M * (1.0 if metric == "haversine" else 0.999)
-        reach = F.least(side, F.radians(F.least(south, north)) * geo.EARTH_M)
-        ranked = pairs.withColumn("reach", reach).withColumn("rank", F.row_number().over(Window.partitionBy("poi_id").orderBy(F.col("dist_m").asc_nulls_last(), "dst"))).filter((F.col("rank") <= k))
-        kept = ranked.join(extent, "state_id")
+        here = here.withColumn("reach", F.least(side, F.radians(F.least(south, north)) * geo.EARTH_M)).join(extent, "state_id")
         whole = ((F.col("cy") - 1) * size <= F.col("b_lat")) & ((F.col("cy") + 2) * size > F.col("t_lat")) & ((F.col("cx") - 1) * size <= F.col("l_lon")) & ((F.col("cx") + 2) * size > F.col("r_lon"))
-        full = Window.partitionBy("poi_id")
-        kept = kept.withColumn("final", F.max((F.col("rank") == k) & (F.col("dist_m") <= F.col("reach"))).over(full) | whole)
-        kept = cut(kept.select("state_id", "poi_id", "lat", "lon", "dst", "dist_m", "rank", F.coalesce("final", F.lit(False)).alias("final")))
-        got = kept.filter("final and dist_m is not null").select("state_id", F.col("poi_id").alias("src"), "dst", "dist_m", "rank")
+        here = here.withColumn("whole", whole).select("state_id", "poi_id", "lat", "lon", "level", "tx", "ty", "reach", "whole")
+        pairs = here.join(there, ["state_id", "level", "tx", "ty"]).filter("poi_id <> dst").withColumn("dist_m", geo.distance(metric, F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2")))
+        near = pairs.filter((F.col("dist_m") <= F.col("reach")) | F.col("whole"))
+        rank = F.row_number().over(Window.partitionBy("poi_id").orderBy("dist_m", "dst"))
+        kept = cut(near.select("state_id", "poi_id", "dst", "dist_m", "whole").withColumn("rank", rank).filter(F.col("rank") <= k))
+        settled = kept.filter((F.col("rank") == k) | F.col("whole")).select("poi_id").distinct()
+        got = kept.join(settled, "poi_id", "left_semi").select("state_id", F.col("poi_id").alias("src"), "dst", "dist_m", "rank")
         done = got if done is None else done.unionByName(got)
-        open_ = kept.filter("not final").select("state_id", "poi_id", "lat", "lon").distinct()
-        if open_.isEmpty():
-            return done
-        size *= 2
+        alone = here.filter("whole").select("poi_id").distinct()  # also those that have no neighbours at all
+        open_ = cut(open_.join(settled, "poi_id", "left_anti").join(alone, "poi_id", "left_anti").withColumn("level", F.col("level") - 1))
     raise RuntimeError("neighbour search did not settle")
 
 
+def _no_edges(base: DataFrame) -> DataFrame:
+    return base.filter("false").select("state_id", F.col("poi_id").alias("src"), F.col("poi_id").alias("dst"), F.col("lat").alias("dist_m"), F.lit(1).alias("rank"))
+
+
 def symmetrise(directed: DataFrame, how: str = "union") -> DataFrame:
     """Undirected edges (src < dst): ``union`` of both directions, or ``mutual`` ones only; ``directed`` leaves them."""
     if how == "directed":

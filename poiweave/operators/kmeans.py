@@ -16,7 +16,9 @@ def leading_direction(cov: np.ndarray, rounds: int = 64) -> np.ndarray:
         size = np.sqrt(w @ w)
         if size < 1e-300:
             return v / np.sqrt(v @ v)
-        v = w / size
+        before, v = v, w / size
+        if np.abs(v - before).max() < 1e-14:
+            break
     return v * (1.0 if v[np.argmax(np.abs(v))] >= 0 else -1.0)
 
 

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from ..functions import category, geo, vectors
 from .components import connected_components
 from .kmeans import bisect, dbscan, leading_direction, lloyd, split_ranks
-from .session import cut
+from .session import cut, small, spread
 
 #: Regions with more points than this are split by the distributed engine.
 TASK_POINTS = 200_000
@@ -58,7 +58,7 @@ def place_hierarchy(h: DataFrame, keys: Sequence[str], r: str = "0.1", priority:
         return out
 
     rows = h.select(*keys, "poi_id", "h", (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("__w"))
-    return rows.groupBy(*keys).applyInPandas(run, f"{_types(h, keys)}, poi_id {h.schema['poi_id'].dataType.simpleString()}, path string, ranks array<int>")
+    return spread(rows, *keys).groupBy(*keys).applyInPandas(run, f"{_types(h, keys)}, poi_id {h.schema['poi_id'].dataType.simpleString()}, path string, ranks array<int>")
 
 
 def cut_hierarchy(members: DataFrame, keys: Sequence[str], r: str) -> DataFrame:
@@ -74,60 +74,82 @@ def place_id(keys: Sequence[str], path: str = "path") -> Column:
 
 
 def bisect_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", engine: str = "auto", task_points: int = TASK_POINTS, **options) -> DataFrame:
-    """keys, poi_id, path, place_id. ``auto`` sends regions up to ``task_points`` points to one task each, larger ones to the distributed engine."""
+    """keys, poi_id, path, place_id. ``auto`` sends regions up to ``task_points`` points to one task each, larger ones to the distributed engine.
+
+    Both engines take the options of :func:`place_hierarchy`; the distributed one raises an error for ``init='kmeans++'``, whose draws belong to one task.
+    """
     keys = list(keys)
     if engine == "task":
         out = place_hierarchy(h, keys, r, **options)
     elif engine == "distributed":
-        out = bisect_distributed(h, keys, r, **{k: v for k, v in options.items() if k in ("max_iter", "tol")})
+        out = bisect_distributed(h, keys, r, **options)
     else:
-        sized = h.withColumn("__n", F.count(F.lit(1)).over(Window.partitionBy(*keys)))
-        large = sized.filter(F.col("__n") > task_points).drop("__n")
-        out = place_hierarchy(sized.filter(F.col("__n") <= task_points).drop("__n"), keys, r, **options).drop("ranks")
-        if not large.isEmpty():
-            out = out.unionByName(bisect_distributed(large, keys, r, **{k: v for k, v in options.items() if k in ("max_iter", "tol")}))
+        large = cut(h.groupBy(*keys).agg(F.count(F.lit(1)).alias("__n")).filter(F.col("__n") > task_points).select(*keys))
+        n_large = large.count()
+        if not n_large:
+            out = place_hierarchy(h, keys, r, **options)
+        else:
+            large = small(large, n_large)
+            out = place_hierarchy(h.join(large, keys, "left_anti"), keys, r, **options).drop("ranks")
+            out = out.unionByName(bisect_distributed(h.join(large, keys, "left_semi"), keys, r, **options))
     return out.select(*keys, "poi_id", "path", place_id(keys).alias("place_id"))
 
 
-def bisect_distributed(h: DataFrame, keys: Sequence[str], r: str = "0.1", max_iter: int = 300, tol: float = 1e-8) -> DataFrame:
+def bisect_distributed(h: DataFrame, keys: Sequence[str], r: str = "0.1", priority: str = "size", init: str = "principal", max_iter: int = 300, tol: float = 1e-8, seed: int = 1, weight: str | None = None) -> DataFrame:
     """The same splits for regions of any size, all regions and all active leaves at once.
 
-    A child is never larger than its parent, so "largest first" splits exactly the k - 1 largest nodes of the full tree: in each round every
-    leaf whose rank by size among all known nodes is below k is split. Two-way splits run as Lloyd passes; each is a
-    join with the nodes' centres and one aggregation.
+    A child is never larger than its parent (nor is its error), so "largest first" splits exactly the k - 1 largest nodes of the full tree: in each round every
+    leaf whose rank among all known nodes is below k is split. Two-way splits run as Lloyd passes; each is a
+    join with the nodes' centres and one aggregation, and nodes that have settled take no part in further ones.
     """
+    if init not in ("principal", "farthest"):
+        raise ValueError(f"the distributed engine has no start {init}")
     keys = list(keys)
-    d = len(h.select("h").first()[0])
+    kind = h.schema["poi_id"].dataType.simpleString()
+    first = h.select("h").first()
+    if first is None:
+        return h.select(*keys, F.col("poi_id").cast(kind).alias("poi_id"), F.lit("").alias("path"))
+    d = len(first[0])
     node = [*keys, "path"]
-    rows = cut(h.select(*keys, "poi_id", "h").withColumn("path", F.lit("")))
-    nodes = cut(rows.groupBy(*node).agg(F.count(F.lit(1)).alias("n")).withColumns({"split": F.lit(False), "dead": F.col("n") < 2}))
+    rows = cut(h.select(*keys, "poi_id", "h", (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("w")).withColumn("path", F.lit("")))
+
+    def measured(members: DataFrame, by: list[str]) -> DataFrame:
+        """Points of every node, and what it is ranked by: its weight, or its error about its mean."""
+        if priority == "size":
+            return members.groupBy(*by).agg(F.count(F.lit(1)).alias("n"), F.sum("w").alias("rank_by"))
+        mean = members.groupBy(*by).agg(F.count(F.lit(1)).alias("n"), *(F.expr(f"sum(w * h[{i}]) / sum(w)").alias(f"__s{i}") for i in range(d))).select(*by, "n", vectors.gathered(d).alias("mean"))
+        gap = F.aggregate(F.zip_with("h", "mean", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, x: s + x)
+        error = members.join(mean.drop("n"), by).groupBy(*by).agg(F.round(F.sum(F.col("w") * gap), 9).alias("rank_by"))
+        return mean.drop("mean").join(error, by)
+
+    nodes = cut(measured(rows, node).withColumns({"split": F.lit(False), "dead": F.col("n") < 2}))
     budget = cut(nodes.select(*keys, place_budget(F.col("n"), r).alias("k")))
     while True:
-        rank = F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("n"), "path"))
+        rank = F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("rank_by"), "path"))
         asked = nodes.filter("not dead").withColumn("rank", rank).join(budget, keys).filter("rank < k and not split").select(*node)
         asked = cut(asked)
         if asked.isEmpty():
             return _keep_largest_splits(rows, nodes, budget, keys)
         active = rows.join(asked, node)
-        sides = _split_nodes(active, node, d, max_iter, tol)  # node, c0, c1 of nodes that can be split
+        sides = _split_nodes(active, node, d, init, max_iter, tol)  # node, c0, c1 of nodes that can be split
         placed = active.join(sides, node).withColumn("side", _side())
         lead = placed.groupBy(*node).agg(F.min_by("side", "poi_id").alias("lead"))
-        placed = cut(placed.join(lead, node).select(*keys, "poi_id", "h", F.col("path").alias("parent"), F.concat("path", F.when(F.col("side") == F.col("lead"), "0").otherwise("1")).alias("path")))
-        fresh = placed.groupBy(*node, "parent").agg(F.count(F.lit(1)).alias("n")).withColumns({"split": F.lit(False), "dead": F.col("n") < 2})
+        placed = cut(placed.join(lead, node).select(*keys, "poi_id", "h", "w", F.col("path").alias("parent"), F.concat("path", F.when(F.col("side") == F.col("lead"), "0").otherwise("1")).alias("path")))
+        fresh = measured(placed, [*node, "parent"]).withColumns({"split": F.lit(False), "dead": F.col("n") < 2})
         parents = fresh.select(*keys, F.col("parent").alias("path")).distinct().withColumn("__done", F.lit(True))
         tried = asked.withColumn("__tried", F.lit(True))
         old = nodes.join(parents, node, "left").join(tried, node, "left")
-        old = old.select(*node, "n", (F.col("split") | F.coalesce("__done", F.lit(False))).alias("split"), (F.col("dead") | (F.coalesce("__tried", F.lit(False)) & F.col("__done").isNull())).alias("dead"))
-        nodes = cut(old.unionByName(fresh.select(*node, "n", "split", "dead")))
+        old = old.select(*node, "n", "rank_by", (F.col("split") | F.coalesce("__done", F.lit(False))).alias("split"), (F.col("dead") | (F.coalesce("__tried", F.lit(False)) & F.col("__done").isNull())).alias("dead"))
+        nodes = cut(old.unionByName(fresh.select(*node, "n", "rank_by", "split", "dead")))
         rest = rows.join(placed.select("poi_id", *keys), [*keys, "poi_id"], "left_anti")
-        rows = cut(rest.select(*keys, "poi_id", "h", "path").unionByName(placed.select(*keys, "poi_id", "h", "path")))
+        rows = cut(rest.select(*keys, "poi_id", "h", "w", "path").unionByName(placed.select(*keys, "poi_id", "h", "w", "path")))
 
 
 def _keep_largest_splits(rows: DataFrame, nodes: DataFrame, budget: DataFrame, keys: list[str]) -> DataFrame:
     """Undo splits beyond the k - 1 largest nodes: a round may have split a few too many. Parents are larger than children, so what
     is kept is a tree from the root, and a leaf's place ends after as many steps as it has kept ancestors.
     """
-    rank = F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("n"), "path"))
+    rank = F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("rank_by"), "path"))
     kept = nodes.filter("split").withColumn("rank", rank).join(budget, keys).filter("rank < k").select(*keys, F.col("path").alias("up"), F.lit(1).alias("hit"))
     leaves = nodes.filter("not split").select(*keys, "path")
     ups = leaves.filter("path <> ''").select(*keys, "path", F.explode(F.transform(F.sequence(F.lit(0), F.length("path") - 1), lambda i: F.substring("path", F.lit(1), i))).alias("up"))
@@ -142,45 +164,54 @@ def _side() -> Column:
     return F.when(vectors.dot(F.col("h"), gap) > middle, 1).otherwise(0)
 
 
-def _split_nodes(active: DataFrame, node: list[str], d: int, max_iter: int, tol: float) -> DataFrame:
-    """Centres of both halves of every node of ``active`` (node, poi_id, h)."""
-    pairs = [(i, j) for i in range(d) for j in range(i, d)]
-    x = [F.col("h")[i] for i in range(d)]
-    stats = active.groupBy(*node).agg(
-        F.count(F.lit(1)).alias("n"),
-        F.array(*(F.sum(c) for c in x)).alias("s"),
-        F.array(*(F.max(c) - F.min(c) for c in x)).alias("range"),
-        F.array(*(F.sum(x[i] * x[j]) for i, j in pairs)).alias("p"),
-    )
-    types = _types(stats, node)
-
-    def directions(batches):
-        for pdf in batches:
-            means, axes = [], []
-            for n, s, p in zip(pdf["n"], pdf["s"], pdf["p"], strict=True):
-                mean, cov = np.array(s) / n, np.zeros((d, d))
-                for (i, j), v in zip(pairs, p, strict=True):
-                    cov[i, j] = cov[j, i] = v / n - mean[i] * mean[j]
-                means.append(mean.tolist())
-                axes.append(leading_direction(cov).tolist())
-            yield pdf[node].assign(mean=means, axis=axes)
-
-    axes = stats.filter(F.array_max("range") > 1e-12).mapInPandas(directions, f"{types}, mean array<double>, axis array<double>")
-    first = active.join(axes, node).withColumn("side", F.when(vectors.dot(F.zip_with("h", "mean", lambda a, b: a - b), F.col("axis")) > 0, 1).otherwise(0))
-    centres = cut(_centres(first, node, d))
+def _split_nodes(active: DataFrame, node: list[str], d: int, init: str, max_iter: int, tol: float) -> DataFrame:
+    """Centres of both halves of every node of ``active`` (node, poi_id, h, w)."""
+    x, w = [F.col("h")[i] for i in range(d)], F.col("w")
+    if init == "principal":
+        pairs = [(i, j) for i in range(d) for j in range(i, d)]
+        stats = active.groupBy(*node).agg(
+            F.sum(w).alias("n"),
+            F.array(*(F.sum(w * c) for c in x)).alias("s"),
+            F.array(*(F.max(c) - F.min(c) for c in x)).alias("range"),
+            F.array(*(F.sum(w * x[i] * x[j]) for i, j in pairs)).alias("p"),
+        )
+
+        def directions(batches):
+            for pdf in batches:
+                means, axes = [], []
+                for n, s, p in zip(pdf["n"], pdf["s"], pdf["p"], strict=True):
+                    mean, cov = np.array(s) / n, np.zeros((d, d))
+                    for (i, j), v in zip(pairs, p, strict=True):
+                        cov[i, j] = cov[j, i] = v / n - mean[i] * mean[j]
+                    means.append(mean.tolist())
+                    axes.append(leading_direction(cov).tolist())
+                yield pdf[node].assign(mean=means, axis=axes)
+
+        axes = stats.filter(F.array_max("range") > 1e-12).mapInPandas(directions, f"{_types(stats, node)}, mean array<double>, axis array<double>")
+        first = active.join(axes, node).withColumn("side", F.when(vectors.dot(F.zip_with("h", "mean", lambda a, b: a - b), F.col("axis")) > 0, 1).otherwise(0))
+    else:  # the point farthest from the mean, and the one farthest from that; the first by id among equals
+        mean = active.groupBy(*node).agg(F.array(*(F.sum(w * c) / F.sum(w) for c in x)).alias("mean"))
+        gap = lambda c: F.aggregate(F.zip_with("h", c, lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v)
+        far = lambda rows, c, name: rows.groupBy(*node).agg(F.max_by("h", F.struct(gap(c), -F.col("poi_id"))).alias(name), F.max(gap(c)).alias("reach")).filter("reach > 1e-24").drop("reach")
+        one = cut(far(active.join(mean, node), "mean", "a"))
+        two = far(active.join(one, node), "a", "b")
+        first = active.join(one.join(two, node), node).withColumn("side", F.when(gap("b") < gap("a"), 1).otherwise(0))
+    centres = cut(_centres(first, node, d).withColumn("moved", F.lit(1.0)))
     for _ in range(max_iter):
-        nxt = cut(_centres(active.join(centres, node).withColumn("side", _side()), node, d))
-        both = nxt.join(centres.withColumnsRenamed({"c0": "b0", "c1": "b1"}), node)
-        shift = lambda a, b: F.aggregate(F.zip_with(a, b, lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda s, v: s + v)
-        moved = both.agg(F.max(F.greatest(shift(F.col("c0"), F.col("b0")), shift(F.col("c1"), F.col("b1"))))).first()[0]
-        centres = nxt
-        if moved is None or moved <= tol * tol:
+        going = centres.filter(F.col("moved") > tol * tol)
+        if going.isEmpty():
             break
-    return centres
+        fresh = _centres(active.join(going, node).withColumn("side", _side()), node, d)
+        both = fresh.join(going.select(*node, F.col("c0").alias("b0"), F.col("c1").alias("b1")), node)
+        shift = lambda a, b: F.aggregate(F.zip_with(a, b, lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda s, v: s + v)
+        moved = F.greatest(shift("c0", "b0"), shift("c1", "b1"))
+        centres = cut(both.select(*node, "c0", "c1", moved.alias("moved")).unionByName(centres.filter(F.col("moved") <= tol * tol)))
+    return centres.drop("moved")
 
 
 def _centres(sided: DataFrame, node: list[str], d: int) -> DataFrame:
-    mean = lambda s: F.array(*(F.avg(F.when(F.col("side") == s, F.col("h")[i])) for i in range(d)))
+    weight = lambda s: F.sum(F.when(F.col("side") == s, F.col("w")))
+    mean = lambda s: F.array(*(F.sum(F.when(F.col("side") == s, F.col("w") * F.col("h")[i])) / weight(s) for i in range(d)))
     return sided.groupBy(*node).agg(mean(0).alias("c0"), mean(1).alias("c1"), F.count_distinct("side").alias("__sides")).filter("__sides = 2").drop("__sides")
 
 
@@ -193,7 +224,7 @@ def lloyd_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", max_iter: in
         label = lloyd(_matrix(pdf["h"]), budget_of(len(pdf), r), max_iter, tol)
         return pdf[[*keys, "poi_id"]].assign(path=[f"k{x}" for x in label])
 
-    out = h.select(*keys, "poi_id", "h").groupBy(*keys).applyInPandas(run, f"{_types(h, keys)}, poi_id {h.schema['poi_id'].dataType.simpleString()}, path string")
+    out = spread(h.select(*keys, "poi_id", "h"), *keys).groupBy(*keys).applyInPandas(run, f"{_types(h, keys)}, poi_id {h.schema['poi_id'].dataType.simpleString()}, path string")
     return out.select(*keys, "poi_id", "path", place_id(keys).alias("place_id"))
 
 
@@ -224,7 +255,7 @@ def density_places(h: DataFrame, keys: Sequence[str], eps: float, min_pts: int,
         own = [f"{region}|d{v}" if v != -1 else (f"{region}|n{i}" if noise == "own" else None) for v, i in zip(label, ids, strict=True)]
         return pdf[[*keys, "poi_id"]].assign(place_id=own, is_core=core)
 
-    return h.select(*keys, "poi_id", "h").groupBy(*keys).applyInPandas(run, f"{_types(h, keys)}, poi_id {h.schema['poi_id'].dataType.simpleString()}, place_id string, is_core boolean")
+    return spread(h.select(*keys, "poi_id", "h"), *keys).groupBy(*keys).applyInPandas(run, f"{_types(h, keys)}, poi_id {h.schema['poi_id'].dataType.simpleString()}, place_id string, is_core boolean")
 
 
 def join_within(poi: DataFrame, eps_m: float, degrees: float | None = None, keys: Sequence[str] = ("state_id",)) -> DataFrame:
@@ -263,13 +294,56 @@ def summarise_places(members: DataFrame, h: DataFrame, d: int, poi: DataFrame |
     return out
 
 
+def condensed_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", task_points: int = TASK_POINTS, **options) -> DataFrame:
+    """keys, place_id, n_poi, z, sse: the places of :func:`bisect_places` without their members, summed up in the task that found them, so points move once.
+
+    Regions beyond ``task_points`` go through the distributed engine and :func:`summarise_places`.
+    """
+    keys = list(keys)
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        x = _matrix(pdf["h"])
+        tree = bisect(pdf["poi_id"].to_numpy(), x, budget_of(len(pdf), r), pdf["__w"].to_numpy(float), **kernel)
+        paths, at, n = np.unique(tree.leaf.astype(str), return_inverse=True, return_counts=True)
+        z = np.zeros((len(paths), x.shape[1]))
+        np.add.at(z, at, x)
+        z /= n[:, None]
+        sse = np.bincount(at, weights=((x - z[at]) ** 2).sum(axis=1))
+        out = pd.DataFrame({k: [pdf[k].iloc[0]] * len(paths) for k in keys})
+        return out.assign(path=paths, n_poi=n, z=list(z), sse=sse)
+
+    weight = options.get("weight")
+    kernel = {k: v for k, v in options.items() if k != "weight"}
+    large = cut(h.groupBy(*keys).agg(F.count(F.lit(1)).alias("__n")).filter(F.col("__n") > task_points).select(*keys))
+    n_large = large.count()
+    some = h.join(small(large, n_large), keys, "left_anti") if n_large else h
+    rows = some.select(*keys, "poi_id", "h", (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("__w"))
+    out = spread(rows, *keys).groupBy(*keys).applyInPandas(run, f"{_types(h, keys)}, path string, n_poi long, z array<double>, sse double")
+    out = out.select(*keys, place_id(keys).alias("place_id"), "n_poi", "z", "sse")
+    if n_large:
+        of_large = cut(h.join(small(large, n_large), keys, "left_semi"))
+        m = cut(bisect_places(of_large, keys, r, "distributed", **options))
+        d = len(of_large.first()["h"])
+        out = out.unionByName(summarise_places(m, of_large, d).join(m.select(*keys, "place_id").distinct(), "place_id").select(*out.columns))
+    return out
+
+
 def clustering_sse(places: DataFrame, keys: Sequence[str]) -> DataFrame:
     return places.groupBy(*keys).agg(F.sum("sse").alias("sse"), F.count(F.lit(1)).alias("n_places"))
 
 
 def members_of(members: DataFrame, place: str | None = None) -> DataFrame:
-    """place_id and its sorted points; all places, or one and everything below it."""
-    rows = members if place is None else members.filter(F.col("place_id").startswith(place))
+    """place_id and its sorted points; all places, or one and everything below it.
+
+    Below a place of a split tree lie those whose path goes on with further splits; flat and density places have nothing below them.
+    """
+    rows = members
+    if place is not None:
+        region, _, path = place.rpartition("|")
+        below = F.lit(False)
+        if set(path) <= {"0", "1"}:
+            below = F.col("place_id").startswith(place) & F.col("place_id").substr(F.lit(len(place) + 1), F.length("place_id")).rlike("^[01]*$")
+        rows = members.filter((F.col("place_id") == place) | below)
     return rows.groupBy("place_id").agg(F.array_sort(F.collect_list("poi_id")).alias("poi_ids"))
 
 
@@ -302,22 +376,41 @@ def with_coordinates(h: DataFrame, poi: DataFrame, weight: float, keys: Sequence
     return h.join(spots, "poi_id").withColumn("h", F.concat("h", "xy")).drop("xy")
 
 
-def similar_places(places: DataFrame, queries: DataFrame, k: int, scope: str = "across", region: str = "region_id") -> DataFrame:
+def _pairs_in_scope(p: DataFrame, q: DataFrame, scope: str) -> DataFrame:
+    same = F.col("__r") == F.col("__qr")
+    where = {"within": same & (F.col("place_id") != F.col("query_id")), "across": ~same, "all": F.col("place_id") != F.col("query_id")}[scope]
+    return p.join(small(q, q.count(), 100_000), where).withColumn("cosine", vectors.cosine(F.col("z"), F.col("q")))
+
+
+def similar_places(places: DataFrame, queries: DataFrame, k: int, scope: str = "across", region: str = "region_id", index: float | None = None) -> DataFrame:
     """query_id, place_id, cosine, rank. ``places``: region, place_id, z; ``queries``: query_id, region, q. ``within`` keeps the query's region,
-    ``across`` leaves it out, ``all`` takes both. The stated query set is broadcast by the optimiser if small; all places are scanned once.
+    ``across`` leaves it out, ``all`` takes both. Without ``index`` all places are compared with the stated queries, which are broadcast if few. With it, a hashed index of random projections
+    (eight tables) gives the places whose cosine is at least ``index``, most of them, and only those are compared.
     """
     p, q = places.select(F.col(region).alias("__r"), "place_id", "z"), queries.select("query_id", F.col(region).alias("__qr"), "q")
-    same = F.col("__r") == F.col("__qr")
-    where = {"within": same & (F.col("place_id") != F.col("query_id")), "across": ~same, "all": F.col("place_id") != F.col("query_id")}[scope]
-    met = p.join(q, where).withColumn("cosine", vectors.cosine(F.col("z"), F.col("q")))
+    met = _pairs_in_scope(p, q, scope) if index is None else _indexed_pairs(p, q, scope, index)
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc_nulls_last("cosine"), "place_id"))
     return met.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "place_id", "cosine", "rank")
 
 
+def _indexed_pairs(p: DataFrame, q: DataFrame, scope: str, least: float) -> DataFrame:
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    unit = lambda df, c: df.withColumn("__n", vectors.norm(F.col(c))).filter("__n > 0").withColumn("__u", array_to_vector(F.transform(c, lambda x: x / F.col("__n"))))
+    reach = float(np.sqrt(max(0.0, 2 - 2 * least)))
+    places, queries = unit(p, "z"), unit(q, "q")
+    model = BucketedRandomProjectionLSH(inputCol="__u", outputCol="__h", bucketLength=2 * max(reach, 1e-3), numHashTables=8, seed=1).fit(places)
+    met = model.approxSimilarityJoin(places, queries, reach + 1e-9, "gap").select(*(f"datasetA.{c}" for c in ("__r", "place_id", "z")), *(f"datasetB.{c}" for c in ("query_id", "__qr", "q")))
+    same = F.col("__r") == F.col("__qr")
+    where = {"within": same & (F.col("place_id") != F.col("query_id")), "across": ~same, "all": F.col("place_id") != F.col("query_id")}[scope]
+    return met.filter(where).withColumn("cosine", vectors.cosine(F.col("z"), F.col("q")))
+
+
 def recommend_regions(places: DataFrame, queries: DataFrame, k: int, region: str = "region_id") -> DataFrame:
-    """Regions whose best place is nearest to each query."""
-    best = similar_places(places, queries, 1 << 30, "across", region).join(places.select("place_id", F.col(region).alias("region")), "place_id")
-    top = best.groupBy("query_id", "region").agg(F.max("cosine").alias("cosine"))
+    """Regions whose best place is nearest to each query: only the best cosine of each query and region leaves a task."""
+    met = _pairs_in_scope(places.select(F.col(region).alias("__r"), "place_id", "z"), queries.select("query_id", F.col(region).alias("__qr"), "q"), "across")
+    top = met.groupBy("query_id", F.col("__r").alias("region")).agg(F.max("cosine").alias("cosine"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("cosine"), "region"))
     return top.withColumn("rank", rank).filter(F.col("rank") <= k)
 

@@ -39,16 +39,43 @@ def rollup_embeddings(rows: DataFrame, levels: Sequence[str], d: int, how: str =
     return out.select(*levels, "gid", "n_poi", vectors.gathered(d, F.col("__w")).alias("z"))
 
 
-def region_adjacency(cells: DataFrame, contiguity: str = "queen", level: str = "zip_id") -> DataFrame:
-    """(a, b), a < b, of regions that touch: in a corner or side (``queen``), or along a side (``rook``).
+def region_adjacency(regions: DataFrame, contiguity: str = "queen", level: str = "zip_id", tolerance: float = 1e-7) -> DataFrame:
+    """(a, b), a < b, of regions whose polygons touch: in a point (``queen``), or along a line (``rook``). ``regions`` has ``level`` and polygon (lon, lat).
 
-    Polygons are compared by their corners: squares of the grid meet where their corners' integer keys agree.
+    Sides of any two polygons meet in tiles as wide as a usual side; two sides touch where an end of one lies within ``tolerance`` degrees of the other or they cross, and
+    share a line where both ends of the part that overlaps do. Vertices of neighbours need not agree.
     """
-    corner = lambda dy, dx: F.struct((F.floor(F.col("idx") / F.col("w")) + dy).alias("y"), (F.col("idx") % F.col("w") + dx).alias("x"))
-    spots = cells.select("state_id", level, F.explode(F.array(corner(0, 0), corner(0, 1), corner(1, 0), corner(1, 1))).alias("c")).select("state_id", level, "c.x", "c.y").distinct()
-    a, b = spots.withColumnRenamed(level, "a"), spots.withColumnRenamed(level, "b")
-    met = a.join(b, ["state_id", "x", "y"]).filter("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("corners"))
-    return met.filter(F.col("corners") >= (2 if contiguity == "rook" else 1)).select("a", "b")
+    ring = F.transform("polygon", lambda p, i: F.struct(p["lon"].alias("x1"), p["lat"].alias("y1"), F.element_at("polygon", (i + 1) % F.size("polygon") + 1)["lon"].alias("x2"), F.element_at("polygon", (i + 1) % F.size("polygon") + 1)["lat"].alias("y2")))
+    sides = regions.select(F.col(level).alias("id"), F.explode(ring).alias("s")).select("id", "s.*")
+    usual = sides.agg(F.percentile_approx(F.greatest(F.abs(F.col("x2") - F.col("x1")), F.abs(F.col("y2") - F.col("y1"))), 0.5)).first()[0]
+    width = max(usual or 0.0, 100 * tolerance)
+    reach = lambda a, b: F.sequence(F.floor((F.least(a, b) - tolerance) / width), F.floor((F.greatest(a, b) + tolerance) / width))
+    tiled = sides.withColumn("tx", F.explode(reach("x1", "x2"))).withColumn("ty", F.explode(reach("y1", "y2")))
+    p = tiled.select("tx", "ty", F.col("id").alias("a"), *(F.col(c).alias(f"p{c}") for c in ("x1", "y1", "x2", "y2")))
+    q = tiled.select("tx", "ty", F.col("id").alias("b"), *(F.col(c).alias(f"q{c}") for c in ("x1", "y1", "x2", "y2")))
+    met = p.join(q, ["tx", "ty"]).filter("a < b")
+
+    def along(x: str, y: str, s: str) -> tuple:
+        """Where the foot of a point falls on side ``s`` (0 to 1), and the point's squared distance from the side's line."""
+        dx, dy = F.col(f"{s}x2") - F.col(f"{s}x1"), F.col(f"{s}y2") - F.col(f"{s}y1")
+        ex, ey, size = F.col(x) - F.col(f"{s}x1"), F.col(y) - F.col(f"{s}y1"), dx * dx + dy * dy
+        return (ex * dx + ey * dy) / size, F.pow(ex * dy - ey * dx, 2) / size, F.sqrt(size)
+
+    def near(x: str, y: str, s: str):
+        t, off, _ = along(x, y, s)
+        inside = F.greatest(F.lit(0.0), F.least(F.lit(1.0), t))
+        gx, gy = F.col(x) - F.col(f"{s}x1") - inside * (F.col(f"{s}x2") - F.col(f"{s}x1")), F.col(y) - F.col(f"{s}y1") - inside * (F.col(f"{s}y2") - F.col(f"{s}y1"))
+        return gx * gx + gy * gy <= tolerance * tolerance
+
+    def turn(s: str, x: str, y: str):
+        return F.signum((F.col(f"{s}x2") - F.col(f"{s}x1")) * (F.col(y) - F.col(f"{s}y1")) - (F.col(f"{s}y2") - F.col(f"{s}y1")) * (F.col(x) - F.col(f"{s}x1")))
+
+    crossing = (turn("p", "qx1", "qy1") * turn("p", "qx2", "qy2") < 0) & (turn("q", "px1", "py1") * turn("q", "px2", "py2") < 0)
+    touch = near("px1", "py1", "q") | near("px2", "py2", "q") | near("qx1", "qy1", "p") | near("qx2", "qy2", "p") | crossing
+    (t1, off1, size), (t2, off2, _) = along("px1", "py1", "q"), along("px2", "py2", "q")
+    shared = (F.least(F.lit(1.0), F.greatest(t1, t2)) - F.greatest(F.lit(0.0), F.least(t1, t2))) * size
+    line = (F.greatest(off1, off2) <= tolerance * tolerance) & (shared > 2 * tolerance)
+    return met.filter(line if contiguity == "rook" else touch).select("a", "b").distinct()
 
 
 def region_cross_edges(edges: DataFrame) -> DataFrame:

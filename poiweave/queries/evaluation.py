@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import vectors
-from ..operators import baselines, encode, evaluate, graph, places, propagate, regions
+from ..operators import baselines, delaunay, encode, evaluate, graph, places, propagate, regions
 from ..operators.session import cut
-from ..plans.plan import Config, PlacePlan, adjacency
+from ..plans.plan import Config, PlacePlan, adjacency, category_table
 from ..sources import points
 from .features import D, UNIT, _knn_graph, hashed, hops_sql, mix_sql
 from .graph import HASHED, KNN, knn_edges
@@ -64,7 +64,7 @@ def _infomax(spark: SparkSession, sf: str, epochs: int, d: int) -> DataFrame:
     p, v, a = _knn_graph(spark, sf)
     h = propagate.hop(v, a, D).join(p.select("poi_id", "state_id", "zip_id"), "poi_id")
     cells = points.zip_cells(spark, sf)
-    touch = regions.region_adjacency(cells).join(cells.select(F.col("zip_id").alias("a"), "state_id"), "a")
+    touch = regions.region_adjacency(points.polygons(cells)).join(cells.select(F.col("zip_id").alias("a"), "state_id"), "a")
     return baselines.infomax_baseline(h, touch, d, epochs)
 
 
@@ -114,8 +114,8 @@ def error_map(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def error_breakdown(spark: SparkSession, sf: str) -> DataFrame:
-    b = evaluate.error_breakdown(evaluate.error_by_region(_line(spark, sf)), points.points(spark, sf))
-    return b.select("state_id", "density_class", "regions", F.round("error", 5).alias("error"), F.round("n_poi", 5).alias("n_poi"))
+    b = evaluate.error_breakdown(evaluate.error_by_region(_line(spark, sf)), points.points(spark, sf), points.polygons(points.zip_cells(spark, sf)))
+    return b.select("state_id", "factor", "class", "regions", *(F.round(c, 5).alias(c) for c in ("error", "n_poi", "area_km2")))
 
 
 def rank_methods(spark: SparkSession, sf: str) -> DataFrame:
@@ -148,7 +148,7 @@ def alpha_region_combo(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def tune_settings(spark: SparkSession, sf: str) -> DataFrame:
-    """The three best settings of each state and target. Region vectors, and so the errors, are the same for every ratio r."""
+    """The three best settings of each state and target. Region vectors, and so the errors, are the same for every ratio r (``tune_ratio`` measures it)."""
     means, y, out = _hop_means(spark, sf), cut(_labels(spark, sf)), None
     for target in ("density", "price"):
         part = evaluate.tune(means, y, target, evaluate.alpha_grid(spark), D).filter("place <= 3").withColumn("target", F.lit(target))
@@ -156,6 +156,22 @@ def tune_settings(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
+def tune_ratio(spark: SparkSession, sf: str) -> DataFrame:
+    """state_id, target, r, rmse of ridge on the region vectors that places at each ratio give: errors agree to rounding, so any ratio is best."""
+    h = cut(features(spark, sf)[1])
+    y = cut(_labels(spark, sf))
+    splits, tree = cut(evaluate.split_runs(y)), cut(places.place_hierarchy(h, ZIP, "0.1"))
+    out = None
+    for r in places.RATIOS:
+        m = cut(places.cut_hierarchy(tree, ZIP, r).withColumn("place_id", places.place_id(ZIP)))
+        z = cut(regions.region_embedding(places.summarise_places(m, h, D).join(m.select("place_id", "zip_id").distinct(), "place_id"), ZIP, D))
+        for target in ("density", "price"):
+            s = evaluate.score(evaluate.fit_predict(z, y, splits, target, "ridge"), ["state_id", "run"]).groupBy("state_id").agg(F.avg("rmse").alias("rmse"))
+            part = s.select("state_id", F.lit(target).alias("target"), F.lit(r).alias("r"), F.round("rmse", 5).alias("rmse"))
+            out = part if out is None else out.unionByName(part)
+    return out
+
+
 def speedup(spark: SparkSession, sf: str) -> DataFrame:
     """Published seconds: how many times longer the trained baselines take, and growth over graph size."""
     rows = [("WY", 40165, "reference", 0.1, 2.41), ("WY", 40165, "reference", 0.05, 1.32), ("WY", 40165, "cooc", None, 34.52), ("WY", 40165, "infomax", None, 60.61), ("AL", 255000, "reference", 0.1, 14.61), ("AL", 255000, "reference", 0.05, 7.81), ("AL", 255000, "cooc", None, 72.12), ("AL", 255000, "infomax", None, 271.24), ("FL", 1350000, "reference", 0.1, 94.65), ("FL", 1350000, "reference", 0.05, 48.29), ("FL", 1350000, "cooc", None, 621.17), ("FL", 1350000, "infomax", None, 1293.84)]
@@ -164,7 +180,7 @@ def speedup(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def growth_slopes(spark: SparkSession, sf: str) -> DataFrame:
-    """Regression slope of log edges on log points over states."""
+    """Regression slope of log edges on log points over states; that of measured seconds is in ``w_efficiency``."""
     p, e = knn_edges(spark, sf)
     n = p.groupBy("state_id").agg(F.count(F.lit(1)).alias("points")).join(e.groupBy("state_id").agg(F.count(F.lit(1)).cast("double").alias("seconds")), "state_id")
     return evaluate.growth_slopes(n.withColumns({"method": F.lit("edges"), "r": F.lit(0.0)})).withColumn("slope", F.round("slope", 5))
@@ -173,42 +189,63 @@ def growth_slopes(spark: SparkSession, sf: str) -> DataFrame:
 def align_dimension(spark: SparkSession, sf: str) -> DataFrame:
     """Dimension of all methods' region vectors."""
     out = None
-    for name, f in method_features(spark, sf).items():
+    for name, f in method_features(spark, sf, "density").items():
         part = f.groupBy(F.size("z").alias("d")).agg(F.count(F.lit(1)).alias("regions")).withColumn("method", F.lit(name))
         out = part if out is None else out.unionByName(part)
     return out
 
 
-def method_features(spark: SparkSession, sf: str, epochs: int = EPOCHS, d: int = WIDTH) -> dict[str, DataFrame]:
-    """Region vectors (zip_id, z) of all methods at one dimension; the reference method spreads over the weighted triangulation."""
+def reference_means(spark: SparkSession, sf: str, p: DataFrame, d: int = WIDTH) -> list[DataFrame]:
+    """Region means of the reference method's hops: the encoder fitted to visits, spread over the weighted triangulation of every state."""
+    config = Config(d=d, graph="delaunay", encoder="visits")
+    v = cut(encode.encode_poi(p, cut(category_table(p, config, points.customer_visits(spark, sf))), d))
+    z = p.select("poi_id", "zip_id")
+    return [cut(regions.region_mean(h.join(z, "poi_id"), ZIP, d)) for h in propagate.hops(v, cut(adjacency(p, config)), 2, d)]
+
+
+def reference_features(spark: SparkSession, sf: str, p: DataFrame, y: DataFrame, target: str, d: int = WIDTH) -> DataFrame:
+    """zip_id, z of the reference method with the coefficients that the training regions of each state choose for a target."""
+    means = reference_means(spark, sf, p, d)
+    best = cut(evaluate.tune(means, y, target, evaluate.alpha_grid(spark), d).filter("place = 1").select("state_id", "a0", "a1", "a2"))
+    return evaluate.tuned_features(means, best, y, d)
+
+
+def method_features(spark: SparkSession, sf: str, target: str, epochs: int = EPOCHS, d: int = WIDTH) -> dict[str, DataFrame]:
+    """Region vectors (zip_id, z) of all methods at one dimension. The mean baseline and the trained one start from the same fitted encoder as the reference method."""
     p, e = knn_edges(spark, sf)
-    p, e = cut(p), cut(e)
-    table = cut(encode.hash_encoder(encode.distinct_paths(p), d))
+    p = cut(p)
+    e = cut(graph.knn_graph(p))
+    y = cut(_labels(spark, sf))
+    table = cut(category_table(p, Config(d=d, encoder="visits"), points.customer_visits(spark, sf)))
     v = cut(encode.encode_poi(p, table, d))
     a = cut(graph.normalise_adjacency(graph.unit_weights(e), p))
-    weighted = cut(adjacency(p, Config(graph="delaunay")))
     z = p.select("poi_id", "state_id", "zip_id")
-    cells = points.zip_cells(spark, sf)
+    cells = cut(points.polygons(points.zip_cells(spark, sf)))
     touch = regions.region_adjacency(cells).join(cells.select(F.col("zip_id").alias("a"), "state_id"), "a")
     out = {
         "mean": baselines.mean_baseline(p, table, ZIP, d),
         "cooc": baselines.cooccurrence_baseline(p, e, ZIP, d),
         "infomax": baselines.infomax_baseline(propagate.hop(v, a, d).join(z, "poi_id"), touch, d, epochs),
         "pretrained": baselines.pretrained_baseline(cells, points.table(spark, sf, "embeddings"), d),
-        "reference": regions.region_mean(propagate.propagate(v, weighted, ALPHA, d).join(z, "poi_id"), ZIP, d),
+        "reference": reference_features(spark, sf, p, y, target, d),
     }
     return {k: cut(f.select("zip_id", "z")) for k, f in out.items()}
 
 
+def predictions(spark: SparkSession, sf: str, target: str, models: tuple[str, ...], runs: int = evaluate.RUNS) -> DataFrame:
+    """model, state_id, method, run, zip_id, y, yhat of all methods' features under the regressors."""
+    y = cut(_labels(spark, sf))
+    splits, out = cut(evaluate.split_runs(y, runs)), None
+    for name, f in method_features(spark, sf, target).items():
+        for model in models:
+            part = evaluate.fit_predict(f, y, splits, target, model, name).withColumn("model", F.lit(model))
+            out = part if out is None else out.unionByName(part)
+    return out
+
+
 def compare_methods(spark: SparkSession, sf: str, target: str, model: str, runs: int = evaluate.RUNS) -> DataFrame:
     """state_id, method, means and deviations of the measures over the runs."""
-    y = cut(_labels(spark, sf))
-    splits = cut(evaluate.split_runs(y, runs))
-    out = None
-    for name, f in method_features(spark, sf).items():
-        part = evaluate.fit_predict(f, y, splits, target, model, name)
-        out = part if out is None else out.unionByName(part)
-    scores = evaluate.score(out, ["state_id", "method", "run"])
+    scores = evaluate.score(cut(predictions(spark, sf, target, (model,), runs)), ["state_id", "method", "run"])
     return evaluate.rank_methods(evaluate.summarise_runs(scores, ["state_id", "method"]).withColumn("rmse", F.col("rmse_mean")), ["state_id"]).drop("rmse")
 
 
@@ -223,15 +260,72 @@ def w_price(spark: SparkSession, sf: str) -> DataFrame:
 
 def w_transfer(spark: SparkSession, sf: str) -> DataFrame:
     """Transfer workload: errors of all methods' features under forest, perceptron and boosted trees."""
-    y = cut(_labels(spark, sf))
-    splits = cut(evaluate.split_runs(y))
-    f = method_features(spark, sf)
-    out = None
-    for model in ("forest", "mlp", "xgb"):
-        for name in METHODS:
-            part = evaluate.score(evaluate.fit_predict(f[name], y, splits, "density", model, name), ["state_id", "method", "run"]).withColumn("model", F.lit(model))
-            out = part if out is None else out.unionByName(part)
-    return evaluate.summarise_runs(out, ["state_id", "method", "model"])
+    scores = evaluate.score(cut(predictions(spark, sf, "density", ("forest", "mlp", "xgb"))), ["state_id", "method", "model", "run"])
+    return evaluate.summarise_runs(scores, ["state_id", "method", "model"])
+
+
+def _reference_errors(spark: SparkSession, sf: str, target: str = "density") -> DataFrame:
+    p, y = cut(points.points(spark, sf)), cut(_labels(spark, sf))
+    pred = evaluate.fit_predict(reference_features(spark, sf, p, y, target), y, evaluate.split_runs(y), target, "forest")
+    return cut(evaluate.error_by_region(cut(pred)))
+
+
+def w_error_map(spark: SparkSession, sf: str) -> DataFrame:
+    """Error of every region under the reference method (mean over the runs that test it), with its class in the state and its outline."""
+    shape = points.polygons(points.zip_cells(spark, sf)).select("zip_id", "area_km2", "polygon")
+    return _reference_errors(spark, sf).join(shape, "zip_id")
+
+
+def w_error_breakdown(spark: SparkSession, sf: str) -> DataFrame:
+    """The reference method's errors by classes of point density and of area."""
+    return evaluate.error_breakdown(_reference_errors(spark, sf), points.points(spark, sf), points.polygons(points.zip_cells(spark, sf)))
+
+
+def w_efficiency(spark: SparkSession, sf: str) -> DataFrame:
+    """method, r, states, points, seconds, slope, speedup: embedding generation over graphs of one, three and five states, the graph at hand.
+
+    ``slope`` is the growth exponent of a method's seconds over points, ``speedup`` how many times longer it takes than the reference method at r = 0.1 on the same points.
+    """
+    p = cut(points.points(spark, sf))
+    e = cut(graph.knn_graph(p))
+    a = cut(graph.normalise_adjacency(graph.unit_weights(e), p))
+    table = cut(category_table(p, Config(encoder="visits"), points.customer_visits(spark, sf)))
+    cells = cut(points.polygons(points.zip_cells(spark, sf)))
+    touch = cut(regions.region_adjacency(cells).join(cells.select(F.col("zip_id").alias("a"), "state_id"), "a"))
+    log = []
+    for n in (1, 3, 5):
+        own = cut(p.filter(F.col("state_id") < n))
+        ids = own.select("poi_id", "state_id", "zip_id")
+        arcs = cut(a.join(ids.select(F.col("poi_id").alias("dst")), "dst", "left_semi"))
+        edges = cut(e.filter(F.col("state_id") < n))
+
+        def reference(r: str, own=own, ids=ids, arcs=arcs) -> DataFrame:
+            h = propagate.propagate(encode.encode_poi(own, table, WIDTH), arcs, ALPHA, WIDTH).join(ids, "poi_id")
+            return regions.region_embedding(places.condensed_places(h, ZIP, r, 1 << 62), ZIP, WIDTH)
+
+        def infomax(own=own, ids=ids, arcs=arcs, n=n) -> DataFrame:
+            return baselines.infomax_baseline(propagate.hop(encode.encode_poi(own, table, WIDTH), arcs, WIDTH).join(ids, "poi_id"), touch.filter(F.col("state_id") < n), WIDTH, EPOCHS)
+
+        size = own.count()
+        for method, r, build in (("reference", 0.1, lambda f=reference: f("0.1")), ("reference", 0.05, lambda f=reference: f("0.05")), ("cooc", None, lambda own=own, edges=edges: baselines.cooccurrence_baseline(own, edges, ZIP, WIDTH, method="w2v")), ("infomax", None, infomax)):
+            log.append((method, r, n, size, evaluate.timed(method, build)[1]))
+    rows = spark.createDataFrame(log, "method string, r double, states int, points long, seconds double")
+    slopes = evaluate.growth_slopes(rows)
+    base = rows.filter("method = 'reference' and r = 0.1").select("states", F.col("seconds").alias("own"))
+    return rows.join(slopes, (rows["method"] == slopes["method"]) & rows["r"].eqNullSafe(slopes["r"])).drop(slopes["method"]).drop(slopes["r"]).join(base, "states").withColumn("speedup", F.col("seconds") / F.col("own")).drop("own")
+
+
+def counters(spark: SparkSession, sf: str) -> DataFrame:
+    """Rows that pass each stage of graph building and one hop, counted on the way."""
+    p, points_seen = evaluate.observed(points.points(spark, sf), "points")
+    p = cut(p)
+    directed, arcs_seen = evaluate.observed(graph.knn_tiled(p, 5), "directed")
+    edges, edges_seen = evaluate.observed(graph.symmetrise(cut(directed)), "edges")
+    a, entries_seen = evaluate.observed(graph.normalise_adjacency(graph.unit_weights(cut(edges)), p), "entries")
+    hop, hop_seen = evaluate.observed(propagate.hop(hashed(p), cut(a), D), "hop")
+    cut(hop)
+    rows = [(name, seen.get["rows"]) for name, seen in (("points", points_seen), ("directed edges", arcs_seen), ("edges", edges_seen), ("adjacency entries", entries_seen), ("spread vectors", hop_seen))]
+    return spark.createDataFrame(rows, "stage string, rows long")
 
 
 def predict_rf(spark: SparkSession, sf: str) -> DataFrame:
@@ -286,6 +380,51 @@ def w_places(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
+def _place_settings(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Points and edges of the region with most points, and its places under three settings: categories alone, spread with few large places, spread with many small ones."""
+    p, e = knn_edges(spark, sf)
+    p = cut(p)
+    e = cut(graph.knn_graph(p))
+    most = p.groupBy("zip_id").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "zip_id").first()["zip_id"]
+    own = cut(p.filter(F.col("zip_id") == most))
+    v = cut(hashed(p))
+    a = cut(graph.normalise_adjacency(graph.unit_weights(e), p))
+    out = None
+    for name, alpha, r in (("category only", (1.0,), "0.1"), ("spread, larger r", (0.25, 0.5, 0.5), "0.1"), ("spread, smaller r", (0.25, 0.5, 0.5), "0.05")):
+        h = propagate.propagate(v, a, alpha, D).join(own.select("poi_id", "zip_id"), "poi_id")
+        m = places.bisect_places(h, ZIP, r)
+        n = m.groupBy("place_id").agg(F.count(F.lit(1)).alias("n_poi"))
+        top = n.withColumn("rank", F.row_number().over(Window.orderBy(F.desc("n_poi"), "place_id"))).filter("rank <= 10")
+        part = m.join(top, "place_id").select(F.lit(name).alias("setting"), "rank", "place_id", "n_poi", "poi_id")
+        out = part if out is None else out.unionByName(part)
+    return own, e, cut(out)
+
+
+def w_place_map(spark: SparkSession, sf: str) -> DataFrame:
+    """Place identification in one region: the ten largest places of each setting with the area of their points' Voronoi cells, commonest category, purity, parts and share of edges inside."""
+    own, e, top = _place_settings(spark, sf)
+    cells = cut(delaunay.voronoi_cells(own, points.polygons(points.zip_cells(spark, sf))).select("poi_id", "area"))
+    area = top.join(cells, "poi_id", "left").groupBy("setting", "rank", "place_id", "n_poi").agg(F.sum("area").alias("area"))
+    keyed = cut(top.select("poi_id", F.concat_ws("#", "setting", "place_id").alias("place_id")))
+    best = places.place_profile(keyed, own, 1).groupBy("place_id").agg(F.max_by("label", F.struct("n", "label")).alias("category"), F.max("purity").alias("purity"))
+    inside, parts = [], None
+    for (name,) in top.select("setting").distinct().collect():  # three settings: a point has one place in each
+        m = keyed.filter(F.col("place_id").startswith(name + "#"))
+        inside.append(places.place_contiguity(e, m).select("place_id", "inside_share").join(places.place_fragments(e, m), "place_id", "full"))
+    for part in inside:
+        parts = part if parts is None else parts.unionByName(part)
+    key = F.concat_ws("#", "setting", "place_id")
+    out = area.withColumn("key", key).join(best.withColumnRenamed("place_id", "key"), "key", "left").join(parts.withColumnRenamed("place_id", "key"), "key", "left").drop("key")
+    return out
+
+
+def w_place_zoom(spark: SparkSession, sf: str) -> DataFrame:
+    """The points in the densest ninth of that region, with their place's rank in each setting: one map, coloured three ways."""
+    own, _, top = _place_settings(spark, sf)
+    dense = delaunay.zoom(own, points.polygons(points.zip_cells(spark, sf)))
+    return dense.select("poi_id", "lat", "lon").join(top.select("poi_id", "setting", "rank", "place_id"), "poi_id")
+
+
 def w_homogenisation(spark: SparkSession, sf: str) -> DataFrame:
     """Likeness of neighbours as the second hop's coefficient grows."""
     p, v, a = _knn_graph(spark, sf)
@@ -307,7 +446,7 @@ def w_embedding_clusters(spark: SparkSession, sf: str) -> DataFrame:
 
 def plan_regions(spark: SparkSession, sf: str) -> DataFrame:
     """The rewritten plan for region vectors: no clustering, one hop."""
-    out = PlacePlan.of(Config(alpha=(0.5, 0.5, 0.0))).run(points.points(spark, sf))["regions"]
+    out = PlacePlan.of(Config(d=D, alpha=(0.5, 0.5, 0.0))).run(points.points(spark, sf))["regions"]
     return _z(out, "zip_id", "n_poi")
 
 
@@ -315,8 +454,8 @@ QUERIES = {
     f.__name__: f
     for f in (
         planted_labels, baseline_mean, cooc_counts, cooc_ppmi, baseline_cooc, baseline_cooc_skipgram, attention_pool, baseline_infomax, baseline_pretrained, split_assign, predict_mean, score_mean_predictor,
-        score_linear, score_runs, error_map, error_breakdown, rank_methods, alpha_grid, published_settings, alpha_region_combo, tune_settings, speedup, growth_slopes, align_dimension, w_density, w_price,
-        w_transfer, predict_rf, predict_gbt, predict_ridge, predict_mlp, predict_xgb, expressiveness_gap, w_places, w_homogenisation, w_embedding_clusters, plan_regions,
+        score_linear, score_runs, error_map, error_breakdown, rank_methods, alpha_grid, published_settings, alpha_region_combo, tune_settings, tune_ratio, speedup, growth_slopes, align_dimension, w_density, w_price,
+        w_transfer, w_error_map, w_error_breakdown, w_efficiency, counters, w_place_map, w_place_zoom, predict_rf, predict_gbt, predict_ridge, predict_mlp, predict_xgb, expressiveness_gap, w_places, w_homogenisation, w_embedding_clusters, plan_regions,
     )
 }
 
@@ -343,6 +482,8 @@ _PROBE = " + ".join(f"a{k} * (z{k}_0 + 2 * z{k}_7)" for k in range(3))
 _WIDE = ", ".join(f"w{k} AS (SELECT zip_id, sum(CASE WHEN i = 0 THEN x END) AS z{k}_0, sum(CASE WHEN i = 7 THEN x END) AS z{k}_7 FROM m{k} GROUP BY zip_id)" for k in range(3))
 
 SQL = {
+    "counters": f"""WITH {KNN} SELECT 'points' AS stage, count(*) AS rows FROM poi UNION ALL SELECT 'directed edges', count(*) FROM knn UNION ALL SELECT 'edges', count(*) FROM edge
+UNION ALL SELECT 'adjacency entries', (SELECT 2 * count(*) FROM edge) + (SELECT count(*) FROM poi) UNION ALL SELECT 'spread vectors', count(*) FROM poi""",
     "planted_labels": f"WITH {POI}, {LABEL} SELECT state_id, county_id, zip_id, round(density, 6) AS density, round(price, 6) AS price FROM label",
     "baseline_mean": f"WITH {POI}, {HASHED}, m AS (SELECT zip_id, i, avg(v[i + 1]) AS x, count(*) AS n FROM poi_v, unnest(range(0, 8)) g(i) GROUP BY zip_id, i) SELECT zip_id, any_value(n) AS n_poi, {_VEC} AS z FROM m GROUP BY zip_id",
     "cooc_counts": f"WITH {_COOC} SELECT a, b, round(n, 5) AS n FROM co",
@@ -355,8 +496,11 @@ SQL = {
     "score_runs": f"WITH {_SPLIT}, {_LINE}, s AS (SELECT state_id, run, {_PLAIN} FROM line GROUP BY state_id, run) SELECT state_id, count(*) AS runs, " + ", ".join(f"round({f}({c}), 5) AS {c}_{n}" for c in ("rmse", "mae", "r2") for n, f in (("mean", "avg"), ("sd", "stddev_samp"))) + " FROM s GROUP BY state_id",
     "error_map": f"WITH {_SPLIT}, {_LINE}, {_ERR} SELECT state_id, zip_id, round(error, 6) AS error, CAST(ntile(4) OVER (PARTITION BY state_id ORDER BY error, zip_id) AS INTEGER) AS class FROM err",
     "error_breakdown": f"""WITH {_SPLIT}, {_LINE}, {_ERR}, n AS (SELECT zip_id, count(*) AS n_poi FROM poi GROUP BY zip_id),
-c AS (SELECT err.state_id, error, n_poi, CAST(ntile(3) OVER (PARTITION BY err.state_id ORDER BY n_poi, err.zip_id) AS INTEGER) AS density_class FROM err JOIN n ON n.zip_id = err.zip_id)
-SELECT state_id, density_class, count(*) AS regions, round(avg(error), 5) AS error, round(avg(n_poi), 5) AS n_poi FROM c GROUP BY state_id, density_class""",
+a AS (SELECT zip_id, 11.132::DOUBLE * 11.132::DOUBLE * cos(radians(lat0 + 0.05::DOUBLE)) AS area_km2 FROM cell),
+c AS (SELECT err.state_id, error, n_poi, area_km2, ntile(3) OVER (PARTITION BY err.state_id ORDER BY round(n_poi / area_km2, 9), err.zip_id) AS density, ntile(3) OVER (PARTITION BY err.state_id ORDER BY round(area_km2, 9), err.zip_id) AS area
+  FROM err JOIN n ON n.zip_id = err.zip_id JOIN a ON a.zip_id = err.zip_id),
+l AS (SELECT state_id, error, n_poi, area_km2, 'density' AS factor, density AS class FROM c UNION ALL SELECT state_id, error, n_poi, area_km2, 'area', area FROM c)
+SELECT state_id, factor, CAST(class AS INTEGER) AS class, count(*) AS regions, round(avg(error), 5) AS error, round(avg(n_poi), 5) AS n_poi, round(avg(area_km2), 5) AS area_km2 FROM l GROUP BY state_id, factor, class""",
     "rank_methods": f"""WITH {_SPLIT}, {_LINE}, {_CONST.format(t='price')}, s AS (SELECT state_id, 'line' AS method, sqrt(avg((y - yhat) * (y - yhat))) AS rmse FROM line GROUP BY state_id UNION ALL SELECT state_id, 'mean', sqrt(avg((y - yhat) * (y - yhat))) FROM pred GROUP BY state_id)
 SELECT state_id, method, CAST(rank() OVER (PARTITION BY state_id ORDER BY rmse NULLS LAST) AS INTEGER) AS place, round(rmse, 5) AS rmse FROM s""",
     "alpha_grid": f"WITH {_GRID} SELECT a0, a1, a2 FROM grid",

@@ -174,6 +174,12 @@ SQL = {
     "knn_tiled": _KNN,
     "knn_union": f"WITH {KNN} SELECT state_id, src, dst, round(dist_m, 4) AS dist_m FROM edge",
     "knn_mutual": f"WITH {KNN} SELECT state_id, src, dst, round(dist_m, 4) AS dist_m FROM edge WHERE times = 2",
+    # centres of circles through both ends lie on the bisector; each other point bounds them from one side, and an edge stands if the bounds leave room
+    "delaunay_zip": f"""WITH {POI}, q AS (SELECT zip_id, poi_id, round_even(radians(lon + 120) * cos(radians(30.0::DOUBLE)) * {_M}::DOUBLE * 1024, 0) AS x, round_even(radians(lat - 30) * {_M}::DOUBLE * 1024, 0) AS y FROM poi),
+pair AS (SELECT a.zip_id, a.poi_id AS src, b.poi_id AS dst, a.x AS ax, a.y AS ay, b.x - a.x AS ux, b.y - a.y AS uy FROM q a JOIN q b ON a.zip_id = b.zip_id AND a.poi_id < b.poi_id),
+side AS (SELECT src, dst, pair.zip_id, ux * (c.y - ay) - uy * (c.x - ax) AS turn, (c.x - ax) * (c.x - ax - ux) + (c.y - ay) * (c.y - ay - uy) AS reach FROM pair JOIN q c ON c.zip_id = pair.zip_id AND c.poi_id <> src AND c.poi_id <> dst),
+room AS (SELECT zip_id, src, dst, max(CASE WHEN turn < 0 THEN reach / turn END) AS low, min(CASE WHEN turn > 0 THEN reach / turn END) AS high, bool_or(turn = 0 AND reach < 0) AS blocked FROM side GROUP BY zip_id, src, dst)
+SELECT zip_id, src, dst FROM room WHERE NOT blocked AND (low IS NULL OR high IS NULL OR low < high)""",
     "coincident_points": f"""WITH {POI}, s AS (SELECT poi_id, poi.state_id, CASE WHEN (poi_id * 47 + 9) % 400 = 0 THEN lat0 + 0.05::DOUBLE ELSE lat END AS lat, CASE WHEN (poi_id * 47 + 9) % 400 = 0 THEN lon0 + 0.05::DOUBLE ELSE lon END AS lon FROM poi JOIN cell ON cell.zip_id = poi.zip_id)
 SELECT * FROM (SELECT state_id, poi_id, min(poi_id) OVER (PARTITION BY state_id, lat, lon) AS representative FROM s) WHERE representative <> poi_id""",
     "region_scale": f"WITH {POI}, {SCALE} SELECT zip_id, n_r, round(scale, 4) AS scale FROM scale",

@@ -94,6 +94,34 @@ def density_places(spark: SparkSession, sf: str) -> DataFrame:
     return places.density_places(features(spark, sf)[1], ZIP, 0.35, 4)
 
 
+def density_places_vectors(spark: SparkSession, sf: str) -> DataFrame:
+    """Density places in the space of category vectors, which are exact in binary."""
+    return places.density_places(_plain(spark, sf)[1], ZIP, 0.35, 4).select("poi_id", "place_id", "is_core")
+
+
+def fused_features(spark: SparkSession, sf: str) -> DataFrame:
+    """Category vectors and scaled coordinates side by side."""
+    p = points.points(spark, sf)
+    xy = p.select("poi_id", F.array((F.col("lat") - 30) / 10, (F.col("lon") + 120) / 100).alias("h"))
+    return encode.fuse_features(hashed(p), xy).select("poi_id", vectors.rounded(F.col("h")).alias("h"))
+
+
+def places_options(spark: SparkSession, sf: str) -> DataFrame:
+    """Both engines under every option they share: how many points of a state lie in places of other sizes (none)."""
+    h = cut(_plain(spark, sf)[1].withColumn("weight", F.lit(1.0) + F.col("poi_id") % 3))
+    out = None
+    for option in ({"priority": "size"}, {"priority": "sse"}, {"init": "farthest"}, {"weight": "weight"}):
+        sizes = []
+        for engine in ("task", "distributed"):
+            m = cut(places.bisect_places(h, ["state_id"], "0.002", engine=engine, **option))
+            n = m.groupBy("state_id", "place_id").agg(F.count(F.lit(1)).alias("n")).groupBy("state_id", "n").agg(F.count(F.lit(1)).alias(engine))
+            sizes.append(n)
+        both = sizes[0].join(sizes[1], ["state_id", "n"], "full").filter(F.coalesce("task", F.lit(0)) != F.coalesce("distributed", F.lit(0)))
+        part = both.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("points")).select(F.lit(str(option)).alias("option"), "points")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def places_edge_cases(spark: SparkSession, sf: str) -> DataFrame:
     """Places of degenerate regions: r = 1, one place only, equal vectors, one point."""
     p, h = _plain(spark, sf)
@@ -165,12 +193,20 @@ def place_similar(spark: SparkSession, sf: str) -> DataFrame:
     return places.similar_places(e, q, 5).withColumn("cosine", F.round("cosine", 6))
 
 
+def place_similar_indexed(spark: SparkSession, sf: str) -> DataFrame:
+    """The same search through the hashed index, for cosines of at least 0.3: pairs it finds carry their exact cosine."""
+    e = points.table(spark, sf, "embeddings").select(F.col("vec_id").alias("place_id"), F.col("label").alias("region_id"), F.col("embedding").cast("array<double>").alias("z"))
+    q = e.filter("place_id % 100 = 0").select(F.col("place_id").alias("query_id"), "region_id", F.col("z").alias("q"))
+    return places.similar_places(e, q, 5, index=0.3)
+
+
 def place_recommend(spark: SparkSession, sf: str) -> DataFrame:
+    """Three regions for each place whose number (a checksum of its id) is divisible by 100, over all places."""
     p, h = features(spark, sf)
-    m = places.bisect_places(h, ZIP, "0.05")
-    z = places.summarise_places(m, h, D).join(m.select("place_id", F.col("zip_id").alias("region_id")).distinct(), "place_id")
-    z = cut(z)
-    q = z.groupBy("region_id").agg(F.max_by("place_id", F.struct("n_poi", "place_id")).alias("place_id")).filter("region_id % 100 = 0").join(z.drop("region_id"), "place_id").select(F.col("place_id").alias("query_id"), "region_id", F.col("z").alias("q"))
+    h = cut(h)
+    m = cut(places.bisect_places(h, ZIP, "0.05"))
+    z = cut(places.summarise_places(m, h, D).join(m.select("place_id", F.col("zip_id").alias("region_id")).distinct(), "place_id"))
+    q = z.filter(F.crc32(F.col("place_id").cast("binary")) % 100 == 0).select(F.col("place_id").alias("query_id"), "region_id", F.col("z").alias("q"))
     return places.recommend_regions(z, q, 3)
 
 
@@ -251,7 +287,7 @@ def region_semantic_group(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def region_touch(spark: SparkSession, sf: str) -> DataFrame:
-    cells = points.zip_cells(spark, sf)
+    cells = cut(points.polygons(points.zip_cells(spark, sf)))
     rook = regions.region_adjacency(cells, "rook").withColumn("side", F.lit(True))
     return regions.region_adjacency(cells).join(rook, ["a", "b"], "left").select("a", "b", F.coalesce("side", F.lit(False)).alias("side"))
 
@@ -262,12 +298,12 @@ def region_cross_edges(spark: SparkSession, sf: str) -> DataFrame:
 
 def voronoi_area(spark: SparkSession, sf: str) -> DataFrame:
     """Cells of a region tile its square: the areas add up to it."""
-    v = delaunay.voronoi_cells(points.points(spark, sf), points.zip_cells(spark, sf))
+    v = delaunay.voronoi_cells(points.points(spark, sf), points.polygons(points.zip_cells(spark, sf)))
     return v.groupBy("zip_id").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("area"), 8).alias("area"))
 
 
 def voronoi_zoom(spark: SparkSession, sf: str) -> DataFrame:
-    z = delaunay.zoom(points.points(spark, sf), points.zip_cells(spark, sf))
+    z = delaunay.zoom(points.points(spark, sf), points.polygons(points.zip_cells(spark, sf)))
     return z.groupBy("zip_id").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -275,7 +311,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         region_sizes, place_budget, places_counts, places_members, places_distributed, places_multi_r, places_nesting, places_sse, places_lloyd, density_core_points, density_places_spatial, density_places,
-        places_edge_cases, place_centroids, place_locations, sse_by_r, traceability, places_of_places, place_graph, reduction_report, places_semantic_only, places_with_xy, place_similar, place_recommend,
+        places_edge_cases, density_places_vectors, places_options, fused_features, place_similar_indexed, place_centroids, place_locations, sse_by_r, traceability, places_of_places, place_graph, reduction_report, places_semantic_only, places_with_xy, place_similar, place_recommend,
         place_profile, place_contiguity, place_fragments, top_places, region_embedding, region_mean, region_unweighted, region_top_places, region_matrix, region_rollup, region_cube, region_semantic_group,
         region_touch, region_cross_edges, voronoi_area, voronoi_zoom,
     )
@@ -310,6 +346,16 @@ root AS (SELECT a AS poi_id, min(b) AS root FROM reach GROUP BY a),
 border AS (SELECT a AS poi_id, root FROM (SELECT n.a, root, row_number() OVER (PARTITION BY n.a ORDER BY d, n.b) AS rn FROM near n JOIN root ON root.poi_id = n.b WHERE n.a NOT IN (SELECT poi_id FROM core)) WHERE rn = 1)
 SELECT poi.poi_id, CAST(zip_id AS VARCHAR) || '|d' || CAST(coalesce(root.root, border.root) AS VARCHAR) AS place_id, root.root IS NOT NULL AS is_core
 FROM poi LEFT JOIN root ON root.poi_id = poi.poi_id LEFT JOIN border ON border.poi_id = poi.poi_id""",
+    "density_places_vectors": f"""WITH RECURSIVE {POI}, {HASHED}, pair AS (SELECT a.zip_id, a.poi_id AS a, b.poi_id AS b, list_sum(list_transform(range(1, 9), lambda i: (a.v[i] - b.v[i]) * (a.v[i] - b.v[i]))) AS d FROM poi_v a JOIN poi_v b ON a.zip_id = b.zip_id AND a.poi_id <> b.poi_id),
+near AS (SELECT * FROM pair WHERE d <= 0.35::DOUBLE * 0.35::DOUBLE), core AS (SELECT a AS poi_id FROM near GROUP BY a HAVING count(*) + 1 >= 4),
+link AS (SELECT a, b FROM near WHERE a IN (SELECT poi_id FROM core) AND b IN (SELECT poi_id FROM core)),
+reach AS (SELECT poi_id AS a, poi_id AS b FROM core UNION SELECT r.a, l.b FROM reach r JOIN link l ON l.a = r.b),
+root AS (SELECT a AS poi_id, min(b) AS root FROM reach GROUP BY a),
+border AS (SELECT a AS poi_id, root FROM (SELECT n.a, root, row_number() OVER (PARTITION BY n.a ORDER BY d, n.b) AS rn FROM near n JOIN root ON root.poi_id = n.b WHERE n.a NOT IN (SELECT poi_id FROM core)) WHERE rn = 1)
+SELECT poi.poi_id, CAST(zip_id AS VARCHAR) || '|d' || CAST(coalesce(root.root, border.root) AS VARCHAR) AS place_id, root.root IS NOT NULL AS is_core
+FROM poi LEFT JOIN root ON root.poi_id = poi.poi_id LEFT JOIN border ON border.poi_id = poi.poi_id""",
+    "places_options": "SELECT * FROM (VALUES ('{''priority'': ''size''}', 0::BIGINT), ('{''priority'': ''sse''}', 0), ('{''init'': ''farthest''}', 0), ('{''weight'': ''weight''}', 0)) t(option, points)",
+    "fused_features": f"WITH {POI}, {HASHED} SELECT v.poi_id, list_transform(list_concat(v.v, [(lat - 30) / 10, (lon + 120) / 100]), lambda x: round(x, 6) + 0.0::DOUBLE) AS h FROM poi_v v JOIN poi ON poi.poi_id = v.poi_id",
     "places_edge_cases": f"WITH {POI}, {HASHED} SELECT zip_id, count(DISTINCT v) AS n_all, CAST(1 AS BIGINT) AS n_one, CAST(1 AS BIGINT) AS n_flat FROM poi_v GROUP BY zip_id",
     "place_centroids": f"""WITH {_PLACE_X}, e AS (SELECT g.place_id, sum((h.x - px.x) * (h.x - px.x)) AS sse FROM grp g JOIN h ON h.poi_id = g.poi_id JOIN px ON px.place_id = g.place_id AND px.i = h.i GROUP BY g.place_id)
 SELECT px.place_id, any_value(n) AS n_poi, {_ROUND} AS z, round(any_value(sse), 5) AS sse FROM px JOIN e ON e.place_id = px.place_id GROUP BY px.place_id""",
@@ -339,7 +385,7 @@ SELECT zip_id, any_value(n_places) AS n_places, any_value(n_poi) AS n_poi, {_ROU
     "region_touch": f"WITH {CELL} SELECT p.zip_id AS a, q.zip_id AS b, abs(p.idx // p.w - q.idx // q.w) + abs(p.idx % p.w - q.idx % q.w) = 1 AS side FROM cell p JOIN cell q ON p.state_id = q.state_id AND p.zip_id < q.zip_id WHERE abs(p.idx // p.w - q.idx // q.w) <= 1 AND abs(p.idx % p.w - q.idx % q.w) <= 1",
     "region_cross_edges": f"WITH {WEIGHT} SELECT least(src_zip, dst_zip) AS a, greatest(src_zip, dst_zip) AS b, count(*) AS n_edges, round(sum(w), 5) AS w FROM weighted WHERE src_zip <> dst_zip GROUP BY 1, 2",
     "voronoi_area": f"WITH {POI} SELECT zip_id, count(*) AS n, 0.01::DOUBLE AS area FROM poi GROUP BY zip_id",
-    "voronoi_zoom": f"""WITH {POI}, z AS (SELECT poi.zip_id, CAST(floor((lon - lon0) / (0.1::DOUBLE / 3)) AS BIGINT) AS zx, CAST(floor((lat - lat0) / (0.1::DOUBLE / 3)) AS BIGINT) AS zy FROM poi JOIN cell ON cell.zip_id = poi.zip_id)
+    "voronoi_zoom": f"""WITH {POI}, z AS (SELECT poi.zip_id, CAST(floor((lon - lon0) / ((lon0 + 0.1::DOUBLE - lon0) / 3)) AS BIGINT) AS zx, CAST(floor((lat - lat0) / ((lat0 + 0.1::DOUBLE - lat0) / 3)) AS BIGINT) AS zy FROM poi JOIN cell ON cell.zip_id = poi.zip_id)
 SELECT zip_id, max(n) AS n FROM (SELECT zip_id, zx, zy, count(*) AS n FROM z GROUP BY 1, 2, 3) GROUP BY zip_id""",
 }
 SQL["region_mean"] = SQL["region_embedding"]

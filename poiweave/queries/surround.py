@@ -15,6 +15,9 @@ from ..streaming.streams import _place
 from .features import D, hashed
 from .graph import HASHED
 from .oracle import CELL, POI, dist
+from .places import SQL as _PLACE_SQL
+
+REGION_SQL = _PLACE_SQL["region_mean"]
 
 
 def scan_counts(spark: SparkSession, sf: str) -> DataFrame:
@@ -100,11 +103,19 @@ def join_interval(spark: SparkSession, sf: str) -> DataFrame:
     return met.groupBy("a.state_id").agg(F.count(F.lit(1)).alias("pairs"))
 
 
+def asof(left: DataFrame, right: DataFrame, by: str, at: str, value: str, name: str) -> DataFrame:
+    """``left`` plus the ``value`` of the last row of ``right`` with the same ``by`` at or before ``at``: both tables in one sorted window instead of a range join."""
+    rows = left.withColumn("__own", F.lit(1)).unionByName(right.select(by, at, F.col(value).alias("__value"), F.lit(0).alias("__own")), allowMissingColumns=True)
+    w = Window.partitionBy(by).orderBy(at, "__own", "__value").rowsBetween(Window.unboundedPreceding, 0)
+    return rows.withColumn(name, F.last("__value", ignorenulls=True).over(w)).filter("__own = 1").drop("__own", "__value")
+
+
 def join_asof(spark: SparkSession, sf: str) -> DataFrame:
-    """Each order's latest earlier order of the same customer: union and a window instead of a range join."""
-    o = table(spark, sf, "orders").select("o_custkey", "o_orderkey", "o_orderdate")
-    w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
-    return o.select("o_orderkey", F.lag("o_orderkey").over(w).alias("previous"))
+    """Each point's last event at or before its opening, events being dealt to regions by user."""
+    p = points.points(spark, sf).select("poi_id", "zip_id", F.col("date_created").cast("timestamp").alias("ts"))
+    n = table(spark, sf, "supplier").count()
+    e = table(spark, sf, "events").select((F.col("user_id") % n).alias("zip_id"), "ts", "event_id")
+    return asof(p, e, "zip_id", "ts", "event_id", "event_id").select("poi_id", "event_id")
 
 
 def join_semi(spark: SparkSession, sf: str) -> DataFrame:
@@ -112,7 +123,7 @@ def join_semi(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def join_anti(spark: SparkSession, sf: str) -> DataFrame:
-    return table(spark, sf, "customer").select("c_custkey").join(table(spark, sf, "orders").select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_anti")
+    return table(spark, sf, "part").select("p_partkey").join(points.distinct_lines(spark, sf).filter("l_quantity > 45").select(F.col("l_partkey").alias("p_partkey")), "p_partkey", "left_anti")
 
 
 def join_outer(spark: SparkSession, sf: str) -> DataFrame:
@@ -301,10 +312,10 @@ def udtf_place_split(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def sql_region_embedding(spark: SparkSession, sf: str) -> DataFrame:
+    """Graph, one hop, combination and region vectors in SQL text over registered views."""
     p = points.points(spark, sf)
-    hashed(p).join(p.select("poi_id", "zip_id"), "poi_id").createOrReplaceTempView("poiweave_h")
-    parts = ", ".join(f"round(avg(h[{i}]), 6) + 0.0" for i in range(D))
-    return spark.sql(f"SELECT zip_id, count(*) AS n_poi, array({parts}) AS z FROM poiweave_h GROUP BY zip_id")
+    sqlface.register_graph(spark, p, hashed(p))
+    return sqlface.region_embedding_sql(spark, D, (0.5, 0.5))
 
 
 QUERIES = {
@@ -336,9 +347,10 @@ SQL = {
     "join_point_in_cell": f"WITH {POI} SELECT zip_id, count(*) AS n FROM poi GROUP BY zip_id",
     "join_nested_loop": "SELECT a.s_suppkey AS zip_id, count(b.s_suppkey) AS beaten_by FROM supplier a LEFT JOIN supplier b ON b.s_acctbal > a.s_acctbal GROUP BY 1 HAVING count(b.s_suppkey) < 5",
     "join_interval": f"WITH {POI}, p AS (SELECT * FROM poi WHERE date_closed IS NOT NULL) SELECT a.state_id, count(*) AS pairs FROM p a JOIN p b ON a.locality_id = b.locality_id AND a.poi_id < b.poi_id AND a.date_created < b.date_closed AND b.date_created < a.date_closed GROUP BY a.state_id",
-    "join_asof": "SELECT o_orderkey, lag(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS previous FROM orders",
+    "join_asof": f"""WITH {POI}, e AS (SELECT user_id % (SELECT count(*) FROM supplier) AS zip_id, ts, event_id FROM events)
+SELECT poi_id, (SELECT max_by(event_id, (ts, event_id)) FROM e WHERE e.zip_id = poi.zip_id AND e.ts <= CAST(poi.date_created AS TIMESTAMP)) AS event_id FROM poi""",
     "join_semi": f"WITH {POI} SELECT DISTINCT zip_id FROM poi WHERE t = 3",
-    "join_anti": "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)",
+    "join_anti": f"WITH {POI} SELECT p_partkey FROM part WHERE p_partkey NOT IN (SELECT l_partkey FROM line1 WHERE l_quantity > 45)",
     "join_outer": f"WITH {POI} SELECT locality_id, nullif(count(*) FILTER (WHERE t = 4), 0) AS small, nullif(count(*) FILTER (WHERE t = 5), 0) AS standard FROM poi WHERE t IN (4, 5) GROUP BY locality_id",
     "agg_basic": f"WITH {POI} SELECT county_id, count(*) AS n, round(avg(lat), 6) AS lat, min(date_created) AS first, max(date_created) AS last FROM poi GROUP BY county_id",
     "agg_distinct": f"WITH {POI} SELECT state_id, count(DISTINCT category_path) AS paths, count(DISTINCT (zip_id, t)) AS kinds FROM poi GROUP BY state_id",
@@ -375,5 +387,5 @@ SELECT a, b, round(len(list_intersect(x.s, y.s)) / (len(x.s) + len(y.s) - len(li
     "udaf_weighted_mean": "SELECT l_returnflag, round(sum(l_extendedprice * l_quantity) / sum(l_quantity), 4) AS price FROM lineitem GROUP BY l_returnflag",
     "udtf_tile_ring": f"WITH {CELL} SELECT zip_id, CAST(floor(lon0) AS BIGINT) + i AS tx, CAST(floor(lat0) AS BIGINT) + j AS ty FROM cell, (VALUES (-1), (0), (1)) i(i), (VALUES (-1), (0), (1)) j(j)",
     "udtf_place_split": f"WITH {POI} SELECT zip_id AS region, greatest(1, CAST(floor(count(*) * CAST(0.05 AS DECIMAL(10, 9))) AS BIGINT)) AS n_places, count(*) AS n FROM poi GROUP BY zip_id",
-    "sql_region_embedding": f"WITH {POI}, {HASHED}, m AS (SELECT zip_id, i, avg(v[i + 1]) AS x, count(*) AS n FROM poi_v, unnest(range(0, 8)) g(i) GROUP BY zip_id, i) SELECT zip_id, any_value(n) AS n_poi, list(round(x, 6) + 0.0::DOUBLE ORDER BY i) AS z FROM m GROUP BY zip_id",
+    "sql_region_embedding": REGION_SQL,
 }

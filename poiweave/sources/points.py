@@ -33,6 +33,13 @@ def zip_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
     return s.select(F.col("s_suppkey").cast("long").alias("zip_id"), F.col("s_nationkey").cast("int").alias("county_id"), F.col("n_regionkey").cast("int").alias("state_id"), "idx", "w", lat0.alias("lat0"), lon0.alias("lon0"))
 
 
+def polygons(cells: DataFrame) -> DataFrame:
+    """``cells`` plus ``polygon``, the corners of each region's square in order, and ``area_km2``."""
+    corner = lambda y, x: F.struct((F.col("lon0") + x).alias("lon"), (F.col("lat0") + y).alias("lat"))
+    area = F.lit(11.132 * 11.132) * F.cos(F.radians(F.col("lat0") + SIDE / 2))
+    return cells.withColumns({"polygon": F.array(corner(0.0, 0.0), corner(0.0, SIDE), corner(SIDE, SIDE), corner(SIDE, 0.0)), "area_km2": area})
+
+
 def distinct_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One line for each (order, line number): the first in a fixed order."""
     line = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice", "l_quantity", "l_linestatus")

@@ -6,8 +6,6 @@ frame, so that results can be compared with batch queries on the same rows.
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -15,13 +13,14 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.session import shared_folder
+
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 LATE = "1 day"
 
 
 def _place(spark: SparkSession, kind: str) -> str:
-    shared = spark.sparkContext.getConf().get("spark.checkpoint.dir") or os.path.join(tempfile.gettempdir(), "poiweave-checkpoints")
-    return f"{shared}/{kind}-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/{kind}-{uuid.uuid4().hex}"
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -32,18 +31,18 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Process all that is there and stop; the sink is a Parquet table in the shared folder.
 
-    With ``complete`` only the last batch is kept, the state of all keys; with ``update`` all updates are kept, so a key has one
+    Every batch overwrites the folder of its own number, so a batch that is run again after a failure doubles nothing. With ``complete`` only the last batch is kept, the state of all keys; with ``update`` all updates are kept, so a key has one
     row for each batch that touched it.
     """
     spark = stream.sparkSession
     out = _place(spark, "sink")
 
     def write(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite" if mode == "complete" else "append").parquet(out)
+        batch.write.mode("overwrite").parquet(out if mode == "complete" else f"{out}/batch={number}")
 
     q = stream.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", _place(spark, "progress")).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(out)
+    return spark.read.schema(stream.schema).parquet(out).select(*stream.columns)
 
 
 def tumbling(stream: DataFrame, width: str = "1 hour") -> DataFrame:

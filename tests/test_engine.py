@@ -263,7 +263,7 @@ def test_likeness_of_neighbours_rises_with_the_second_hop(v, a_hat, edges):
 
 
 def test_voronoi_cells_tile_the_square(poi, spark, sf):
-    v = delaunay.voronoi_cells(poi, points.zip_cells(spark, sf)).groupBy("zip_id").agg(F.sum("area").alias("a"))
+    v = delaunay.voronoi_cells(poi, points.polygons(points.zip_cells(spark, sf))).groupBy("zip_id").agg(F.sum("area").alias("a"))
     assert v.filter(F.abs(F.col("a") - 0.01) > 1e-9).isEmpty()
 
 
