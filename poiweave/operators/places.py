@@ -73,8 +73,9 @@ def place_id(keys: Sequence[str], path: str = "path") -> Column:
     return F.concat_ws("|", *(F.col(k).cast("string") for k in keys), F.col(path))
 
 
-def bisect_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", engine: str = "auto", task_points: int = TASK_POINTS, **options) -> DataFrame:
-    """keys, poi_id, path, place_id. ``auto`` sends regions up to ``task_points`` points to one task each, larger ones to the distributed engine.
+def bisect_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", engine: str = "auto", task_points: int = TASK_POINTS, sizes: DataFrame | None = None, **options) -> DataFrame:
+    """keys, poi_id, path, place_id. ``auto`` sends regions up to ``task_points`` points to one task each, larger ones to the distributed engine; ``sizes`` (keys,
+    n) spares it counting them, which would compute ``h`` once more.
 
     Both engines take the options of :func:`place_hierarchy`; the distributed one raises an error for ``init='kmeans++'``, whose draws belong to one task.
     """
@@ -84,8 +85,7 @@ def bisect_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", engine: str
     elif engine == "distributed":
         out = bisect_distributed(h, keys, r, **options)
     else:
-        large = cut(h.groupBy(*keys).agg(F.count(F.lit(1)).alias("__n")).filter(F.col("__n") > task_points).select(*keys))
-        n_large = large.count()
+        large, n_large = _large_regions(h, keys, task_points, sizes)
         if not n_large:
             out = place_hierarchy(h, keys, r, **options)
         else:
@@ -95,6 +95,12 @@ def bisect_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", engine: str
     return out.select(*keys, "poi_id", "path", place_id(keys).alias("place_id"))
 
 
+def _large_regions(h: DataFrame, keys: list[str], task_points: int, sizes: DataFrame | None) -> tuple[DataFrame, int]:
+    sizes = h.groupBy(*keys).agg(F.count(F.lit(1)).alias("n")) if sizes is None else sizes
+    large = cut(sizes.filter(F.col("n") > task_points).select(*keys))
+    return large, large.count()
+
+
 def bisect_distributed(h: DataFrame, keys: Sequence[str], r: str = "0.1", priority: str = "size", init: str = "principal", max_iter: int = 300, tol: float = 1e-8, seed: int = 1, weight: str | None = None) -> DataFrame:
     """The same splits for regions of any size, all regions and all active leaves at once.
 
@@ -294,10 +300,10 @@ def summarise_places(members: DataFrame, h: DataFrame, d: int, poi: DataFrame |
     return out
 
 
-def condensed_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", task_points: int = TASK_POINTS, **options) -> DataFrame:
+def condensed_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", task_points: int = TASK_POINTS, sizes: DataFrame | None = None, **options) -> DataFrame:
     """keys, place_id, n_poi, z, sse: the places of :func:`bisect_places` without their members, summed up in the task that found them, so points move once.
 
-    Regions beyond ``task_points`` go through the distributed engine and :func:`summarise_places`.
+    Regions beyond ``task_points`` go through the distributed engine and :func:`summarise_places`. ``sizes`` as there.
     """
     keys = list(keys)
 
@@ -314,8 +320,7 @@ def condensed_places(h: DataFrame, keys: Sequence[str], r: str = "0.1", task_poi
 
     weight = options.get("weight")
     kernel = {k: v for k, v in options.items() if k != "weight"}
-    large = cut(h.groupBy(*keys).agg(F.count(F.lit(1)).alias("__n")).filter(F.col("__n") > task_points).select(*keys))
-    n_large = large.count()
+    large, n_large = _large_regions(h, keys, task_points, sizes)
     some = h.join(small(large, n_large), keys, "left_anti") if n_large else h
     rows = some.select(*keys, "poi_id", "h", (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("__w"))
     out = spread(rows, *keys).groupBy(*keys).applyInPandas(run, f"{_types(h, keys)}, path string, n_poi long, z array<double>, sse double")

@@ -46,11 +46,22 @@ def combine(levels: Sequence[DataFrame], alpha: Sequence[float], d: int) -> Data
 
 
 def propagate(h0: DataFrame, a_hat: DataFrame, alpha: Sequence[float], d: int, keep: bool = False) -> DataFrame:
-    """The propagated features: only the hops that ``alpha`` needs are computed, none for alpha = (a,)."""
+    """The propagated features: only the hops that ``alpha`` needs are computed, none for alpha = (a,).
+
+    From the highest hop down, each step spreads what has been gathered so far and adds ``alpha_k`` times the features themselves in the same aggregation, so K hops
+    take K aggregations and none is needed to combine them. ``keep`` materialises each step.
+    """
     k = needed_hops(alpha)
     if k < 0:
         raise ValueError("all coefficients are zero")
-    return combine(hops(h0, a_hat, k, d, keep), alpha[: k + 1], d)
+    out = h0.select("poi_id", F.transform(F.col("h").cast("array<double>"), lambda x: x * float(alpha[k])).alias("h"))
+    for a in reversed(alpha[:k]):
+        met = a_hat.join(out.withColumnRenamed("poi_id", "src"), "src").select(F.col("dst").alias("poi_id"), "w", "h")
+        if a:
+            met = met.unionByName(h0.select("poi_id", F.lit(float(a)).alias("w"), F.col("h").cast("array<double>").alias("h")))
+        out = met.groupBy("poi_id").agg(*vectors.sums("h", d, F.col("w"))).select("poi_id", vectors.gathered(d).alias("h"))
+        out = cut(out) if keep else out
+    return out
 
 
 def propagate_factored(paths: DataFrame, table: DataFrame, a_hat: DataFrame, alpha: Sequence[float], d: int) -> DataFrame:

@@ -301,7 +301,7 @@ def w_efficiency(spark: SparkSession, sf: str) -> DataFrame:
 
         def reference(r: str, own=own, ids=ids, arcs=arcs) -> DataFrame:
             h = propagate.propagate(encode.encode_poi(own, table, WIDTH), arcs, ALPHA, WIDTH).join(ids, "poi_id")
-            return regions.region_embedding(places.condensed_places(h, ZIP, r, 1 << 62), ZIP, WIDTH)
+            return regions.region_embedding(places.condensed_places(h, ZIP, r, sizes=own.groupBy("zip_id").agg(F.count(F.lit(1)).alias("n"))), ZIP, WIDTH)
 
         def infomax(own=own, ids=ids, arcs=arcs, n=n) -> DataFrame:
             return baselines.infomax_baseline(propagate.hop(encode.encode_poi(own, table, WIDTH), arcs, WIDTH).join(ids, "poi_id"), touch.filter(F.col("state_id") < n), WIDTH, EPOCHS)
