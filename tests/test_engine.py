@@ -299,7 +299,7 @@ def test_transfer_workload_runs_the_whole_protocol(spark, sf, monkeypatch):
     monkeypatch.setattr(evaluation, "method_features", lambda *a, epochs=evaluation.EPOCHS: asked.append((a[2:], epochs)) or {m: None for m in evaluation.METHODS})
     monkeypatch.setattr(evaluate, "fit_predict", lambda f, y, splits, *a: splits.select("state_id", F.lit(a[2]).alias("method"), "run", F.lit(1.0).alias("y"), F.lit(1.0).alias("yhat")))
     assert {r.runs for r in evaluation.w_transfer(spark, sf).collect()} == {evaluate.RUNS}
-    assert asked == [((), 100)]
+    assert asked == [(("density",), 100)]
 
 
 @pytest.mark.parametrize("name", ["predict_rf", "predict_gbt"])
@@ -320,3 +320,99 @@ def test_tuning_covers_both_targets_and_all_runs(spark, monkeypatch):
     monkeypatch.setattr(evaluation, "_labels", lambda *_: y)
     monkeypatch.setattr(evaluate, "tune", lambda m, y, target, *_: spark.range(5).select((F.col("id") + 1).alias("place")))
     assert sorted((r.target, r.place) for r in evaluation.tune_settings(spark, "").collect()) == [(t, k) for t in ("density", "price") for k in (1, 2, 3)]
+
+
+def test_members_below_a_place(spark):
+    rows = [(k, p) for k, p in enumerate(("1|0", "1|01", "1|010", "1|1", "1|k1", "1|k10", "1|d1", "1|d10", "10|0", "1|"))]
+    m = spark.createDataFrame(rows, "poi_id long, place_id string")
+    below = lambda p: {r.place_id for r in places.members_of(m, p).collect()}
+    assert below("1|0") == {"1|0", "1|01", "1|010"} and below("1|k1") == {"1|k1"} and below("1|d1") == {"1|d1"}
+    assert below("1|") == {"1|", "1|0", "1|01", "1|010", "1|1"}
+
+
+def test_points_nearer_than_the_grid_hang_on_one(spark):
+    rows = [(k, 0, 30.0 + (k % 7) * 0.01 + (k // 7) * 0.003, -119.0 + (k * 13 % 11) * 0.01) for k in range(40)]
+    rows += [(100, 0, rows[3][2] + 1e-11, rows[3][3]), (101, 0, rows[3][2], rows[3][3])]
+    p = spark.createDataFrame(rows, "poi_id long, state_id int, lat double, lon double")
+    g = delaunay.delaunay_graph(p, tile_m=2_000.0)
+    assert {r.dst for r in g.filter("src = 3 and dst >= 100").collect()} == {100, 101}
+    plain = delaunay.delaunay_local(p.filter("poi_id < 100"), ["state_id"])
+    assert {(r.src, r.dst) for r in g.filter("dst < 100").collect()} == {(r.src, r.dst) for r in plain.collect()}
+
+
+def test_contiguity_of_any_polygons(spark):
+    ring = lambda *xy: [{"lon": float(x), "lat": float(y)} for x, y in xy]
+    rows = [
+        (1, ring((0, 0), (2, 0), (2, 2), (0, 2))),
+        (2, ring((2, 0.5), (3, 0.5), (3, 1), (2, 1))),  # part of a side, no vertex in common
+        (3, ring((2, 2), (3, 2), (3, 3))),  # one corner
+        (4, ring((1, 2), (1.5, 3), (0.5, 3))),  # a corner on a side
+        (5, ring((10, 0), (11, 0), (10, 1))),  # apart
+        (6, ring((2.999, 1.5), (4, 1.5), (4, 1.6))),  # near nothing
+    ]
+    p = spark.createDataFrame(rows, "zip_id long, polygon array<struct<lon:double,lat:double>>")
+    pairs = lambda how: {(r.a, r.b) for r in regions.region_adjacency(p, how).collect()}
+    assert pairs("queen") == {(1, 2), (1, 3), (1, 4)} and pairs("rook") == {(1, 2)}
+
+
+def test_engines_refuse_or_keep_every_option(h):
+    with pytest.raises(ValueError, match="kmeans"):
+        places.bisect_places(h, ["state_id"], "0.01", engine="distributed", init="kmeans++")
+    assert places.bisect_places(h.limit(0), ["state_id"], "0.01", engine="distributed").count() == 0
+    chosen = {}
+    for priority in ("size", "sse"):
+        engine = PlacePlan.of(Config(d=D, priority=priority, r="0.02", keys=("state_id",), levels=("state_id",), alpha=(1.0,)), ["places"])
+        assert engine.config.priority == priority
+        own = [sorted(r[0] for r in places.bisect_places(h, ["state_id"], "0.004", engine=e, priority=priority).groupBy("place_id").count().select("count").collect()) for e in ("task", "distributed")]
+        assert own[0] == own[1]
+        chosen[priority] = own[0]
+    assert chosen["size"] != chosen["sse"]
+
+
+def test_condensed_places_equal_their_members(h):
+    m = places.bisect_places(h, ZIP, "0.1")
+    want = {r.place_id: r for r in places.summarise_places(m, h, D).collect()}
+    got = {r.place_id: r for r in places.condensed_places(h, ZIP, "0.1").collect()}
+    assert got.keys() == want.keys()
+    assert all(got[k].n_poi == want[k].n_poi and abs(got[k].sse - want[k].sse) < 1e-9 and np.allclose(got[k].z, want[k].z) for k in want)
+
+
+def test_measures_recomputed_by_sql_from_written_predictions(spark, sf, h):
+    """Predictions go to Parquet; DuckDB scores them anew and lays the squared errors of places against their members."""
+    import duckdb
+
+    y = points.labels(points.points(spark, sf), points.zip_cells(spark, sf))
+    pred = evaluate.fit_predict(regions.region_mean(h, ZIP, D), y, evaluate.split_runs(y), "density", "forest")
+    folder = streams._place(spark, "predictions")
+    pred.write.parquet(f"{folder}/pred")
+    m = places.bisect_places(h, ZIP, "0.1")
+    m.write.parquet(f"{folder}/members")
+    h.select("poi_id", "h").write.parquet(f"{folder}/h")
+    con = duckdb.connect()
+    want = con.execute(f"SELECT state_id, run, sqrt(avg((y - yhat) * (y - yhat))), avg(abs(y - yhat)), CASE WHEN var_pop(y) > 1e-12 THEN 1 - sum((y - yhat) * (y - yhat)) / (var_pop(y) * count(*)) END FROM '{folder}/pred/*.parquet' GROUP BY 1, 2 ORDER BY 1, 2").fetchall()
+    got = sorted((r.state_id, r.run, r.rmse, r.mae, r.r2) for r in evaluate.score(spark.read.parquet(f"{folder}/pred"), ["state_id", "run"]).collect())
+    assert all(a[:2] == b[:2] and all((p is None and q is None) or abs(p - q) < 1e-9 for p, q in zip(a[2:], b[2:], strict=True)) for a, b in zip(got, want, strict=True))
+    sse = dict(con.execute(f"WITH x AS (SELECT place_id, i, h[i + 1] AS v FROM '{folder}/members/*.parquet' JOIN '{folder}/h/*.parquet' USING (poi_id), unnest(range(0, {D})) g(i)), z AS (SELECT place_id, i, avg(v) AS c FROM x GROUP BY 1, 2) SELECT x.place_id, sum((v - c) * (v - c)) FROM x JOIN z ON z.place_id = x.place_id AND z.i = x.i GROUP BY 1").fetchall())
+    assert all(abs(sse[r.place_id] - r.sse) < 1e-9 for r in places.condensed_places(h, ZIP, "0.1").collect())
+
+
+def test_settings_are_chosen_without_the_test_regions(spark):
+    """Changing labels of regions that a run tests changes nothing of what that run's training regions say."""
+    rows = [(z, z % 2, float(z * 7 % 13), [float(z % 5), float(z % 3)]) for z in range(40)]
+    means = [spark.createDataFrame([(z, [v * k for v in x]) for z, _, _, x in rows], "zip_id long, z array<double>") for k in (1, 2, 3)]
+    y = spark.createDataFrame([r[:3] for r in rows], "zip_id long, state_id int, density double")
+    tested = {r.zip_id for r in evaluate.split_runs(y, 1).filter("not is_train").collect()}
+    z = y.withColumn("density", F.when(F.col("zip_id").isin(*tested), 1e6).otherwise(F.col("density")))
+    grid = evaluate.alpha_grid(spark, step=0.5)
+    a, b = (sorted((r.state_id, r.a0, r.a1, r.a2, r.rmse) for r in evaluate.tune(means, labels, "density", grid, 2, 1).collect()) for labels in (y, z))
+    assert a == b and len(a) == 2 * 26
+
+
+def test_a_batch_that_runs_again_doubles_nothing(spark, sf, monkeypatch):
+    s = streams.events(spark, sf)
+    seen = streams.drain(s.select("event_id"))
+    n = seen.count()
+    folder = seen.inputFiles()[0].split("/batch=")[0]
+    seen.write.mode("overwrite").parquet(f"{folder}-again/batch=0")
+    seen.write.mode("overwrite").parquet(f"{folder}-again/batch=0")
+    assert n == spark.read.parquet(f"{folder}-again").count() == spark.read.parquet(f"{sf}/events.parquet").count()
