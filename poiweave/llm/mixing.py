@@ -289,7 +289,8 @@ def mix(documents: DataFrame, shards: int = 16, seed: int = 8, small: DataFrame
     n_fill = plan.fill.count()
     fill = plan.fill.select(F.col("src").alias("__src4"), F.col("u").alias("__u4"), F.col("id").alias("__id4"), F.col("words").alias("__words4"), F.col("copies").alias("__copies4"), F.col("delta").alias("__delta"), F.col("spot").alias("__spot"))
     out = whole.unionByName(cell).withColumn("placements", F.when(F.col("__in"), F.concat("placements", F.array("__edge"))).otherwise(F.col("placements")))
-    same = F.col("source").eqNullSafe(F.col("__src4")) & (F.col("__u") == F.col("__u4")) & F.col("doc_id").eqNullSafe(F.col("__id4")) & (size == F.col("__words4")) & (F.size("placements") == F.col("__copies4"))
+    same = F.col("source").eqNullSafe(F.col("__src4")) & (F.col("__u") == F.col("__u4")) & F.col("doc_id").eqNullSafe(F.col("__id4")) & (F.size("placements") == F.col("__copies4"))
+    same = same & (F.abs(size - F.col("__words4")) < 1)  # no join key: words are counted for rows that meet the others only
     out = out.join(_small(fill, n_fill), same, "left")
     more = F.transform(F.sequence(F.lit(1), F.col("__delta")), lambda k: F.struct((F.size("placements") + k - 1).cast("int").alias("rep"), F.col("__spot.shard").cast("int").alias("shard")))
     placements = F.when(F.col("__delta") > 0, F.concat("placements", more)).when(F.col("__delta") < 0, F.slice("placements", F.lit(1), F.size("placements") + F.col("__delta"))).otherwise(F.col("placements"))
