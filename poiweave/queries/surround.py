@@ -80,11 +80,12 @@ def join_distance(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def join_point_in_cell(spark: SparkSession, sf: str) -> DataFrame:
-    p = points.points(spark, sf).select("poi_id", "lat", "lon").withColumns({"tx": geo.tile(F.col("lon"), 0.1), "ty": geo.tile(F.col("lat"), 0.1)})
-    c = points.zip_cells(spark, sf).select("zip_id", "lat0", "lon0")
-    near = c.withColumn("q", F.explode(geo.ring(geo.tile(F.col("lon0") + 0.05, 0.1), geo.tile(F.col("lat0") + 0.05, 0.1), 1))).select("zip_id", "lat0", "lon0", F.col("q.x").alias("tx"), F.col("q.y").alias("ty"))
+    p = points.points(spark, sf).select("poi_id", "state_id", "lat", "lon").withColumns({"tx": geo.tile(F.col("lon"), 0.1), "ty": geo.tile(F.col("lat"), 0.1)})
+    c = points.zip_cells(spark, sf).select("state_id", "zip_id", "lat0", "lon0")
+    near = c.withColumn("q", F.explode(geo.ring(geo.tile(F.col("lon0") + 0.05, 0.1), geo.tile(F.col("lat0") + 0.05, 0.1), 1))).select("state_id", "zip_id", "lat0", "lon0", F.col("q.x").alias("tx"), F.col("q.y").alias("ty"))
     inside = (F.col("lat") >= F.col("lat0")) & (F.col("lat") < F.col("lat0") + 0.1) & (F.col("lon") >= F.col("lon0")) & (F.col("lon") < F.col("lon0") + 0.1)
-    return p.join(near, ["tx", "ty"]).filter(inside).groupBy("zip_id").agg(F.count(F.lit(1)).alias("n"))
+    # the squares of states overlap once a state has more than 80 cells in a row
+    return p.join(near, ["state_id", "tx", "ty"]).filter(inside).groupBy("zip_id").agg(F.count(F.lit(1)).alias("n"))
 
 
 def join_nested_loop(spark: SparkSession, sf: str) -> DataFrame:
