@@ -234,9 +234,9 @@ def set_jaccard(spark: SparkSession, sf: str) -> DataFrame:
     from ..operators.regions import region_adjacency
 
     s = points.points(spark, sf).groupBy("zip_id").agg(F.collect_set(F.array_join("category_path", ">")).alias("s"))
-    pairs = region_adjacency(points.zip_cells(spark, sf))
+    pairs = region_adjacency(points.polygons(points.zip_cells(spark, sf)), within=("state_id",))
     met = pairs.join(s.select(F.col("zip_id").alias("a"), F.col("s").alias("s1")), "a").join(s.select(F.col("zip_id").alias("b"), F.col("s").alias("s2")), "b")
-    return met.select("a", "b", F.round(F.size(F.array_intersect("s1", "s2")) / F.size(F.array_union("s1", "s2")), 6).alias("jaccard"))
+    return met.select("a", "b", vectors.half_up(F.size(F.array_intersect("s1", "s2")) / F.size(F.array_union("s1", "s2"))).alias("jaccard"))
 
 
 def fn_string(spark: SparkSession, sf: str) -> DataFrame:
